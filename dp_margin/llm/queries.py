@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import linededup
+from . import linededup, neardup
 
-QUERIES = {"op5_line_dedup": linededup.op5_line_dedup}
+QUERIES = {"op5_line_dedup": linededup.op5_line_dedup, "op7_minhash_near_dup": neardup.op7_minhash_near_dup}
 ORACLES = {"op5_line_dedup": linededup.ORACLE}
