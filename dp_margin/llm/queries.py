@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import linededup, neardup
+from . import decontam, linededup, neardup
 
-QUERIES = {"op5_line_dedup": linededup.op5_line_dedup, "op7_minhash_near_dup": neardup.op7_minhash_near_dup}
+QUERIES = {"op5_line_dedup": linededup.op5_line_dedup, "op7_minhash_near_dup": neardup.op7_minhash_near_dup, "op8_spaced_seed_decontam": decontam.op8_spaced_seed_decontam}
 ORACLES = {"op5_line_dedup": linededup.ORACLE}
