@@ -2,9 +2,8 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from . import calibration, constructions, fits, kernels, measures, relational
+from .base import ORACLES, QUERIES
+from .fits import finite_release_lineitem as flagship
 
-
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+__all__ = ["ORACLES", "QUERIES", "calibration", "constructions", "fits", "flagship", "kernels", "measures", "relational"]
