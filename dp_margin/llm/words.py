@@ -95,7 +95,7 @@ def _offer(flat, sig, d, e, m, open_) -> None:
     perm[:] = np.arange(m)
     rows = np.arange(len(d))
     for j in range(m):
-        x = mix64(e + _U(j + 1) * _BASE)
+        x = mix64(e + _U((j + 1) * int(_BASE) & 0xFFFFFFFFFFFFFFFF))
         at = j + (x & _U(0xFFFFFFFF)).astype(np.int64) % (m - j)
         slot = perm[rows, at]
         perm[rows, at] = perm[:, j]
@@ -117,7 +117,7 @@ def band_hashes(sig: np.ndarray, bands: int, rows: int) -> np.ndarray:
     """One signed 64-bit hash for each band of each signature."""
     out = np.empty((len(sig), bands), np.uint64)
     for b in range(bands):
-        h = np.full(len(sig), _U(b + 1) * _BASE)
+        h = np.full(len(sig), _U((b + 1) * int(_BASE) & 0xFFFFFFFFFFFFFFFF))
         for r in range(rows):
             h = mix64(h ^ sig[:, b * rows + r].astype(np.uint64))
         out[:, b] = h

@@ -43,7 +43,8 @@ BAD_NAMES = frozenset("ad ads advert adverts advertisement advertising sponsor s
 BAD_ROLES = frozenset("navigation banner contentinfo complementary search form alert dialog menu".split())
 MAIN = frozenset("article main".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*|[^>]*)>", re.S)
+_CUT_TAG = re.compile(r"<(?:/?[a-zA-Z]|!)[^>]*\Z")
 _ATTR = re.compile(r"""([a-zA-Z_:][-\w:.]*)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 _NAME = re.compile(r"[a-z]+")
 
@@ -95,7 +96,7 @@ class Page:
         while at < end:
             m = token(html, at)
             if m is None:
-                text.append(html[at:])
+                text.append(_CUT_TAG.sub("", html[at:]))  # a tag that the page's end cuts off
                 break
             if m.start() > at:
                 text.append(html[at : m.start()])
