@@ -5,7 +5,7 @@
    Links are confirmed on the full shingle sets, and grouped by union-find within partitions and then by
    alternating star contraction between them.
 3. Buckets whose members lie in more than one group hold the pairs that are left. While these are many, stars around
-   other centres join more groups; in the end every left pair that distances to the centres can't exclude is compared.
+   other centres join more groups; in the end every left pair that sizes and parities can't exclude is compared.
 
 Defined cases: null or empty text, or one without words: an empty set, linked with nothing; a null doc_id is linked with
 nothing, its component is null and it is kept; repeated rows are copies; rows that share a doc_id are linked by any of
@@ -14,6 +14,8 @@ their texts; extra columns are ignored; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -27,8 +29,10 @@ BANDS, ROWS = 40, 5
 SIMILARITY = 75
 #: Texts of one numpy run inside a batch, in bytes.
 RUN_BYTES = 2 << 20
+#: 64-bit words of a text's parities.
+PARITY_WORDS = 16
 #: Left pairs a document above which more stars go first (a matter of speed only).
-LEFT_PER_DOC, MOST_STARS = 2, 4
+LEFT_PER_DOC, MOST_STARS = 200, 2
 
 
 def runs(texts: list[bytes], most: int = RUN_BYTES):
@@ -43,6 +47,34 @@ def runs(texts: list[bytes], most: int = RUN_BYTES):
         yield start, len(texts)
 
 
+def parity(d: np.ndarray, e: np.ndarray, texts: int) -> np.ndarray:
+    """(texts, PARITY_WORDS) of int64: for every hash bucket, whether a text has an odd number of shingles in it.
+
+    Two sets differ in at least as many shingles as their parities differ in bits: an exact bound, with no sampling in it.
+    """
+    places = PARITY_WORDS * 64
+    odd = np.bincount(d * places + (e & np.uint64(places - 1)).astype(np.int64), minlength=texts * places) & 1
+    return np.packbits(odd.astype(np.uint8).reshape(texts, places), axis=1, bitorder="little").view("<i8").astype(np.int64)
+
+
+def _lists(rows: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, rows.size + 1, rows.shape[1], dtype=np.int32)), pa.array(rows.ravel()))
+
+
+def _may_link(similarity: int):
+    """Sizes and parities of u and v leave a link possible: |u| and |v| are close, and no more shingles differ than the similarity allows."""
+    differ = reduce(lambda a, b: a + b, [F.bit_count(F.get("bu", F.lit(i)).bitwiseXOR(F.get("bv", F.lit(i)))) for i in range(PARITY_WORDS)])
+    sizes = F.least("nu", "nv") * 100 >= F.greatest("nu", "nv") * similarity
+    return sizes & (differ * (100 + similarity) <= (F.col("nu") + F.col("nv")) * (100 - similarity))
+
+
+def possible(pairs: DataFrame, marks: DataFrame, similarity: int) -> DataFrame:
+    """Pairs (u, v) that may be links, by marks (doc_id, n, bits)."""
+    u = marks.select(F.col("doc_id").alias("u"), F.col("n").alias("nu"), F.col("bits").alias("bu"))
+    v = marks.select(F.col("doc_id").alias("v"), F.col("n").alias("nv"), F.col("bits").alias("bv"))
+    return pairs.join(u, "u").join(v, "v").where(_may_link(similarity)).select("u", "v").distinct()
+
+
 def _sketch(bands: int, rows: int):
     def run(batches):
         for b in batches:
@@ -53,17 +85,18 @@ def _sketch(bands: int, rows: int):
                 n = np.bincount(d, minlength=hi - lo)
                 other = np.zeros(hi - lo, np.uint64)
                 np.add.at(other, d, e)
+                odd = parity(d, e, hi - lo)
                 bh = band_hashes(super_minhash(d, e, hi - lo, bands * rows), bands, rows)
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (hi - lo + 1) * bands, bands, dtype=np.int32)), pa.array(bh.ravel()))
-                yield pa.record_batch([ids[lo:hi], pa.array(seq.astype(np.int64)), pa.array(other.astype(np.int64)), pa.array(n.astype(np.int64)), lists], ["doc_id", "g1", "g2", "n_shingles", "bands"])
+                lists = _lists(bh)
+                yield pa.record_batch([ids[lo:hi], pa.array(seq.astype(np.int64)), pa.array(other.astype(np.int64)), pa.array(n.astype(np.int64)), lists, _lists(odd)], ["doc_id", "g1", "g2", "n_shingles", "bands", "bits"])
 
     return run
 
 
 def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, g1, g2, n_shingles, bands): g1 and g2 tell word sequences apart."""
+    """(doc_id, g1, g2, n_shingles, bands, bits): g1 and g2 tell word sequences apart, bits are parities."""
     bound_batches(docs.sparkSession)
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_sketch(bands, rows), "doc_id long, g1 long, g2 long, n_shingles long, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(_sketch(bands, rows), "doc_id long, g1 long, g2 long, n_shingles long, bands array<long>, bits array<long>")
 
 
 def _similarity(batches):
@@ -154,9 +187,10 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     stars = materialise(stars)
     touched = materialise(stars.select("u").union(stars.select("v")).distinct().withColumnRenamed("u", "doc_id"))
     count = touched.count()
-    texts = docs.join(small_or_plain(touched, count), "doc_id", "left_semi")
-    texts = docs.sparkSession.createDataFrame([], docs.schema) if not count else materialise(texts)
-    found = materialise(verify(stars, texts))
+    small = small_or_plain(touched, count)
+    texts = materialise(docs.join(small, "doc_id", "left_semi")) if count else docs.sparkSession.createDataFrame([], docs.schema)
+    marks = materialise(usable.join(small, "doc_id", "left_semi").select("doc_id", F.col("n_shingles").alias("n"), "bits"))
+    found = materialise(verify(possible(stars, marks, similarity), texts))
     links = _linked(found, similarity).select("u", "v")
     comp = materialise(components(links))
     for step in range(MOST_STARS + 1):
@@ -166,34 +200,32 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
         if not pairs_left:
             break
         mixed = materialise(where.join(parts.select("bh"), "bh", "left_semi"))
-        if pairs_left <= left_per_doc * max(count, 1000) or step == MOST_STARS:
-            fresh = _left_pairs(mixed, found, similarity)
+        last = pairs_left <= left_per_doc * max(count, 1000) or step == MOST_STARS
+        if last:
+            fresh = _left_pairs(mixed, marks, similarity)
         else:
-            centre = [F.max("rep"), F.max_by("rep", F.xxhash64("rep")), F.max_by("rep", F.xxhash64("rep", F.lit(step))), F.max_by("rep", F.col("n"))][step % 4]
+            centre = F.max_by("rep", F.xxhash64("rep", F.lit(step)))
             other = mixed.groupBy("bh").agg(centre.alias("c2"))
             near = mixed.join(other, "bh").select("rep", "c2", "comp").join(mixed.select(F.col("rep").alias("c2"), F.col("comp").alias("comp2")).distinct(), "c2").where("comp <> comp2")
-            fresh = near.select(F.greatest("rep", "c2").alias("u"), F.least("rep", "c2").alias("v")).distinct()
+            fresh = possible(near.select(F.greatest("rep", "c2").alias("u"), F.least("rep", "c2").alias("v")).distinct(), marks, similarity)
         fresh = fresh.join(found.select("u", "v"), ["u", "v"], "left_anti")
         more = materialise(verify(fresh, texts))
         found = found.union(more)
         links = links.union(_linked(more, similarity).select("u", "v"))
         comp = materialise(components(links))
-        if pairs_left <= left_per_doc * max(count, 1000):
+        if last:
             break
     named = member.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))
     alone = s.where("n_shingles = 0 OR doc_id IS NULL").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return named.union(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
-def _left_pairs(mixed: DataFrame, found: DataFrame, similarity: int) -> DataFrame:
-    """Pairs of one bucket in different groups that sizes and the distances to the centre don't exclude (Jaccard distance is a metric)."""
-    d = found.select(F.col("u").alias("rep"), F.col("v").alias("c"), (1 - F.col("both") / (F.col("nu") + F.col("nv") - F.col("both"))).alias("d"))
-    own = mixed.join(d, ["rep", "c"], "left").withColumn("d", F.coalesce("d", F.when(F.col("rep") == F.col("c"), 0.0)))
-    a = own.select("bh", F.col("rep").alias("v"), F.col("comp").alias("cv"), F.col("n").alias("nv"), F.col("d").alias("dv"))
-    b = own.select("bh", F.col("rep").alias("u"), F.col("comp").alias("cu"), F.col("n").alias("nu"), F.col("d").alias("du"))
-    reach = 1 - similarity / 100 + 1e-9
-    near = a.join(b, "bh").where((F.col("v") < F.col("u")) & (F.col("cu") != F.col("cv")))
-    near = near.where((F.least("nu", "nv") * 100 >= F.greatest("nu", "nv") * similarity) & (F.coalesce(F.abs(F.col("du") - F.col("dv")), F.lit(0.0)) <= reach))
+def _left_pairs(mixed: DataFrame, marks: DataFrame, similarity: int) -> DataFrame:
+    """Pairs of one bucket in different groups that sizes and parities don't exclude."""
+    own = mixed.select("bh", "rep", "comp").join(marks.withColumnRenamed("doc_id", "rep"), "rep")
+    v = own.select("bh", F.col("rep").alias("v"), F.col("comp").alias("cv"), F.col("n").alias("nv"), F.col("bits").alias("bv"))
+    u = own.select("bh", F.col("rep").alias("u"), F.col("comp").alias("cu"), F.col("n").alias("nu"), F.col("bits").alias("bu"))
+    near = v.join(u, "bh").where((F.col("v") < F.col("u")) & (F.col("cu") != F.col("cv")) & _may_link(similarity))
     return near.select("u", "v").distinct()
 
 
