@@ -194,8 +194,9 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     links = _linked(found, similarity).select("u", "v")
     comp = materialise(components(links))
     for step in range(MOST_STARS + 1):
-        where = held.where("k >= 3").join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+        where = materialise(held.where("k >= 3").join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
         parts = where.groupBy("bh", "comp").agg(F.count("*").alias("a")).groupBy("bh").agg(F.sum("a").alias("a"), F.sum(F.col("a") * F.col("a")).alias("aa"), F.count("*").alias("parts")).where("parts > 1")
+        parts = materialise(parts)
         pairs_left = parts.agg(F.coalesce(F.sum((F.col("a") * F.col("a") - F.col("aa")) / 2), F.lit(0.0))).first()[0]
         if not pairs_left:
             break
