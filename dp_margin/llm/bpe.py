@@ -10,7 +10,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Words kept in a worker's table; beyond it the table starts anew.
-TABLE_WORDS = 600_000
+TABLE_WORDS = 800_000
 #: Words that split for certain into their letters and their marks, whatever stands around them.
 _PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,!?;:]*)")
 
@@ -67,32 +67,27 @@ class WordEncoder:
                 marks.append(m[2])
             else:
                 odd.append(w)
-        distinct = list(dict.fromkeys(cores))
-        for lo in range(0, len(distinct), 4096):
-            part = distinct[lo : lo + 4096]
+        # letter runs have entries of their own, under a name that no word can have
+        fresh = [c for c in dict.fromkeys(cores) if c + " " not in self.where]
+        for lo in range(0, len(fresh), 4096):
+            part = fresh[lo : lo + 4096]
             ids = np.array(self._ids(" ".join(part)), np.uint32)
             stops = np.flatnonzero(self.ends[ids]) + 1
             if len(stops) != len(part):
                 raise ValueError("a letter run did not end in one end-of-word token")
-            lengths = np.diff(np.concatenate(([0], stops)))
-            if lo == 0:
-                all_ids, all_lengths = [ids], [lengths]
-            else:
-                all_ids.append(ids), all_lengths.append(lengths)
-        if distinct:
-            ids, lengths = np.concatenate(all_ids), np.concatenate(all_lengths)
-            begin = np.cumsum(lengths) - lengths
-            number = dict(zip(distinct, range(len(distinct)), strict=True))
-            at = np.fromiter((number[c] for c in cores), np.int64, len(cores))
+            self._store([c + " " for c in part], ids, np.diff(np.concatenate(([0], stops))))
+        if plain:
+            at = np.fromiter((self.where[c + " "] for c in cores), np.int64, len(cores))
+            begin, lengths = self.begin[at], self.length[at]
             for m in set(marks) - set(self.marks):
                 self.marks[m] = self._ids(m)
             tails = [self.marks[m] for m in marks]
             n_tail = np.fromiter(map(len, tails), np.int64, len(tails))
-            core = _gather(ids, begin[at], lengths[at])
-            total = lengths[at] + n_tail
+            core = _gather(self.arena, begin, lengths)
+            total = lengths + n_tail
             out = np.empty(int(total.sum()), np.uint32)
             tail = np.ones(len(out), bool)
-            tail[_spread(np.cumsum(total) - total, lengths[at])] = False
+            tail[_spread(np.cumsum(total) - total, lengths)] = False
             out[~tail] = core
             out[tail] = np.fromiter((i for t in tails for i in t), np.uint32, int(n_tail.sum()))
             self._store(plain, out, total)
@@ -108,7 +103,7 @@ class WordEncoder:
         n_words = pc.list_value_length(words).to_numpy(zero_copy_only=False).astype(np.int64)
         coded = pc.dictionary_encode(words.flatten())
         distinct = coded.dictionary.to_pylist()
-        if len(self.where) + len(distinct) > TABLE_WORDS:
+        if len(self.where) + 2 * len(distinct) > TABLE_WORDS:
             self._clear()
         fresh = [w for w in distinct if w not in self.where]
         if fresh:
