@@ -145,19 +145,20 @@ def _local_union(batches):
         yield pa.record_batch([pa.array(part, pa.int64()), pa.array([root(x) for x in part], pa.int64())], ["u", "v"])
 
 
+def _stars_only(e: DataFrame) -> bool:
+    """Whether every node of distinct edges (u, v) with u > v either has one edge down or is a root."""
+    ends = e.select(F.col("u").alias("x"), F.lit(1).alias("down"), F.lit(0).alias("root")).union(e.select(F.col("v"), F.lit(0), F.lit(1)))
+    return ends.groupBy("x").agg(F.sum("down").alias("down"), F.max("root").alias("root")).where("down > 1 OR (down = 1 AND root = 1)").isEmpty()
+
+
 def components(links: DataFrame) -> DataFrame:
     """(node, comp) for every node of links (u, v): comp is the smallest node reachable.
 
     Union-find inside each partition, then rounds of large-star and small-star contraction; all state stays in
-    distributed tables, and only a count and a checksum reach the driver.
+    distributed tables, and only whether stars are left alone reaches the driver.
     """
     e = materialise(links.select("u", "v").where("u <> v").mapInArrow(_local_union, "u long, v long"))
-    before = None
-    while True:
-        state = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
-        if state == before or not state[0]:
-            return e.select(F.col("u").alias("node"), F.col("v").alias("comp")).union(e.select(F.col("v"), F.col("v"))).distinct() if state[0] else e.select(F.col("u").alias("node"), F.col("v").alias("comp"))
-        before = state
+    while not _stars_only(e):
         # large star: every larger neighbour of u goes to the smallest of u and its neighbours
         near = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = near.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
@@ -166,6 +167,16 @@ def components(links: DataFrame) -> DataFrame:
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         moved = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
         e = materialise(moved.where("u <> v").distinct())
+    return e.select(F.col("u").alias("node"), F.col("v").alias("comp")).union(e.select("v", "v")).distinct()
+
+
+def join_groups(comp: DataFrame, links: DataFrame) -> DataFrame:
+    """comp (node, comp) after more links (u, v): only the roots that links connect are grouped again."""
+    ends = links.select("u", "v").join(comp.select(F.col("node").alias("u"), F.col("comp").alias("cu")), "u", "left").join(comp.select(F.col("node").alias("v"), F.col("comp").alias("cv")), "v", "left")
+    between = ends.select(F.coalesce("cu", "u").alias("u"), F.coalesce("cv", "v").alias("v")).where("u <> v").distinct()
+    moved = materialise(components(between.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))))
+    known = comp.join(moved.select(F.col("node").alias("comp"), F.col("comp").alias("to")), "comp", "left").select("node", F.coalesce("to", "comp").alias("comp"))
+    return known.union(moved.join(comp.select("node"), "node", "left_anti"))
 
 
 def _linked(found: DataFrame, similarity: int) -> DataFrame:
@@ -191,8 +202,7 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     texts = materialise(docs.join(small, "doc_id", "left_semi")) if count else docs.sparkSession.createDataFrame([], docs.schema)
     marks = materialise(usable.join(small, "doc_id", "left_semi").select("doc_id", F.col("n_shingles").alias("n"), "bits"))
     found = materialise(verify(possible(stars, marks, similarity), texts))
-    links = _linked(found, similarity).select("u", "v")
-    comp = materialise(components(links))
+    comp = materialise(components(_linked(found, similarity)))
     for step in range(MOST_STARS + 1):
         where = materialise(held.where("k >= 3").join(comp.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
         parts = where.groupBy("bh", "comp").agg(F.count("*").alias("a")).groupBy("bh").agg(F.sum("a").alias("a"), F.sum(F.col("a") * F.col("a")).alias("aa"), F.count("*").alias("parts")).where("parts > 1")
@@ -212,8 +222,7 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
         fresh = fresh.join(found.select("u", "v"), ["u", "v"], "left_anti")
         more = materialise(verify(fresh, texts))
         found = found.union(more)
-        links = links.union(_linked(more, similarity).select("u", "v"))
-        comp = materialise(components(links))
+        comp = materialise(join_groups(comp, _linked(more, similarity)))
         if last:
             break
     named = member.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))

@@ -463,3 +463,28 @@ def test_real_pages_against_their_articles(spark, sf):
         inner = re.search(r"<article>(.*?)(</article>|\Z)", html[r.page_id], re.S)[1]
         blocks = [" ".join(entities.unescape(re.sub(r"<[^>]*>", "", x)).split()) for x in re.split(r"</?(?:p|h1)>", inner)]
         assert r.text == "\n\n".join(b for b in blocks if b)
+
+
+def test_groups_of_links_match_union_find(spark):
+    """Chains, stars and random links over several partitions, then more links between the groups they form."""
+    rng = np.random.default_rng(5)
+    chain = [(i + 1, i) for i in range(40)]
+    star = [(100 + i, 100) for i in range(1, 30)]
+    some = [(max(a, b), min(a, b)) for a, b in rng.integers(200, 260, (40, 2)).tolist()]
+    more = [(100, 3), (150, 149), (210, 7), (400, 399), (401, 400), (399, 205)]
+
+    def expected(links):
+        parent = {x: x for pair in links for x in pair}
+        for _ in parent:
+            for a, b in links:
+                parent[a] = parent[b] = min(parent[a], parent[b])
+        return parent
+
+    frame = lambda links: spark.createDataFrame(links, "u long, v long").repartition(6)
+    first = [x for x in chain + star + some if x[0] != x[1]]
+    comp = neardup.components(frame(first))
+    rows = comp.collect()
+    assert {r.node: r.comp for r in rows} == expected(first) and len(rows) == len(expected(first))
+    rows = neardup.join_groups(comp, frame(more)).collect()
+    assert {r.node: r.comp for r in rows} == expected(first + more) and len(rows) == len(expected(first + more))
+    assert neardup.components(spark.createDataFrame([], "u long, v long")).count() == 0
