@@ -18,6 +18,7 @@ import html as entities
 import pickle
 import re
 from collections import Counter
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -27,8 +28,8 @@ from .common import bound_batches, materialise, table
 
 #: Hosts whose unfinished wrappers a task holds at once, groups of a host's partial wrappers, bytes of wrappers that are broadcast.
 TASK_HOSTS, SALTS, WRAPPER_BYTES = 500, 32, 48 << 20
-#: Longest stretch tried as a repeated unit, longest stream that is aligned part by part.
-UNIT, STREAM = 8, 400
+#: Longest stretch tried as a repeated unit, cells (bits) of an alignment held at once.
+UNIT, CELLS = 8, 1 << 28
 VARIED = 0
 
 # Fixed word lists: elements by their role.
@@ -205,6 +206,50 @@ def _units(stream: list) -> list[tuple]:
     return sorted({x[1] for x in stream if isinstance(x, tuple)}, key=lambda u: (len(u), repr(u)))
 
 
+def _suffixes(x: list, y: list, keep: bool = True) -> list[int]:
+    """For every suffix of x (or only all of x) a bit set: its bit k is 0 where y's suffix of k + 1 items has a longer common subsequence with it than that of k."""
+    at: dict = {}
+    for k, t in enumerate(reversed(y)):
+        at[t] = at.get(t, 0) | 1 << k
+    full = v = (1 << len(y)) - 1
+    rows = [v]
+    for t in reversed(x):
+        u = v & at.get(t, 0)
+        v = ((v + u) | (v - u)) & full
+        if keep:
+            rows.append(v)
+    return rows[::-1] if keep else [v]
+
+
+def _lengths(x: list, y: list) -> list[int]:
+    """Length of the longest common subsequence of x and each suffix of y, the empty one first."""
+    v, m = _suffixes(x, y, False)[0], len(y)
+    return [0, *accumulate(1 - int(c) for c in reversed(f"{v:0{m}b}"))] if m else [0]
+
+
+def _lcs(x: list, y: list) -> list[tuple[int, int]]:
+    """Longest common subsequence as in align, exact at any length; beyond CELLS it halves x, so that memory stays linear."""
+    n, m = len(x), len(y)
+    if n > 1 and n * m > CELLS:
+        half = n // 2
+        ahead, behind = _lengths(x[:half][::-1], y[::-1]), _lengths(x[half:], y)
+        cut = max(range(m + 1), key=lambda q: ahead[q] + behind[m - q])
+        return _lcs(x[:half], y[:cut]) + [(p + half if p >= 0 else -1, q + cut if q >= 0 else -1) for p, q in _lcs(x[half:], y[cut:])]
+    rows, out, p, q = _suffixes(x, y), [], 0, 0
+    while p < n and q < m:
+        low = (1 << (m - q)) - 1
+        if x[p] == y[q]:
+            out.append((p, q))
+            p, q = p + 1, q + 1
+        elif not rows[p] >> (m - q - 1) & 1 or (rows[p] & low).bit_count() == (rows[p + 1] & low).bit_count():
+            out.append((p, -1))
+            p += 1
+        else:
+            out.append((-1, q))
+            q += 1
+    return out + [(k, -1) for k in range(p, n)] + [(-1, k) for k in range(q, m)]
+
+
 def align(a: list, b: list) -> list[tuple[int, int]]:
     """Longest common subsequence of two streams as (place in a or -1, place in b or -1), ends matched first."""
     lo = 0
@@ -215,25 +260,7 @@ def align(a: list, b: list) -> list[tuple[int, int]]:
         i, j = i - 1, j - 1
     head, tail = [(k, k) for k in range(lo)], [(i + k, j + k) for k in range(len(a) - i)]
     x, y = a[lo:i], b[lo:j]
-    if len(x) > STREAM or len(y) > STREAM:  # far apart and very long: one side optional, then the other
-        return [*head, *((lo + k, -1) for k in range(len(x))), *((-1, lo + k) for k in range(len(y))), *tail]
-    best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
-    for p in range(len(x) - 1, -1, -1):
-        row, below = best[p], best[p + 1]
-        for q in range(len(y) - 1, -1, -1):
-            row[q] = below[q + 1] + 1 if x[p] == y[q] else max(below[q], row[q + 1])
-    mid, p, q = [], 0, 0
-    while p < len(x) and q < len(y):
-        if x[p] == y[q]:
-            mid.append((lo + p, lo + q))
-            p, q = p + 1, q + 1
-        elif best[p + 1][q] >= best[p][q + 1]:
-            mid.append((lo + p, -1))
-            p += 1
-        else:
-            mid.append((-1, lo + q))
-            q += 1
-    mid += [(lo + k, -1) for k in range(p, len(x))] + [(-1, lo + k) for k in range(q, len(y))]
+    mid = [(lo + p if p >= 0 else -1, lo + q if q >= 0 else -1) for p, q in _lcs(x, y)]
     return [*head, *mid, *tail]
 
 

@@ -444,6 +444,42 @@ def test_wrapper_finds_varying_slots_without_semantics():
     assert other.expression() == w.expression()
 
 
+def _longest(a, b):
+    row = [0] * (len(b) + 1)
+    for x in a:
+        last = row[:]
+        for q, y in enumerate(b):
+            row[q + 1] = last[q] + 1 if x == y else max(last[q + 1], row[q])
+    return row[-1]
+
+
+def test_alignment_is_exact_at_any_length(monkeypatch):
+    r = random.Random(3)
+    for cells, longest in ((wrappers.CELLS, 900), (64, 60)):
+        monkeypatch.setattr(wrappers, "CELLS", cells)
+        for n, m in ((longest, longest), (longest, 7), (1, longest), (0, 5), (longest // 2, longest)):
+            a, b = ([r.randint(0, 9) for _ in range(k)] for k in (n, m))
+            got = wrappers.align(a, b)
+            both = [(i, j) for i, j in got if i >= 0 and j >= 0]
+            assert all(a[i] == b[j] for i, j in both) and len(both) == _longest(a, b)
+            assert [i for i, _ in got if i >= 0] == list(range(n)) and [j for _, j in got if j >= 0] == list(range(m))
+
+
+def test_long_pages_lose_their_template_text():
+    r = random.Random(4)
+    tags = ("h2", "h3", "p", "pre", "section")
+
+    def part(k):
+        return "".join(f"<{t}>{k} {i}</{t}>" for i in range(300) for t in (r.choice(tags),))
+
+    pages = [wrappers.Page(f"<html><body><div>x{k}<h1>t{k}</h1>{part(k)}<h4>Always here</h4>{part(k)}<h5>{k}</h5></div></body></html>") for k in range(3)]
+    w = wrappers.Wrapper.of(pages[0]).merge(wrappers.Wrapper.of(pages[1])).merge(wrappers.Wrapper.of(pages[2]))
+    for p in pages:
+        assert len(p.stream) > 800
+        got = wrappers.extract(p, w, {}).split("\n\n")
+        assert "Always here" not in got and len(got) == len(p.texts) - 1
+
+
 def test_pages_on_spark(spark, sf):
     body = "<article><h1>T{0}</h1><p>Text {0} &lt;tag&gt;</p></article>"
     rows = [(i, f"http://h{i % 2}.example.com/{i}", FRAME.format(body.format(i)), "z") for i in range(6)] + [(6, None, None, "z"), (7, "odd", "", "z"), (8, "http://h0.example.com/x", "<p>a</p>", "z")]
