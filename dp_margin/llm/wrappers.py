@@ -5,8 +5,10 @@ parts may be optional. A page is aligned with its host's wrapper by a longest co
 are taken as repetitions, parts without a partner become optional, and a slot whose texts differ becomes a variable slot.
 Wrappers of parts of a host's pages are aligned with each other the same way, so all pages take part, in two rounds of bounded groups.
 
-What is extracted: inside the page's article (or main) element, all blocks but those of navigation, notices and so on; on pages without such an element, the blocks
-whose slots vary among the host's pages, within the container that holds most of their text.
+What is extracted: inside the page's article (or main) elements, all blocks but those of navigation, notices and so on; elements whose slots are all constant go if others
+vary. On pages without such an element, the blocks whose slots vary among the host's pages, within the container that holds most of their text; all usable blocks if none varies.
+
+A text is constant if all pages that have its slot have the text, at least two of them say otherwise different things, and, for an optional slot, most of the host's pages have it.
 
 Defined cases: null or empty html gives an empty text; a broken end leaves elements open to the end; a null or odd url is a host of its own
 name; repeated pages are extracted alike; extra columns are ignored; an empty table gives no rows.
@@ -30,7 +32,7 @@ from .common import bound_batches, materialise, table
 TASK_HOSTS, SALTS, WRAPPER_BYTES = 500, 32, 48 << 20
 #: Longest stretch tried as a repeated unit, cells (bits) of an alignment held at once.
 UNIT, CELLS = 8, 1 << 28
-VARIED = 0
+VARIED, NONE = 0, frozenset()
 
 # Fixed word lists: elements by their role.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q ruby rt rp s samp small span strike strong sub sup time tt u var wbr picture source".split())
@@ -265,17 +267,22 @@ def align(a: list, b: list) -> list[tuple[int, int]]:
 
 
 class Wrapper:
-    """items: parts of the expression; facts: (optional, value, pages), value the common text's hash or VARIED."""
+    """items: parts of the expression; facts: (optional, value, pages, common, least, most).
+
+    value: the common text's hash or VARIED; common: hashes of the blocks that all these pages have there; least and most of these pages' marks differ
+    if the pages do.
+    """
 
     __slots__ = ("items", "facts", "pages")
 
-    def __init__(self, items: list, facts: list[tuple[bool, int, int]], pages: int):
+    def __init__(self, items: list, facts: list[tuple], pages: int):
         self.items, self.facts, self.pages = items, facts, pages
 
     @classmethod
     def of(cls, page: Page) -> Wrapper:
         items, blocks = fold(page.stream, [[s] if s >= 0 else [] for s in page.slots])
-        return cls(items, [(False, _value(page, b), 1) for b in blocks], 1)
+        mark = _mark(page)
+        return cls(items, [(False, _value(page, b), 1, frozenset(_hash(page.texts[k]) for k in b) if b else NONE, mark, mark) for b in blocks], 1)
 
     def merge(self, other: Wrapper) -> Wrapper:
         units = sorted({*_units(self.items), *_units(other.items)}, key=lambda u: (len(u), repr(u)))
@@ -286,20 +293,29 @@ class Wrapper:
             if i >= 0 and j >= 0:
                 x, y = fa[i], fb[j]
                 items.append(a[i])
-                facts.append((x[0] or y[0], x[1] if x[1] == y[1] else VARIED, x[2] + y[2]))
+                facts.append((x[0] or y[0], x[1] if x[1] == y[1] else VARIED, x[2] + y[2], x[3] & y[3] or NONE, min(x[4], y[4]), max(x[5], y[5])))
             else:
                 item, fact = (a[i], fa[i]) if i >= 0 else (b[j], fb[j])
                 items.append(item)
                 facts.append((True, *fact[1:]))
         return Wrapper(items, facts, self.pages + other.pages)
 
+    def constant(self, k: int) -> frozenset:
+        """Hashes of the blocks under item k that are template text."""
+        optional, _, pages, common, least, most = self.facts[k]
+        return common if common and least != most and (not optional or 2 * pages > self.pages) else NONE
+
+    def trim(self) -> Wrapper:
+        """Without the texts of single pages, once all pages are in."""
+        return Wrapper(self.items, [(*f[:3], f[3] if f[4] != f[5] else NONE, *f[4:]) for f in self.facts], self.pages)
+
     def expression(self) -> str:
         """The wrapper as text: groups in brackets, ? for optional, + for repeated, # and = for variable and constant slots."""
 
         def show(x, fixed: bool) -> str:
             return "(" + " ".join(show(y, fixed) for y in x[1]) + ")+" if isinstance(x, tuple) else ("=" if fixed else "#") if x == "#" else f"<{x}>"
 
-        return " ".join(f"({show(x, f[1] != VARIED and f[2] > 1)})?" if f[0] else show(x, f[1] != VARIED and f[2] > 1) for x, f in zip(self.items, self.facts, strict=True))
+        return " ".join(f"({show(x, f[1] != VARIED and f[4] != f[5])})?" if f[0] else show(x, f[1] != VARIED and f[4] != f[5]) for x, f in zip(self.items, self.facts, strict=True))
 
     def to_bytes(self) -> bytes:
         return pickle.dumps((self.items, self.facts, self.pages), protocol=4)
@@ -319,9 +335,19 @@ def _value(page: Page, blocks: list[int]) -> int:
     return _hash("\n".join(page.texts[b] for b in blocks)) if blocks else 1
 
 
-def _join(facts: list[tuple[bool, int, int]]) -> tuple[bool, int, int]:
-    value = facts[0][1] if len({f[1] for f in facts}) == 1 and len(facts) == 1 else VARIED
-    return all(f[0] for f in facts), value, max(f[2] for f in facts)
+def _mark(page: Page) -> int:
+    """Of what the page says: its usable text, inside article or main if it has them. Copies in other frames have the same mark."""
+    usable = [b for b, g in enumerate(page.good) if g]
+    return _value(page, [b for b in usable if page.main[b] >= 0] or usable)
+
+
+def _join(facts: list[tuple]) -> tuple:
+    """Facts of parts that become one group; what optional parts have in common is not common to the group's pages."""
+    if len(facts) == 1:
+        return facts[0]
+    sure = [f for f in facts if not f[0]]
+    common = frozenset().union(*(f[3] for f in sure)) or NONE
+    return not sure, VARIED, max(f[2] for f in facts), common, min(f[4] for f in sure or facts), max(f[5] for f in sure or facts)
 
 
 HOST = re.compile(r"^[a-zA-Z][\w+.-]*://(?:[^/@?#]*@)?([^/:?#]*)")
@@ -361,12 +387,17 @@ def _merged(t: pa.Table) -> pa.Table:
     return pa.table(cols | {"wrapper": pa.array([w.to_bytes()], pa.binary())})
 
 
+def _whole(t: pa.Table) -> pa.Table:
+    w = Wrapper.from_bytes(_merged(t)["wrapper"][0].as_py()).trim()
+    return pa.table({"host": t["host"][:1], "wrapper": pa.array([w.to_bytes()], pa.binary())})
+
+
 def infer(pages: DataFrame) -> DataFrame:
     """(host, wrapper) from all pages (url, html): within tasks, then within salted groups, then for each host."""
     bound_batches(pages.sparkSession)
     part = pages.select(F.col("url").cast("string"), F.col("html").cast("string")).mapInArrow(_partial, "host string, salt int, wrapper binary")
     salted = part.groupBy("host", "salt").applyInArrow(_merged, "host string, salt int, wrapper binary")
-    return materialise(salted.select("host", "wrapper").groupBy("host").applyInArrow(_merged, "host string, wrapper binary"))
+    return materialise(salted.select("host", "wrapper").groupBy("host").applyInArrow(_whole, "host string, wrapper binary"))
 
 
 def extract(page: Page, wrapper: Wrapper | None, plans: dict | None = None) -> str:
@@ -375,16 +406,13 @@ def extract(page: Page, wrapper: Wrapper | None, plans: dict | None = None) -> s
     inside = [b for b in usable if page.main[b] >= 0]
     fixed = _fixed_blocks(page, wrapper, plans) if wrapper is not None and wrapper.pages > 1 else set()
     if inside:
-        # of several such elements, the one with most text that varies among the host's pages, or most text
-        size: Counter = Counter()
-        for b in inside:
-            size[page.main[b]] += len(page.texts[b]) * (1000 if b not in fixed else 1)
-        chosen = max(size, key=lambda k: (size[k], -k))
-        return "\n\n".join(page.texts[b] for b in inside if page.main[b] == chosen)
-    varied = [b for b in usable if b not in fixed]
+        # of several such elements, those that say something of their own
+        kept = {page.main[b] for b in inside if b not in fixed} or {page.main[b] for b in inside}
+        return "\n\n".join(page.texts[b] for b in inside if page.main[b] in kept)
+    varied = [b for b in usable if b not in fixed] or usable
     if not varied:
         return ""
-    size = Counter()
+    size: Counter = Counter()
     for b in varied:
         size[page.path[b].rpartition("/")[0]] += len(page.texts[b])
     home = max(size, key=lambda k: (size[k], -len(k)))
@@ -405,8 +433,8 @@ def _fixed_blocks(page: Page, w: Wrapper, plans: dict | None) -> set[int]:
             plans[key] = pairs, items, merged
     out: set[int] = set()
     for i, j in pairs:
-        if i >= 0 and j >= 0 and w.facts[i][1] != VARIED and w.facts[i][2] > 1:
-            out.update(b for k in merged[j] for b in blocks[k])
+        if i >= 0 and j >= 0 and (common := w.constant(i)):
+            out.update(b for k in merged[j] for b in blocks[k] if _hash(page.texts[b]) in common)
     return out
 
 

@@ -480,6 +480,33 @@ def test_long_pages_lose_their_template_text():
         assert "Always here" not in got and len(got) == len(p.texts) - 1
 
 
+def _host(*htmls):
+    pages = [wrappers.Page(h) for h in htmls]
+    w = wrappers.Wrapper.of(pages[0])
+    for p in pages[1:]:
+        w = w.merge(wrappers.Wrapper.of(p))
+    return [wrappers.extract(p, wrappers.Wrapper.from_bytes(w.trim().to_bytes()), {}) for p in pages]
+
+
+def test_copies_of_a_page_are_no_template():
+    page = "<html><body><div class='t'>Fixed top</div><div class='c'>{}</div></body></html>"
+    one, two, three = "<h2>A</h2><p>one a</p><ul><li>i<li>j</ul>", "<p>two</p><p>two b</p>", "<h2>C</h2><p>three</p>"
+    # a host of copies only: nothing varies, all usable blocks stay
+    assert _host(page.format(three), page.format(three)) == ["Fixed top\n\nC\n\nthree"] * 2
+    # copies among other pages keep what only they have; the template goes
+    got = _host(page.format(one), page.format(two), page.format(one), page.format(three), page.format(three))
+    assert got == ["A\n\none a\n\ni\n\nj", "two\n\ntwo b", "A\n\none a\n\ni\n\nj", "C\n\nthree", "C\n\nthree"]
+    # copies of one article in different frames
+    framed = "<html><body><div>Frame {0} of many</div><article><h1>T</h1><p>same</p></article><div>End {0}</div></body></html>"
+    assert _host(framed.format(1), framed.format(2)) == ["T\n\nsame"] * 2
+
+
+def test_all_articles_of_a_page_stay():
+    page = "<html><body><article><h1>{0}</h1><p>first {0}</p></article><article><p>second {0}, which is longer</p></article><article><p>Our promise to you</p></article></body></html>"
+    want = ["{0}\n\nfirst {0}\n\nsecond {0}, which is longer".format(k) for k in "xyz"]
+    assert _host(*(page.format(k) for k in "xyz")) == want
+
+
 def test_pages_on_spark(spark, sf):
     body = "<article><h1>T{0}</h1><p>Text {0} &lt;tag&gt;</p></article>"
     rows = [(i, f"http://h{i % 2}.example.com/{i}", FRAME.format(body.format(i)), "z") for i in range(6)] + [(6, None, None, "z"), (7, "odd", "", "z"), (8, "http://h0.example.com/x", "<p>a</p>", "z")]
