@@ -5,8 +5,9 @@ parts may be optional. A page is aligned with its host's wrapper by a longest co
 are taken as repetitions, parts without a partner become optional, and a slot whose texts differ becomes a variable slot.
 Wrappers of parts of a host's pages are aligned with each other the same way, so all pages take part, in two rounds of bounded groups.
 
-What is extracted: inside the page's article (or main) elements, all blocks but those of navigation, notices and so on; elements whose slots are all constant go if others
-vary. On pages without such an element, the blocks whose slots vary among the host's pages, within the container that holds most of their text; all usable blocks if none varies.
+What is extracted: usable blocks (not those of navigation, notices and so on) whose slots vary among the host's pages, optional ones among them. An article or main element is
+evidence: if the page has such elements, blocks come from them, and one that is constant for the most part, though not all of it, is taken for near copies of one article and
+stays whole. Without such an element they come from the container that holds most of the varying text. If no slot varies all usable blocks stay.
 
 A text is constant if all pages that have its slot have the text, at least two of them say otherwise different things, and, for an optional slot, most of the host's pages have it.
 
@@ -407,8 +408,11 @@ def extract(page: Page, wrapper: Wrapper | None, plans: dict | None = None) -> s
     fixed = _fixed_blocks(page, wrapper, plans) if wrapper is not None and wrapper.pages > 1 else set()
     if inside:
         # of several such elements, those that say something of their own
-        kept = {page.main[b] for b in inside if b not in fixed} or {page.main[b] for b in inside}
-        return "\n\n".join(page.texts[b] for b in inside if page.main[b] in kept)
+        own, same = Counter(), Counter()
+        for b in inside:
+            (same if b in fixed else own)[page.main[b]] += len(page.texts[b])
+        kept = own or same
+        return "\n\n".join(page.texts[b] for b in inside if page.main[b] in kept and (b not in fixed or same[page.main[b]] > own[page.main[b]]))
     varied = [b for b in usable if b not in fixed] or usable
     if not varied:
         return ""

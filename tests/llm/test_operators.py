@@ -507,6 +507,16 @@ def test_all_articles_of_a_page_stay():
     assert _host(*(page.format(k) for k in "xyz")) == want
 
 
+def test_wrapper_cuts_template_text_out_of_articles():
+    page = "<html><body><article><h1>T{0}</h1>{1}<p>Read our terms</p><div>All rights kept</div></article></body></html>"
+    bodies = ["<p>alpha one</p><p>alpha two and on and on and on</p>", "<p>beta, longer than the terms and the rights</p>", "<h2>Sub</h2><p>gamma</p><ul><li>delta<li>eps and many more words</ul>"]
+    want = ["T0\n\nalpha one\n\nalpha two and on and on and on", "T1\n\nbeta, longer than the terms and the rights", "T2\n\nSub\n\ngamma\n\ndelta\n\neps and many more words"]
+    assert _host(*(page.format(k, b) for k, b in enumerate(bodies))) == want
+    # near copies of one article stay whole
+    long = "<article><h1>T</h1><p>a first paragraph</p><div>a second paragraph</div><pre>{0}</pre></article>"
+    assert _host(long.format(1), long.format(2)) == [f"T\n\na first paragraph\n\na second paragraph\n\n{k}" for k in (1, 2)]
+
+
 def test_pages_on_spark(spark, sf):
     body = "<article><h1>T{0}</h1><p>Text {0} &lt;tag&gt;</p></article>"
     rows = [(i, f"http://h{i % 2}.example.com/{i}", FRAME.format(body.format(i)), "z") for i in range(6)] + [(6, None, None, "z"), (7, "odd", "", "z"), (8, "http://h0.example.com/x", "<p>a</p>", "z")]
