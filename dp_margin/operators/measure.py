@@ -89,7 +89,7 @@ def measured_sensitivity_saturated(df: DataFrame, replaced: DataFrame, C: float)
     replaced: (row_id, x2, y2); each row of it is one neighbour, so the change is (C/n)(y2 x2 − y x).
     """
     n = solvers.rows_and_weight(df)
-    both = df.join(F.broadcast(replaced), "row_id")
+    both = df.join(replaced, "row_id")
     change = F.zip_with("x2", "x", lambda a, b: F.lit(C / n) * (F.col("y2") * a - F.col("y") * b))
     both = both.select(change.alias("change"))
     return tagged(both.agg(F.max(v.norm1(F.col("change"))).alias("l1"), F.max(v.norm2(F.col("change"))).alias("l2")))
@@ -110,6 +110,33 @@ def kernel_error(pairs: DataFrame) -> DataFrame:
     return pairs.agg(F.max(e).alias("max_error"), F.avg(e).alias("mean_error"))
 
 
+def kernel_error_blocks(df: DataFrame, kernel, rhos: list[np.ndarray], rows: int = 512) -> DataFrame:
+    """(m, pairs, max_error, mean_error) over all pairs i < j of df (row_id, x): blocks of rows meet, and every meeting gives one row of aggregates."""
+    blocks = max(1, -(-df.count() // rows))
+    b = df.select(F.pmod(F.xxhash64("row_id"), F.lit(blocks)).alias("block"), "row_id", "x").groupBy("block").agg(F.collect_list("row_id").alias("ids"), F.collect_list("x").alias("xs"))
+    met = b.toDF("p", "i", "x").join(b.toDF("q", "j", "z"), F.col("p") <= F.col("q"))
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            out = []
+            for r in batch.to_pylist():
+                x, z, i, j = np.array(r["x"]), np.array(r["z"]), np.array(r["i"]), np.array(r["j"])
+                # equal ids lie in one block
+                use = i[:, None] < j[None, :] if r["p"] == r["q"] else np.ones((len(i), len(j)), bool)
+                k = solvers.gram(x, z, kernel)
+                for rho in rhos:
+                    e = np.abs(k - solvers.gram(x, z, None, rho))[use]
+                    if len(e):
+                        out.append((len(rho), len(e), float(e.max()), float(e.sum())))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 4
+            yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)], ["m", "n", "most", "total"])
+
+    parts = met.repartition(max(1, min(2000, blocks * (blocks + 1) // 2)), "p", "q").mapInArrow(run, "m long, n long, most double, total double")
+    return parts.groupBy("m").agg(F.sum("n").alias("pairs"), F.max("most").alias("max_error"), (F.sum("total") / F.sum("n")).alias("mean_error"))
+
+
 def noise_norm_stats(spark: SparkSession, features: int, lam: float, trials: int, seed: int) -> DataFrame:
     """(mean, var): of the L1 norm of noise vectors; the law has mean F·lam and variance F·lam²."""
     t = spark.range(trials * features).select(F.floor(F.col("id") / features).alias("trial"), F.abs(rng.laplace(rng.uniform(seed, "norm", F.col("id")), lam)).alias("a"))

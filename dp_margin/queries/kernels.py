@@ -75,7 +75,7 @@ FROM {_PAIRS}, {_F64.format(m=m)} GROUP BY i, j)"""
 
 @query("kernel_error_embeddings", _KERR)
 def kernel_error_embeddings(spark, sf_dir):
-    """Uniform kernel error on the sample as the number of frequencies grows."""
+    """Kernel error on the sample as the number of frequencies grows; kernel_error_embeddings_all has that of the whole table."""
     from ..operators.measure import kernel_error
 
     p, out = pairs(spark, sf_dir), None
@@ -87,6 +87,16 @@ def kernel_error_embeddings(spark, sf_dir):
     return out
 
 
+@query("kernel_error_embeddings_all")
+def kernel_error_embeddings_all(spark, sf_dir):
+    """The uniform kernel error over all pairs of the table, in blocks."""
+    from ..operators.measure import kernel_error_blocks
+
+    rhos = [K.frequency_matrix(spark, K.rbf(), 64, m, SEED) for m in (16, 64, 256)]
+    e = kernel_error_blocks(examples.embeddings(spark, sf_dir), K.rbf(), rhos)
+    return e.select("m", "pairs", F.round("max_error", 6).alias("max_error"), F.round("mean_error", 6).alias("mean_error"))
+
+
 @query("rng_uniform", f"SELECT i, round({sql_u(7, 'lap', 'i')}, 12) AS u FROM range(1000) AS t(i)")
 def rng_uniform(spark, sf_dir):
     return spark.range(1000).select(F.col("id").alias("i"), F.round(rng.uniform(7, "lap", F.col("id")), 12).alias("u"))

@@ -143,3 +143,20 @@ def test_scan_reads_only_the_needed_columns(spark, sf):
 
     text = measure.risk(examples.lineitem(spark, sf), (0, 0, 0, 0), 1.0)._jdf.queryExecution().executedPlan().toString()
     assert "l_returnflag" not in text and "l_comment" not in text and "CartesianProduct" not in text
+
+
+def test_kernel_error_over_all_pairs_in_blocks(spark, sf):
+    from dp_margin.functions import kernels as K
+    from dp_margin.operators.measure import kernel_error_blocks
+    from dp_margin.queries import QUERIES
+    from dp_margin.sources import examples
+
+    e = examples.embeddings(spark, sf)
+    rows = sorted(e.collect(), key=lambda r: r.row_id)
+    x, rho = np.array([r.x for r in rows]), K.frequency_matrix(spark, K.rbf(), 64, 16, 7)
+    d = x[:, None, :] - x[None, :, :]
+    err = np.abs(np.exp(-(d * d).sum(-1) / 2) - np.cos(d @ rho.T).mean(-1))[np.triu_indices(len(x), 1)]
+    got = kernel_error_blocks(e, K.rbf(), [rho], 37).first()
+    assert got.pairs == len(err) == len(x) * (len(x) - 1) // 2 > 1770
+    assert abs(got.max_error - err.max()) < 1e-9 and abs(got.mean_error - err.mean()) < 1e-9
+    assert {r.m: r.pairs for r in QUERIES["kernel_error_embeddings_all"](spark, sf).collect()} == dict.fromkeys((16, 64, 256), len(err))
