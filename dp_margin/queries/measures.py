@@ -65,12 +65,19 @@ def usefulness_finite(spark, sf_dir):
     return measure.usefulness(spark, probes, 4, LAM, 0.5, TRIALS, 5).select(F.round("useful", 9).alias("useful"))
 
 
+@query("usefulness_finite_all")
+def usefulness_finite_all(spark, sf_dir):
+    """The same draws, with every row of the table as a probe."""
+    probes = examples.lineitem(spark, sf_dir).select("x")
+    return measure.usefulness(spark, probes, 4, LAM, 0.5, TRIALS, 5).select(F.round("useful", 9).alias("useful"))
+
+
 @query("usefulness_rff", "SELECT m, true AS enough FROM (VALUES (8::BIGINT), (32::BIGINT)) AS t(m)")
 def usefulness_rff(spark, sf_dir):
     e, out = examples.embeddings(spark, sf_dir), []
     for m in (8, 32):
         rho = K.frequency_matrix(spark, K.rbf(), 64, m, SEED)
-        probes = e.where("row_id < 50").select(K.trig_map(F.col("x"), rho).alias("x"))
+        probes = e.select(K.trig_map(F.col("x"), rho).alias("x"))
         u = measure.usefulness(spark, probes, 2 * m, cal.max_noise_random(0.5, 0.05, m), 0.25, 200, 5).first()[0]
         out.append((m, bool(u >= 0.95)))
     return spark.createDataFrame(out, "m long, enough boolean")
@@ -90,10 +97,10 @@ def risk_gap(spark, sf_dir):
 
 @query("measured_sensitivity", "SELECT true AS l2_within, true AS l1_within, true AS tight_within")
 def measured_sensitivity(spark, sf_dir):
-    """Fifty neighbours of embeddings: the largest weight change against the bounds."""
+    """All neighbours of embeddings that turn one row round: the largest weight change against the bounds."""
     e = examples.embeddings(spark, sf_dir)
     n = e.count()
-    other = e.where("row_id < 50").select("row_id", F.transform("x", lambda a: -a).alias("x2"), F.col("y").alias("y2"))
+    other = e.select("row_id", F.transform("x", lambda a: -a).alias("x2"), F.col("y").alias("y2"))
     r = measure.measured_sensitivity_saturated(e, other, 1.0).first()
     return spark.createDataFrame([(bool(r.l2 <= 4.0 / n), bool(r.l1 <= 4.0 * 8 / n), bool(r.l2 <= 2.0 / n + 1e-12))], "l2_within boolean, l1_within boolean, tight_within boolean")
 
@@ -114,8 +121,8 @@ def dual_l1(spark, sf_dir):
 
 @query("perturbation_chain", "SELECT step, true AS within FROM (VALUES ('back'), ('hilbert'), ('shift'), ('total'), ('transfer')) AS t(step)")
 def perturbation_chain(spark, sf_dir):
-    """Each step from kernel error to classifier distance, measured against its bound on 200 rows."""
-    e = examples.embeddings(spark, sf_dir).where("row_id < 200")
+    """Each step from kernel error to classifier distance, measured against its bound on all rows (at most DUAL_ROWS, beyond that it raises)."""
+    e = examples.embeddings(spark, sf_dir)
     rho = K.frequency_matrix(spark, K.rbf(), 64, 64, SEED)
     a, b = solvers.reference(e, 1.0, K.rbf()), solvers.reference(e, 1.0, rho=rho)
     c = measure.perturbation_chain(a.x, a.y, a, b, 1.0)
@@ -125,8 +132,8 @@ def perturbation_chain(spark, sf_dir):
 
 @query("swap_space_scores", "SELECT true AS within")
 def swap_space_scores(spark, sf_dir):
-    """A minimiser moved to the other space with its coefficients: scores change by at most kernel error times C."""
-    e = examples.embeddings(spark, sf_dir).where("row_id < 200")
+    """A minimiser moved to the other space with its coefficients: scores change by at most kernel error times C (at most DUAL_ROWS rows, beyond that it raises)."""
+    e = examples.embeddings(spark, sf_dir)
     m = solvers.reference(e, 1.0, K.rbf())
     kh = solvers.gram(m.x, m.x, None, K.frequency_matrix(spark, K.rbf(), 64, 64, SEED))
     k = m.gram(m.x)

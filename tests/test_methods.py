@@ -160,3 +160,19 @@ def test_kernel_error_over_all_pairs_in_blocks(spark, sf):
     assert got.pairs == len(err) == len(x) * (len(x) - 1) // 2 > 1770
     assert abs(got.max_error - err.max()) < 1e-9 and abs(got.mean_error - err.mean()) < 1e-9
     assert {r.m: r.pairs for r in QUERIES["kernel_error_embeddings_all"](spark, sf).collect()} == dict.fromkeys((16, 64, 256), len(err))
+
+
+def test_measures_read_all_rows(spark, sf, monkeypatch):
+    from dp_margin.operators import measure
+    from dp_margin.queries import QUERIES
+
+    n, seen = examples.embeddings(spark, sf).count(), []
+    sens, use, ref = measure.measured_sensitivity_saturated, measure.usefulness, solvers.reference
+    monkeypatch.setattr(measure, "measured_sensitivity_saturated", lambda e, other, C: (seen.append(other.count()), sens(e, other, C))[1])
+    monkeypatch.setattr(measure, "usefulness", lambda s, probes, *a: (seen.append(probes.count()), use(s, probes, *a))[1])
+    monkeypatch.setattr(solvers, "reference", lambda e, *a, **k: (seen.append(e.count()), ref(e, *a, **k))[1])
+    for name in ("measured_sensitivity", "usefulness_rff", "perturbation_chain", "swap_space_scores"):
+        assert all(v for r in QUERIES[name](spark, sf).collect() for v in r)
+    assert n > 200 and seen == [n] * 6
+    monkeypatch.undo()
+    assert QUERIES["usefulness_finite_all"](spark, sf).columns == ["useful"]
