@@ -5,19 +5,21 @@ hit the item is laid along the document, and the document is contaminated if som
 (13 words, or all of a shorter item) agrees with it but for the tolerated substitutions.
 
 Defined cases: words are lower-cased and split at white space; null or empty texts have no words; an item with fewer words
-than the span of the masks is searched by a mask of its own length; items or documents without words never match; documents that share
+than the span of the masks is searched by masks of its own length, which leave out as many words as may be substituted; items or documents without words never match; documents that share
 a doc_id share their decision; a null doc_id is never contaminated; extra columns are ignored; empty tables give no hits.
 """
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import materialise, small_or_plain, table
 
-#: Fixed masks over windows of words: 1 counts, 0 is ignored. Any one substituted word leaves hits of one mask or the other nearby.
-MASKS = ("110110101", "101001111")
+#: Fixed masks over windows of words: 1 counts, 0 is ignored. By enumeration, any two substituted words of 13 leave a hit, and any one of 9 to 12.
+MASKS = ("101001111", "011110101", "110111010")
 WINDOW, SUBSTITUTIONS = 13, 2
 
 
@@ -40,12 +42,12 @@ def seeds(rows: DataFrame, key: str, masks=MASKS) -> DataFrame:
     return wide.select(key, "at", F.explode(F.array(*hashed)).alias("seed"))
 
 
-def _short_seeds(rows: DataFrame, key: str, span: int) -> DataFrame:
-    """Items shorter than the masks: one seed of all their words."""
-    return rows.where((F.size("h") > 0) & (F.size("h") < span)).select(key, F.lit(0).alias("at"), F.size("h").alias("len"), F.xxhash64(F.lit(-1), F.array_join(F.col("h").cast("array<string>"), " ")).alias("seed"))
+def _own_masks(k: int, window: int, substitutions: int) -> list[tuple[int, ...]]:
+    """Items of ``k`` words, fewer than the span: the places that count, for every set of words that may be substituted."""
+    return list(combinations(range(k), k - min(k, window) * substitutions // window))
 
 
-def hits(docs: DataFrame, items: DataFrame, masks=MASKS) -> DataFrame:
+def hits(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS) -> DataFrame:
     """Distinct (doc_id, item_id, shift): the item's word 0 lies at the document's word ``shift``."""
     d = docs.select("doc_id", _hashes(words(F.col("text"))).alias("h"))
     i = items.select("item_id", _hashes(words(F.col("text"))).alias("h"))
@@ -53,13 +55,13 @@ def hits(docs: DataFrame, items: DataFrame, masks=MASKS) -> DataFrame:
     found = seeds(d, "doc_id", masks).join(small_or_plain(wanted, wanted.count()), "seed")
     out = found.select("doc_id", "item_id", (F.col("at") - F.col("offset")).alias("shift"))
     span = len(masks[0])
-    short = materialise(_short_seeds(i, "item_id", span))
+    short = materialise(i.where((F.size("h") > 0) & (F.size("h") < span)).select("item_id", F.size("h").alias("len"), "h"))
     for row in short.select("len").distinct().collect():  # at most one pass for each length below the span
         k = row.len
-        parts = [F.element_at(F.col("h"), F.col("p") + F.lit(j + 1)).cast("string") for j in range(k)]
-        at = d.where(F.size("h") >= k).select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - k)).alias("p")).select("doc_id", F.col("p").alias("at"), F.xxhash64(F.lit(-1), F.concat_ws(" ", *parts)).alias("seed"))
-        own = short.where(F.col("len") == k)
-        out = out.union(at.join(small_or_plain(own.select("item_id", "seed"), own.count()), "seed").select("doc_id", "item_id", F.col("at").alias("shift")))
+        seed = F.explode(F.array(*[F.xxhash64(F.lit(-1 - n), *[F.element_at("h", F.col("p") + F.lit(j + 1)) for j in places]) for n, places in enumerate(_own_masks(k, window, substitutions))])).alias("seed")
+        own = materialise(short.where(F.col("len") == k).withColumn("p", F.lit(0)).select("item_id", seed).distinct())
+        at = d.where(F.size("h") >= k).select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - k)).alias("p")).select("doc_id", "p", seed)
+        out = out.union(at.join(small_or_plain(own, own.count()), "seed").select("doc_id", "item_id", F.col("p").alias("shift")))
     return out.where("doc_id IS NOT NULL").distinct()
 
 
@@ -74,7 +76,7 @@ def _windows_ok(match: Column, size: Column, window: int, substitutions: int) ->
 
 def overlaps(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS) -> DataFrame:
     """(doc_id, item_id, matched, item_words): confirmed overlaps, with the most equal words along any shift."""
-    h = materialise(hits(docs, items, masks))
+    h = materialise(hits(docs, items, masks, window, substitutions))
     near = h.select("doc_id").distinct()
     near = materialise(near)
     d = docs.join(small_or_plain(near, near.count()), "doc_id", "left_semi").select("doc_id", _hashes(words(F.col("text"))).alias("d"))

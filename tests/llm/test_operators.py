@@ -420,6 +420,28 @@ def test_decontamination(spark):
     assert decontam.overlaps(d.select("doc_id", "text"), b.limit(0)).count() == 0
 
 
+def test_seeds_reach_every_substitution_that_verification_accepts(spark):
+    from itertools import combinations
+
+    def hit(masks, n, wrong):
+        return any(all(o + i not in wrong for i, bit in enumerate(m) if bit == "1") for m in masks for o in range(n - len(m) + 1))
+
+    for n, most in ((9, 1), (10, 1), (11, 1), (12, 1), (13, 2), (14, 2), (20, 2)):
+        assert n * decontam.SUBSTITUTIONS // decontam.WINDOW >= most
+        assert all(hit(decontam.MASKS, n, w) for w in combinations(range(n), most))
+    # every place of items of 6 to 9 words, and every pair of places of 13, through the operator
+    items = {n: [f"w{n}x{i}" for i in range(n)] for n in (6, 7, 8, 9, 13)}
+    texts, want = [" ".join(items[6])], {(0, 6)}
+    for n, ws in items.items():
+        for wrong in combinations(range(n), 2 if n == 13 else 1):
+            if n > 6:
+                want.add((len(texts), n))
+            texts.append("pre " + " ".join("odd" if i in wrong else w for i, w in enumerate(ws)) + " post")
+    b = spark.createDataFrame([(n, " ".join(ws)) for n, ws in items.items()], "item_id long, text string")
+    got = decontam.overlaps(docs_frame(spark, texts).select("doc_id", "text"), b).collect()
+    assert {(r.doc_id, r.item_id) for r in got} == want
+
+
 # --- 9 pages ----------------------------------------------------------------------------------------------------------
 
 FRAME = '<!DOCTYPE html><html lang="en"><head><title>t</title><script>var t="</p>";</script><style>p{{}}</style></head><body><nav><ul><li><a href="/">Home</a></li><li>About</li></ul></nav><div class="cookie-notice">We use cookies</div><!-- <p>gone</p> -->{0}<aside>Side</aside><footer>&copy; me</footer></body></html>'
