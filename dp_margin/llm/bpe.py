@@ -9,8 +9,12 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-#: Words kept in a worker's table; beyond it the table starts anew.
-TABLE_WORDS = 800_000
+from .common import IdTable, spread
+
+#: Bytes of a worker's table of words; beyond it the table starts anew.
+TABLE_BYTES = 96 << 20
+#: Words looked up at once.
+WORDS = 1 << 18
 #: Words that split for certain into their letters and their marks, whatever stands around them.
 _PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,!?;:]*)")
 
@@ -33,26 +37,7 @@ class WordEncoder:
         self.ends = np.zeros(self.size, bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
         self.marks = {s: self.tok.encode(s, add_special_tokens=False).ids for s in [""]}
-        self._clear()
-
-    def _clear(self) -> None:
-        self.where: dict[str, int] = {}
-        self.arena = np.zeros(1 << 20, np.uint32)
-        self.begin = np.zeros(1 << 16, np.int64)
-        self.length = np.zeros(1 << 16, np.int64)
-        self.used = 0
-
-    def _store(self, words: list[str], ids: np.ndarray, lengths: np.ndarray) -> None:
-        n, k = len(self.where), len(words)
-        while self.used + len(ids) > len(self.arena):
-            self.arena = np.concatenate((self.arena, np.zeros_like(self.arena)))
-        while n + k > len(self.begin):
-            self.begin, self.length = (np.concatenate((x, np.zeros_like(x))) for x in (self.begin, self.length))
-        self.arena[self.used : self.used + len(ids)] = ids
-        self.begin[n : n + k] = self.used + np.cumsum(lengths) - lengths
-        self.length[n : n + k] = lengths
-        self.used += len(ids)
-        self.where.update(zip(words, range(n, n + k), strict=True))
+        self.table = IdTable(TABLE_BYTES)
 
     def _ids(self, text: str) -> list[int]:
         return self.tok.encode(text, add_special_tokens=False).ids
@@ -68,64 +53,54 @@ class WordEncoder:
             else:
                 odd.append(w)
         # letter runs have entries of their own, under a name that no word can have
-        fresh = [c for c in dict.fromkeys(cores) if c + " " not in self.where]
+        fresh = [c for c in dict.fromkeys(cores) if c + " " not in self.table.where]
         for lo in range(0, len(fresh), 4096):
             part = fresh[lo : lo + 4096]
             ids = np.array(self._ids(" ".join(part)), np.uint32)
             stops = np.flatnonzero(self.ends[ids]) + 1
             if len(stops) != len(part):
                 raise ValueError("a letter run did not end in one end-of-word token")
-            self._store([c + " " for c in part], ids, np.diff(np.concatenate(([0], stops))))
+            self.table.store([c + " " for c in part], ids, np.diff(np.concatenate(([0], stops))))
         if plain:
-            at = np.fromiter((self.where[c + " "] for c in cores), np.int64, len(cores))
-            begin, lengths = self.begin[at], self.length[at]
+            core, lengths = self.table.gather(np.fromiter((self.table.where[c + " "] for c in cores), np.int64, len(cores)))
             for m in set(marks) - set(self.marks):
                 self.marks[m] = self._ids(m)
             tails = [self.marks[m] for m in marks]
             n_tail = np.fromiter(map(len, tails), np.int64, len(tails))
-            core = _gather(self.arena, begin, lengths)
             total = lengths + n_tail
             out = np.empty(int(total.sum()), np.uint32)
             tail = np.ones(len(out), bool)
-            tail[_spread(np.cumsum(total) - total, lengths)] = False
+            tail[spread(np.cumsum(total) - total, lengths)] = False
             out[~tail] = core
             out[tail] = np.fromiter((i for t in tails for i in t), np.uint32, int(n_tail.sum()))
-            self._store(plain, out, total)
+            self.table.store(plain, out, total)
         if odd:
             found = [self._ids(w) for w in odd]
             n = np.fromiter(map(len, found), np.int64, len(found))
-            self._store(odd, np.fromiter((i for f in found for i in f), np.uint32, int(n.sum())), n)
+            self.table.store(odd, np.fromiter((i for f in found for i in f), np.uint32, int(n.sum())), n)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids one after another, and the number of ids of each text; null counts as empty."""
-        texts = pc.fill_null(texts, "")
-        words = pc.ascii_split_whitespace(texts)
+        words = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
         n_words = pc.list_value_length(words).to_numpy(zero_copy_only=False).astype(np.int64)
-        coded = pc.dictionary_encode(words.flatten())
-        distinct = coded.dictionary.to_pylist()
-        if len(self.where) + 2 * len(distinct) > TABLE_WORDS:
-            self._clear()
-        fresh = [w for w in distinct if w not in self.where]
-        if fresh:
-            self._learn(fresh)
-        where = self.where
-        slots = np.fromiter((where[w] for w in distinct), np.int64, len(distinct))
-        at = slots[coded.indices.to_numpy()] if len(slots) else np.zeros(0, np.int64)
-        lengths = self.length[at]
-        ids = _gather(self.arena, self.begin[at], lengths)
-        total = np.concatenate(([0], np.cumsum(lengths)))
+        flat, parts, lengths = words.flatten(), [], []
+        for lo in range(0, len(flat), WORDS):
+            coded = pc.dictionary_encode(flat.slice(lo, WORDS))
+            distinct = coded.dictionary.to_pylist()
+            if self.table.full:
+                self.table.clear()
+            where = self.table.where
+            fresh = [w for w in distinct if w not in where]
+            if fresh:
+                self._learn(fresh)
+            slots = np.fromiter((where[w] for w in distinct), np.int64, len(distinct))
+            ids, n = self.table.gather(slots[coded.indices.to_numpy()])
+            parts.append(ids), lengths.append(n)
+        if not parts:
+            return np.zeros(0, np.uint32), np.zeros(len(texts), np.int64)
+        total = np.concatenate(([0], np.cumsum(np.concatenate(lengths))))
         edge = np.concatenate(([0], np.cumsum(n_words)))
-        return ids, np.diff(total[edge])
-
-
-def _spread(begin: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    """The places begin[k], begin[k] + 1, ... of all spans in a row."""
-    total = int(lengths.sum())
-    return np.arange(total) + np.repeat(begin - (np.cumsum(lengths) - lengths), lengths)
-
-
-def _gather(values: np.ndarray, begin: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    return values[_spread(begin, lengths)]
+        return np.concatenate(parts), np.diff(total[edge])
 
 
 _MADE: dict[tuple[str, bool], WordEncoder] = {}

@@ -8,26 +8,29 @@ The file's scores are merge ranks (a piece's score is minus its rank), so by def
 ``scores="file"`` takes them as they are, which is right for a file with unigram log-probabilities.
 
 Defined cases: a null or empty text has no ids and decodes to an empty text; texts decode to themselves, spaces at any end and line
-breaks too, but for markers of their own, which decode to spaces; repeated rows encode alike; extra columns are kept by ``encode_stage``; an empty table gives no rows.
+breaks too, but for markers of their own, which decode to spaces; a segment of any length takes memory for its best path only; repeated rows and rows
+that share a doc_id, or have none, encode alike; extra columns are kept by ``encode_stage``, whose own get underscores after them where a name
+is taken; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import zlib
-from collections import OrderedDict
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, table
+from .common import IdTable, bound_batches, free_name, table
+from .neardup import runs
 
 MARK = "▁"
-#: Segments kept in a worker's table, and characters of a segment that may enter it.
-TABLE_SEGMENTS, SEGMENT_CHARS = 400_000, 64
+#: Bytes of a worker's table of segments, and segments looked up at once.
+TABLE_BYTES, SEGMENTS = 48 << 20, 1 << 18
 #: Characters of one vectorised look-up.
-RUN_CHARS = 1 << 19
+RUN_CHARS = 1 << 17
 
 
 class DoubleArray:
@@ -131,42 +134,47 @@ class PieceModel:
         #: What a character without a piece costs: less than any other way round it.
         self.unknown = low
         self.trie = DoubleArray([self.pieces[i] for i in plain], plain)
-        self.special = {i for i in range(n) if sp.is_control(i) or sp.is_unknown(i)}
+        special = {i for i in range(n) if sp.is_control(i) or sp.is_unknown(i)}
         self.is_byte = {int(i): b for b, i in enumerate(self.byte) if i != sp.unk_id()}
         if any(MARK in self.pieces[i].lstrip(MARK) for i in plain):
             raise ValueError("a piece holds a marker after another character")
-        self.table: OrderedDict[str, tuple[int, ...]] = OrderedDict()
+        #: What each id decodes to.
+        self.spelled = [b"" if i in special else bytes([self.is_byte[i]]) if i in self.is_byte else p.replace(MARK, " ").encode() for i, p in enumerate(self.pieces)]
+        self.table = IdTable(TABLE_BYTES, np.int32)
 
     def _fallback(self, ch: str) -> list[int]:
         return [int(self.byte[x]) for x in ch.encode("utf-8", "surrogatepass")]
 
-    def segment(self, parts: list[str]) -> list[tuple[int, ...]]:
-        """The best ids of each part: all look-ups are vectorised, then one forward pass a part."""
-        out: list[tuple[int, ...]] = []
+    def segment(self, parts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The best ids of all parts in a row, and the number of ids of each: all look-ups are vectorised, then one forward pass for all parts of a run."""
+        ids, lengths = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
         start = 0
         while start < len(parts):
             stop, chars = start, 0
             while stop < len(parts) and (stop == start or chars + len(parts[stop]) <= RUN_CHARS):
                 chars += len(parts[stop])
                 stop += 1
-            out += self._segment(parts[start:stop])
+            found = self._long(parts[start]) if chars > RUN_CHARS else self._segment(parts[start:stop])
+            ids.append(found[0].astype(np.int32)), lengths.append(found[1])
             start = stop
-        return out
+        return np.concatenate(ids), np.concatenate(lengths)
 
-    def _segment(self, parts: list[str]) -> list[tuple[int, ...]]:
-        text = "".join(parts)
-        points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
-        lengths = np.array([len(p) for p in parts])
-        edge = np.concatenate(([0], np.cumsum(lengths)))
-        n = len(points)
-        stops = np.repeat(edge[1:], lengths)
+    def _matches(self, points: np.ndarray, stops: np.ndarray):
+        """Matches (start, length, id) by start, shortest first, and the number of the first match of every place."""
         found = list(self.trie.matches(points, stops))
         begin = np.concatenate([f[0] for f in found]) if found else np.zeros(0, np.int64)
         size = np.concatenate([np.full(len(f[0]), f[1]) for f in found]) if found else np.zeros(0, np.int64)
         ids = np.concatenate([f[2] for f in found]).astype(np.int64) if found else np.zeros(0, np.int64)
         order = np.lexsort((size, begin))
         begin, size, ids = begin[order], size[order], ids[order]
-        first = np.searchsorted(begin, np.arange(n + 1))
+        return size, ids, np.searchsorted(begin, np.arange(len(points) + 1))
+
+    def _segment(self, parts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        points = _points("".join(parts))
+        lengths = np.array([len(p) for p in parts])
+        edge = np.concatenate(([0], np.cumsum(lengths)))
+        n = len(points)
+        size, ids, first = self._matches(points, np.repeat(edge[1:], lengths))
         # forward over places within the part, for all parts at once; long parts run on alone at the end
         best = np.full(n + len(parts) + 1, -np.inf)
         via = np.full(n + len(parts) + 1, -1, np.int64)  # the match that ends here; -1: the character fell back
@@ -197,82 +205,145 @@ class PieceModel:
             t += 1
             live = live[lengths[live] > t]
         for p in live.tolist():
-            self._alone(int(edge[p]), t, int(lengths[p]), p, first, size, scores, best, via)
-        return [self._trace(parts[p], int(edge[p]), p, ids, size, via) for p in range(len(parts))]
-
-    def _alone(self, lo: int, t: int, length: int, p: int, first, size, scores, best, via) -> None:
-        f, a = first[lo : lo + length + 1].tolist(), int(first[lo])
-        z = int(first[lo + length])
-        sz, sc = size[a:z].tolist(), scores[a:z].tolist()
-        b, v = best[lo + p : lo + p + length + 1].tolist(), via[lo + p : lo + p + length + 1].tolist()
+            lo, hi = int(edge[p]), int(edge[p + 1])
+            f, a, z = (first[lo : hi + 1] - first[lo]).tolist(), int(first[lo]), int(first[hi])
+            b, v = best[lo + p : hi + p + 1].tolist(), via[lo + p : hi + p + 1].tolist()
+            self._forward(b, v, t, hi - lo, f, size[a:z].tolist(), scores[a:z].tolist(), a)
+            via[lo + p : hi + p + 1] = v
+        return self._traced(points, lengths, edge, ids, size, via)
+
+    def _forward(self, b: list, v: list, t: int, stop: int, f: list, size: list, score: list, first: int) -> None:
+        """Best sums b and their last matches v of the places after t, one place after another."""
         unknown = self.unknown
-        for i in range(t, length):
+        for i in range(t, stop):
             now = b[i]
             if now + unknown > b[i + 1]:
                 b[i + 1], v[i + 1] = now + unknown, -1
-            for k in range(f[i] - a, f[i + 1] - a):
-                x = now + sc[k]
-                if x > b[i + sz[k]]:
-                    b[i + sz[k]], v[i + sz[k]] = x, k + a
-        via[lo + p : lo + p + length + 1] = v
-
-    def _trace(self, part: str, lo: int, p: int, ids, size, via) -> tuple[int, ...]:
-        out: list[int] = []
-        i = len(part)
+            for k in range(f[i], f[i + 1]):
+                x = now + score[k]
+                if x > b[i + size[k]]:
+                    b[i + size[k]], v[i + size[k]] = x, k + first
+
+    def _traced(self, points, lengths, edge, ids, size, via) -> tuple[np.ndarray, np.ndarray]:
+        """Backwards from every part's end, for all parts at once."""
+        at, part = lengths.astype(np.int64), np.flatnonzero(lengths > 0)
+        rows, found = [], []
+        while len(part):
+            k = via[edge[part] + part + at[part]]
+            rows.append(part)
+            # a character that fell back is kept by its place, as a negative number
+            found.append(np.where(k < 0, -(edge[part] + at[part]), ids[k] if len(ids) else 0))
+            at[part] -= np.where(k < 0, 1, size[k] if len(ids) else 1)
+            part = part[at[part] > 0]
+        if not rows:
+            return np.zeros(0, np.int32), np.zeros(len(lengths), np.int64)
+        steps = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
+        row, out = np.concatenate(rows), np.concatenate(found)
+        order = np.lexsort((-steps, row))
+        row, out = row[order], out[order]
+        if (out < 0).any():
+            spelled = [self._fallback(chr(points[-x - 1])) if x < 0 else [x] for x in out.tolist()]
+            row = np.repeat(row, [len(x) for x in spelled])
+            out = np.array([i for x in spelled for i in x])
+        return out, np.bincount(row, minlength=len(lengths))
+
+    def _long(self, part: str) -> tuple[np.ndarray, np.ndarray]:
+        """One part longer than a run: forward run by run, keeping only every place's last match, then back over them."""
+        n, depth = len(part), max(1, self.trie.depth)
+        piece, length = np.full(n + 1, -1, np.int32), np.ones(n + 1, np.int32)
+        ahead = [0.0] + [-np.inf] * depth  # best sums of the run's first places
+        for lo in range(0, n, RUN_CHARS // 4):
+            width = min(n, lo + RUN_CHARS // 4) - lo
+            points = _points(part[lo : lo + width + depth])
+            size, ids, first = self._matches(points, np.full(len(points), len(points)))
+            best, via = ahead + [-np.inf] * width, [-2] * (depth + 1 + width)
+            self._forward(best, via, 0, width, first.tolist(), size.tolist(), self.score[ids].tolist(), 0)
+            # places beyond the run get what is best so far; the next run may better it
+            came = np.array(via[: n - lo + 1])
+            at = np.flatnonzero(came > -2)
+            k = came[at]
+            piece[lo + at], length[lo + at] = (np.where(k < 0, -1, ids[k]), np.where(k < 0, 1, size[k])) if len(ids) else (-1, 1)
+            ahead = best[width : width + depth + 1]
+        out, i = [], n
         while i > 0:
-            k = int(via[lo + p + i])
-            if k < 0:
+            if piece[i] < 0:
                 out += reversed(self._fallback(part[i - 1]))
                 i -= 1
             else:
-                out.append(int(ids[k]))
-                i -= int(size[k])
-        return tuple(reversed(out))
-
-    def encode(self, texts: list[str]) -> list[list[int]]:
-        split = [_parts(t) for t in texts]
-        fresh = dict.fromkeys(p for parts in split for p in parts if p not in self.table)
-        if len(self.table) + len(fresh) > TABLE_SEGMENTS:
-            self.table.clear()
-            fresh = dict.fromkeys(p for parts in split for p in parts)
-        names = list(fresh)
-        local = dict(zip(names, self.segment(names), strict=True))
-        self.table.update((p, i) for p, i in local.items() if len(p) <= SEGMENT_CHARS)
-        table_ = self.table
-        return [[i for p in parts for i in (local[p] if p in local else table_[p])] for parts in split]
-
-    def decode(self, ids: list[int]) -> str:
+                out.append(int(piece[i]))
+                i -= int(length[i])
+        return np.array(out[::-1], np.int64), np.array([len(out)])
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """All ids one after another, and the number of ids of each text; null counts as empty."""
+        parts, counts = _parts(texts)
+        ids, lengths = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
+        for lo in range(0, len(parts), SEGMENTS):
+            coded = pc.dictionary_encode(parts.slice(lo, SEGMENTS))
+            distinct = coded.dictionary.to_pylist()
+            if self.table.full:
+                self.table.clear()
+            where = self.table.where
+            fresh = [p for p in distinct if p not in where]
+            if fresh:
+                self.table.store(fresh, *self.segment([MARK + p.replace(" ", MARK) for p in fresh]))
+            slots = np.fromiter((where[p] for p in distinct), np.int64, len(distinct))
+            found = self.table.gather(slots[coded.indices.to_numpy()])
+            ids.append(found[0]), lengths.append(found[1])
+        total = np.concatenate(([0], np.cumsum(np.concatenate(lengths))))
+        edge = np.concatenate(([0], np.cumsum(counts)))
+        return np.concatenate(ids), np.diff(total[edge])
+
+    def decode(self, ids) -> str:
         """Pieces joined, byte pieces as UTF-8, markers as spaces, and the first marker taken away."""
+        raw = b"".join(map(self.spelled.__getitem__, ids))
+        try:
+            text = raw.decode()
+        except UnicodeDecodeError:
+            text = self._decode_broken(ids)
+        return text[1:] if text.startswith(" ") else text
+
+    def _decode_broken(self, ids) -> str:
+        """Ids whose byte pieces are no UTF-8: each run of byte pieces is replaced on its own."""
         out, raw = [], bytearray()
         for i in ids:
             if i in self.is_byte:
                 raw.append(self.is_byte[i])
                 continue
-            if raw:
-                out.append(raw.decode("utf-8", "replace"))
-                raw.clear()
-            if i not in self.special:
-                out.append(self.pieces[i])
-        if raw:
-            out.append(raw.decode("utf-8", "replace"))
-        text = "".join(out).replace(MARK, " ")
-        return text[1:] if text.startswith(" ") else text
-
-
-def _parts(text: str) -> list[str]:
-    """The marked text, cut before every marker that follows another character."""
-    if not text:
-        return []
-    words = text.split(" ")
-    out, gap = [], MARK
-    for w in words[:-1]:
-        if w:
-            out.append(gap + w)
-            gap = MARK
-        else:
-            gap += MARK
-    out.append(gap + words[-1])
-    return out
+            out += [raw.decode("utf-8", "replace"), self.spelled[i].decode()]
+            raw.clear()
+        return "".join([*out, raw.decode("utf-8", "replace")])
+
+
+def _points(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+
+
+def _parts(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """Texts cut before every marker that follows another character, the first marker of each part left out, and the number of parts of each text.
+
+    A part is a word with the spaces before it, but for the one that every word has; an empty text has no part.
+    """
+    texts = pc.fill_null(texts, "")
+    words = pc.split_pattern(texts, " ")
+    counts = pc.list_value_length(words).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = words.flatten()
+    last = np.zeros(len(flat), bool)
+    last[np.cumsum(counts) - 1] = True
+    keep = (pc.binary_length(flat).to_numpy(zero_copy_only=False) > 0) | last
+    owner = np.repeat(np.arange(len(texts)), counts)
+    keep &= (pc.binary_length(texts).to_numpy(zero_copy_only=False) > 0)[owner]
+    if keep.all():
+        return flat, counts
+    at = np.flatnonzero(keep)
+    begin = (np.cumsum(counts) - counts)[owner[at]]
+    # dropped words between a kept one and the kept one, or the text's begin, before it
+    before = np.concatenate(([-1], at[:-1]))
+    gap = at - np.maximum(before, begin - 1) - 1
+    flat = flat.take(pa.array(at))
+    if gap.any():
+        flat = pc.binary_join_element_wise(pc.binary_repeat(pa.array([" "]).take(pa.array(np.zeros(len(at), np.int64))), pa.array(gap)), flat, "")
+    return flat, np.bincount(owner[at], minlength=len(texts)).astype(np.int64)
 
 
 _MADE: dict[tuple[str, str], PieceModel] = {}
@@ -290,22 +361,34 @@ def vocabulary(name: str = "piece_bpe_32k.model") -> str:
     return public_tokenizers.path(name)
 
 
+def added_names(docs: DataFrame) -> list[str]:
+    """Names of the columns that ``encode_stage`` adds to docs."""
+    return [free_name(docs, c) for c in ("dm_ids", "dm_n_tokens", "dm_ids_crc32", "dm_decoded")]
+
+
 def encode_stage(docs: DataFrame, path: str | None = None, scores: str = "zipf") -> DataFrame:
     """docs with dm_ids (array<int>), dm_n_tokens, dm_ids_crc32 (of little-endian 32-bit ids) and dm_decoded (the text from the ids)."""
     bound_batches(docs.sparkSession)
     path = path or vocabulary()
     at = docs.columns.index("text")
-    schema = docs.select("*", F.array(F.lit(0)).alias("dm_ids"), F.lit(0).cast("long").alias("dm_n_tokens"), F.lit(0).cast("long").alias("dm_ids_crc32"), F.lit("").alias("dm_decoded")).schema
+    docs = docs.withColumn("text", F.col("text").cast("string"))
+    added = zip(added_names(docs), (F.array(F.lit(0)), F.lit(0).cast("long"), F.lit(0).cast("long"), F.lit("")), strict=True)
+    schema = docs.select("*", *[c.alias(name) for name, c in added]).schema
     for f in schema:
         f.nullable = True
-    kind = pa.list_(pa.int32())
 
     def run(batches):
         m = model(path, scores)
         for b in batches:
-            ids = m.encode([t or "" for t in b.column(at).to_pylist()])
-            crc = [zlib.crc32(np.array(i, "<u4").tobytes()) for i in ids]
-            yield pa.record_batch([*b.columns, pa.array(ids, kind), pa.array([len(i) for i in ids], pa.int64()), pa.array(crc, pa.int64()), pa.array([m.decode(i) for i in ids], pa.string())], schema.names)
+            size = pc.fill_null(pc.binary_length(b.column(at)), 0).to_pylist()
+            for lo, hi in runs([range(n) for n in size]):
+                part = b.slice(lo, hi - lo)
+                ids, n = m.encode(part.column(at))
+                edge = np.concatenate(([0], np.cumsum(n)))
+                own = [ids[a:z] for a, z in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)]
+                crc = [zlib.crc32(x.astype("<u4").tobytes()) for x in own]
+                lists = pa.ListArray.from_arrays(pa.array(edge, pa.int32()), pa.array(ids, pa.int32()))
+                yield pa.record_batch([*part.columns, lists, pa.array(n, pa.int64()), pa.array(crc, pa.int64()), pa.array([m.decode(x.tolist()) for x in own], pa.string())], schema.names)
 
     return docs.mapInArrow(run, schema)
 
