@@ -28,15 +28,15 @@ from .words import SHINGLE, band_hashes, shingles, super_minhash, word_hashes
 BANDS, ROWS = 40, 5
 SIMILARITY = 75
 #: Texts of one numpy run inside a batch, in bytes.
-RUN_BYTES = 2 << 20
+RUN_BYTES = 1 << 20
 #: 64-bit words of a text's parities.
 PARITY_WORDS = 16
 #: Left pairs a document above which more stars go first (a matter of speed only).
 LEFT_PER_DOC, MOST_STARS = 200, 2
 
 
-def runs(texts: list[bytes], most: int = RUN_BYTES):
-    """(from, to) of runs of texts with bounded bytes; a longer text is a run of its own."""
+def runs(texts: list, most: int = RUN_BYTES):
+    """(from, to) of runs of texts (or of ranges as long as they are) with bounded bytes; a longer text is a run of its own."""
     start = size = 0
     for i, t in enumerate(texts):
         if size and size + len(t) > most:
@@ -103,7 +103,7 @@ def _similarity(batches):
     for b in batches:
         left, right = utf8(b.column(2)), utf8(b.column(3))
         out = np.zeros((b.num_rows, 3), np.int64)
-        for lo, hi in runs([x + y for x, y in zip(left, right, strict=True)]):
+        for lo, hi in runs([range(len(x) + len(y)) for x, y in zip(left, right, strict=True)]):
             m = hi - lo
             h, counts = word_hashes(left[lo:hi] + right[lo:hi])
             d, e, _ = shingles(h, counts)
@@ -188,8 +188,9 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     s = materialise(sketch(docs, bands, rows))
     usable = s.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    copies = usable.groupBy("g1", "g2").agg(F.min("doc_id").alias("rep"))
-    member = materialise(usable.select("doc_id", "n_shingles", "g1", "g2").join(copies, ["g1", "g2"]).select("doc_id", "n_shingles", "rep"))
+    # only sequences that recur are joined back, and from a table of their own, so that a large group of copies can be split
+    copies = materialise(usable.groupBy("g1", "g2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")).where("n > 1").select("g1", "g2", "rep"))
+    member = materialise(usable.select("doc_id", "n_shingles", "g1", "g2").join(small_or_plain(copies), ["g1", "g2"], "left").select("doc_id", "n_shingles", F.coalesce("rep", "doc_id").alias("rep")))
     reps = member.where("doc_id = rep").select("doc_id", F.col("n_shingles").alias("n")).distinct()
     bucketed = usable.join(reps, "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("bh"))
     shared = bucketed.groupBy("bh").agg(F.min("rep").alias("c"), F.count("*").alias("k")).where("k >= 2")
@@ -198,7 +199,7 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     stars = materialise(stars)
     touched = materialise(stars.select("u").union(stars.select("v")).distinct().withColumnRenamed("u", "doc_id"))
     count = touched.count()
-    small = small_or_plain(touched, count)
+    small = small_or_plain(touched)
     texts = materialise(docs.join(small, "doc_id", "left_semi")) if count else docs.sparkSession.createDataFrame([], docs.schema)
     marks = materialise(usable.join(small, "doc_id", "left_semi").select("doc_id", F.col("n_shingles").alias("n"), "bits"))
     found = materialise(verify(possible(stars, marks, similarity), texts))
@@ -244,9 +245,12 @@ def op7_minhash_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """Pipeline form: one document of each group, with all its columns; rows without a doc_id stay."""
+    """Pipeline form: one document of each group, with all its columns; rows without a doc_id stay.
+
+    Rows that share the kept doc_id but hold other texts all stay; of rows with the same doc_id and text one stays.
+    """
     gone = materialise(group(docs).where("NOT kept").select("doc_id").distinct())
-    kept = docs.join(small_or_plain(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)
-    if docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        kept = kept.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).union(kept.where("doc_id IS NULL"))
+    kept = docs.join(small_or_plain(gone), "doc_id", "left_anti").select(docs.columns)
+    if not docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").isEmpty():
+        kept = kept.where("doc_id IS NOT NULL").dropDuplicates(["doc_id", "text"]).union(kept.where("doc_id IS NULL"))
     return kept

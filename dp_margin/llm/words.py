@@ -25,17 +25,34 @@ def _powers(base, n: int) -> np.ndarray:
     return np.multiply.accumulate(out)
 
 
-def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """64-bit hashes of all words (A-Z lower-cased, split at ASCII white space) and the number of words of each text."""
-    data = _LOWER[np.frombuffer(b" ".join(texts) + b" ", np.uint8)]
-    gap = _SPACE[data]
-    edge = np.diff(np.concatenate(([True], gap)).astype(np.int8))
+def word_hashes(texts: list[bytes], chunk: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of all words (A-Z lower-cased, split at ASCII white space) and the number of words of each text.
+
+    The texts are gone through in chunks that end at white space, so that beside the text only the hashes grow with its length.
+    """
+    raw = np.frombuffer(b" ".join(texts) + b" ", np.uint8)
+    found, begins, lo = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+    while lo < len(raw):
+        hi = min(len(raw), lo + chunk)
+        while hi < len(raw):
+            gaps = np.flatnonzero(_SPACE[raw[hi - 1 : hi + 65535]])
+            hi = min(len(raw), hi + int(gaps[0])) if len(gaps) else min(len(raw), hi + 65536)
+            if len(gaps):
+                break
+        h, starts = _hash_chunk(_LOWER[raw[lo:hi]])
+        found.append(h), begins.append(starts + lo)
+        lo = hi
+    bounds = np.cumsum([len(t) + 1 for t in texts])
+    return np.concatenate(found), np.diff(np.concatenate(([0], np.searchsorted(np.concatenate(begins), bounds))))
+
+
+def _hash_chunk(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes and begins of the words of bytes that end with white space (or with the last word)."""
+    edge = np.diff(np.concatenate(([True], _SPACE[data], [True])).astype(np.int8))
     starts, ends = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
     # a polynomial in the byte values, shifted back to the word's start
     total = np.concatenate((np.zeros(1, np.uint64), np.cumsum(_BYTE[data] * _powers(_BASE, len(data)), dtype=np.uint64)))
-    h = mix64((total[ends] - total[starts]) * _powers(_INVERSE, len(data))[starts] + (ends - starts).astype(np.uint64))
-    bounds = np.cumsum([len(t) + 1 for t in texts])
-    return h, np.diff(np.concatenate(([0], np.searchsorted(starts, bounds))))
+    return mix64((total[ends] - total[starts]) * _powers(_INVERSE, len(data))[starts] + (ends - starts).astype(np.uint64)), starts
 
 
 def shingles(h: np.ndarray, counts: np.ndarray, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -43,24 +60,27 @@ def shingles(h: np.ndarray, counts: np.ndarray, k: int = SHINGLE) -> tuple[np.nd
 
     A text with fewer than k words has its whole sequence as one shingle; one without words has none.
     """
-    doc = np.repeat(np.arange(len(counts)), counts)
-    at = np.arange(len(h)) - np.repeat(np.cumsum(counts) - counts, counts)
-    powers = _powers(_BASE, k)
-    seq = np.zeros(len(counts), np.uint64)
-    weights = _powers(_INVERSE, int(counts.max()) if len(counts) else 0)[at] if len(h) else np.zeros(0, np.uint64)
-    np.add.at(seq, doc, h * weights)
+    doc = np.repeat(np.arange(len(counts), dtype=np.int32), counts)
+    begin = np.cumsum(counts) - counts
+    seq, some = np.zeros(len(counts), np.uint64), np.flatnonzero(counts)
+    if len(some):
+        weighted = _powers(_INVERSE, int(counts.max()))[np.arange(len(h)) - np.repeat(begin, counts)]
+        weighted *= h
+        seq[some] = np.add.reduceat(weighted, begin[some])
+        del weighted
     seq = mix64(seq + counts.astype(np.uint64))
     n = max(0, len(h) - k + 1)
     s = np.zeros(n, np.uint64)
-    for j in range(k):
-        s += h[j : j + n] * powers[j]
-    whole = np.repeat(counts, counts)
-    ok = at[:n] + k <= whole[:n]
+    for j, power in enumerate(_powers(_BASE, k)):
+        s += h[j : j + n] * power
+    ok = doc[k - 1 :][:n] == doc[:n]
     short = np.flatnonzero((counts > 0) & (counts < k))
-    d = np.concatenate((doc[:n][ok], short))
     e = np.concatenate((mix64(s[ok]), mix64(~seq[short])))
-    order = np.lexsort((e, d))
-    d, e = d[order], e[order]
+    d = np.concatenate((doc[:n][ok], short.astype(np.int32)))
+    del s, doc, ok
+    order = np.argsort(e) if len(counts) == 1 else np.lexsort((e, d))
+    d, e = d[order].astype(np.int64), e[order]
+    del order
     new = np.ones(len(d), bool)
     new[1:] = (d[1:] != d[:-1]) | (e[1:] != e[:-1])
     return d[new], e[new], seq
@@ -75,7 +95,7 @@ def super_minhash(d: np.ndarray, e: np.ndarray, texts: int, m: int) -> np.ndarra
     """
     sig = np.full((texts, m), 0xFFFFFFFF, np.uint32)
     flat = sig.ravel()
-    chunk = 1 << 18
+    chunk = 1 << 17
     open_ = np.ones(texts, bool)
     first = np.searchsorted(d, np.arange(texts + 1))
     # texts go in runs of bounded numbers of elements; a longer text fills a run of its own
