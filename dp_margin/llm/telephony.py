@@ -1,10 +1,13 @@
 """Telephony audio: G.711 expansion by look-up tables, block ADPCM by numpy across blocks, resampled PCM.
 
 A stored form is a RIFF file of 8-bit mu-law, 8-bit A-law or 4-bit IMA ADPCM samples. ``media_table`` stores payloads in it without loss;
-``decode_media`` reads stored files and returns PCM, resampled on demand; ``pcm_table`` stores that PCM.
+``pcm_table`` reads stored files and stores their PCM, resampled; ``read_pcm`` reads that PCM back.
 
-Defined cases: a null text is empty, and an empty text is 64 zero bytes; a file that is no RIFF wave gives null PCM; an empty table gives none;
-repeated rows and extra columns are as they are.
+Stored PCM is coded without loss by an integer lifting step: samples of even number as they are, and of each odd one the difference from the mean of its
+neighbours, which is small where a signal was interpolated.
+
+Defined cases: a null text is empty, and an empty text is 64 zero bytes; a file that is no RIFF wave gives null PCM; a null doc_id, repeated rows and rows
+that share a doc_id are stored each for itself; extra columns are ignored; an empty table gives none.
 """
 
 from __future__ import annotations
@@ -135,25 +138,52 @@ def media_table(docs: DataFrame, tag: int = MULAW) -> DataFrame:
     return materialise(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_bytes long, media binary"))
 
 
-def decode_media(media: DataFrame, rate: int = RESAMPLED) -> DataFrame:
-    """media (doc_id, media) with ``pcm``: little-endian 16-bit PCM at the wanted rate."""
+def code_pcm(pcm: np.ndarray) -> bytes:
+    """16-bit PCM as its even samples, then what each odd one differs from its neighbours' mean by (modulo 2^16)."""
+    even, odd = pcm[::2], pcm[1::2]
+    return even.astype("<i2").tobytes() + (odd - _between(even, len(odd))).astype("<i2").tobytes()
+
+
+def uncode_pcm(data: bytes) -> np.ndarray:
+    """The PCM that ``code_pcm`` had."""
+    x = np.frombuffer(data, "<i2")
+    even, rest = x[: (len(x) + 1) // 2], x[(len(x) + 1) // 2 :]
+    out = np.empty(len(x), np.int16)
+    out[::2], out[1::2] = even, rest + _between(even, len(rest))
+    return out
+
+
+def _between(even: np.ndarray, n: int) -> np.ndarray:
+    x = even.astype(np.int32)
+    return ((x + np.append(x[1:], x[-1:])) >> 1)[:n].astype(np.int16)
+
+
+def _resampled(data: bytes | None, rate: int) -> np.ndarray | None:
+    head = parse_riff(data or b"")
+    return None if head is None else resample(expand(head[3], head[0], head[2]), rate, head[1])
+
+
+def pcm_table(media: DataFrame, rate: int = RESAMPLED) -> DataFrame:
+    """media (doc_id, media) as a stored table (doc_id, rate, coded): the PCM of every file at the wanted rate, coded."""
     bound_batches(media.sparkSession)
 
     def run(batches):
         for b in batches:
-            out = []
-            for data in b.column(1).to_pylist():
-                head = parse_riff(data or b"")
-                out.append(None if head is None else resample(expand(head[3], head[0], head[2]), rate, head[1]).astype("<i2").tobytes())
-            yield pa.record_batch([b.column(0), b.column(1), pa.array(out, pa.binary())], ["doc_id", "media", "pcm"])
+            pcm = [_resampled(x, rate) for x in b.column(1).to_pylist()]
+            yield pa.record_batch([b.column(0), pa.array([rate] * b.num_rows, pa.int32()), pa.array([None if x is None else code_pcm(x) for x in pcm], pa.binary())], ["doc_id", "rate", "coded"])
 
-    return media.select("doc_id", "media").mapInArrow(run, "doc_id long, media binary, pcm binary")
+    return materialise(media.select("doc_id", "media").mapInArrow(run, "doc_id long, rate int, coded binary"))
 
 
-def pcm_table(media: DataFrame, uri: str, rate: int = RESAMPLED) -> DataFrame:
-    """Stores resampled PCM as Parquet below uri: (doc_id, rate, pcm)."""
-    decode_media(media, rate).select("doc_id", F.lit(rate).alias("rate"), "pcm").write.mode("overwrite").parquet(uri)
-    return media.sparkSession.read.parquet(uri)
+def read_pcm(stored: DataFrame) -> DataFrame:
+    """(doc_id, rate, pcm) of a stored table: little-endian 16-bit PCM."""
+    bound_batches(stored.sparkSession)
+
+    def run(batches):
+        for b in batches:
+            yield pa.record_batch([b.column(0), b.column(1), pa.array([None if x is None else uncode_pcm(x).astype("<i2").tobytes() for x in b.column(2).to_pylist()], pa.binary())], ["doc_id", "rate", "pcm"])
+
+    return stored.select("doc_id", "rate", "coded").mapInArrow(run, "doc_id long, rate int, pcm binary")
 
 
 def _level(pcm: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -166,35 +196,45 @@ def _level(pcm: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def features(payloads: list[bytes]) -> list[str]:
-    """Levels of payloads read as each of the three codes, and a checksum of the resampled PCM, all payloads at once."""
+    """Levels of payloads read as each of the three codes, all payloads at once."""
     flat = np.frombuffer(b"".join(payloads), np.uint8)
     edge = np.concatenate(([0], np.cumsum([len(p) for p in payloads]))).astype(np.int64)
-    mu, al = MU[flat], A[flat]
     block = adpcm_blocks(flat.reshape(-1, BLOCK)).ravel()
     per = 1 + 2 * (BLOCK - 4)
-    levels = [(*_level(mu, edge), edge), (*_level(al, edge), edge), (*_level(block, edge // BLOCK * per), edge // BLOCK * per)]
+    levels = [(*_level(MU[flat], edge), edge), (*_level(A[flat], edge), edge), (*_level(block, edge // BLOCK * per), edge // BLOCK * per)]
     out = []
     for i in range(len(payloads)):
-        said = [f"{name}:rms={np.sqrt(e[i] / (g[i + 1] - g[i])):.3f},turns={int(t[i])}" for name, (e, t, g) in zip(("mulaw", "alaw", "adpcm"), levels, strict=True)]
-        crc = zlib.crc32(resample(mu[edge[i] : edge[i + 1]]).astype("<i2").tobytes())
-        out.append(";".join([*said, f"pcm16k={crc:08x}"]))
+        out.append(";".join(f"{name}:rms={np.sqrt(e[i] / (g[i + 1] - g[i])):.3f},turns={int(t[i])}" for name, (e, t, g) in zip(("mulaw", "alaw", "adpcm"), levels, strict=True)))
     return out
 
 
+_DIGEST = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+_NAMES = [x.split()[0] for x in _DIGEST.split(", ")]
+
+
 def _digest(batches):
+    """Digests of stored files, and their resampled PCM, coded."""
     for b in batches:
         media = [x or b"" for x in b.column(2).to_pylist()]
-        heads = [parse_riff(x) for x in media]
-        payload = [h[3] for h in heads]
+        payload = [parse_riff(x)[3] for x in media]
         said = []
         for lo, hi in runs(payload, 1 << 20):
             said += features(payload[lo:hi])
         sha = [hashlib.sha256(p).hexdigest() for p in payload]
-        cols = [b.column(0), b.column(1), pa.array([len(p) for p in payload], pa.int64()), pa.array(sha), pa.array([zlib.crc32(p[-64:]) for p in payload], pa.int64())]
-        cols += [pa.array([len(x) for x in media], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in media]), pa.array(said, pa.string())]
-        yield pa.record_batch(cols, ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
+        cols = [b.column(0), b.column(1), pa.array([len(p) for p in payload], pa.int64()), pa.array(sha, pa.string()), pa.array([zlib.crc32(p[-64:]) for p in payload], pa.int64())]
+        cols += [pa.array([len(x) for x in media], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in media], pa.string()), pa.array(said, pa.string())]
+        yield pa.record_batch([*cols, pa.array([code_pcm(_resampled(x, RESAMPLED)) for x in media], pa.binary())], [*_NAMES, "coded"])
+
+
+def _seal(batches):
+    """The feature with a checksum of the PCM as it was stored."""
+    for b in batches:
+        crc = [zlib.crc32(uncode_pcm(x).astype("<i2").tobytes()) for x in b.column(8).to_pylist()]
+        said = pa.array([f"{x};pcm16k={c:08x}" for x, c in zip(b.column(7).to_pylist(), crc, strict=True)], pa.string())
+        yield pa.record_batch([*b.columns[:7], said], _NAMES)
 
 
 def op1_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Texts are stored as mu-law files, read back, their resampled PCM is stored beside the digests, and read back too."""
     stored = media_table(table(spark, sf_dir, "documents"))
-    return stored.mapInArrow(_digest, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return materialise(stored.mapInArrow(_digest, _DIGEST + ", coded binary")).mapInArrow(_seal, _DIGEST)
