@@ -7,10 +7,11 @@ of sequences, so sequence k lies in batch k // BATCH at a place known beforehand
 A second file of the shard holds the documents: doc_id, start within the shard, n_tokens.
 
 Flat files. Ids of a task's documents one after another, two bytes each, a separator after each document, nothing else. The scan
-searches blocks for separators, and a prefix scan over the blocks' carries joins the documents that cross block borders.
+searches blocks for separators, and a prefix scan over the blocks' carries joins the documents that cross block borders. Which document is the how
+manieth of a file stands in a file of doc_ids beside it, whose records a block of the scan reads at their place.
 
-Defined cases: a null or empty text has the end id only; rows that share a doc_id are ordered by their text; null doc_ids come first; extra
-columns are ignored; an empty table gives no files and an empty result.
+Defined cases: a null or empty text has the end id only; rows that share a doc_id are ordered by their text (in one shard of Arrow files); null
+doc_ids come first there, and stay null; extra columns are ignored; an empty table gives no files and an empty result.
 """
 
 from __future__ import annotations
@@ -35,6 +36,8 @@ SEQUENCE, SEQUENCES_A_BATCH = 2048, 256
 SHARD_BYTES = 32 << 20
 #: Ids of a block of the separator scan.
 BLOCK_IDS = 1 << 20
+#: A record of the doc_ids beside a flat file.
+NAME = np.dtype([("doc_id", "<i8"), ("null", "u1")])
 
 
 def encode_documents(batch_texts: pa.Array, path: str, end_id: int, literal: bool = False) -> tuple[np.ndarray, np.ndarray]:
@@ -201,7 +204,7 @@ def op10_arrow_token_files(spark: SparkSession, sf_dir: str, vocab: str | None =
 
 
 def write_flat(docs: DataFrame, path: str, uri: str, separator: int = SEPARATOR) -> DataFrame:
-    """One flat file a task, little-endian 16-bit ids; returns (file, ordinal, doc_id): what the files themselves don't hold."""
+    """One flat file a task, little-endian 16-bit ids, and one of its doc_ids; returns (file, n_docs)."""
     bound_batches(docs.sparkSession)
     fs, base = open_store(uri)
     fs.create_dir(base, recursive=True)
@@ -217,21 +220,26 @@ def write_flat(docs: DataFrame, path: str, uri: str, separator: int = SEPARATOR)
                 if encoder(path, True).size > 1 << 16:
                     raise ValueError("this vocabulary needs more than 16 bits an id")
                 store, root = open_store(uri)
-                tmp, final = f"{root}/.{uuid.uuid4().hex}", f"{root}/flat-{part:08d}.bin"
-                out = store.open_output_stream(tmp)
+                mark = uuid.uuid4().hex
+                files = [(f"{root}/.{mark}.{k}", f"{root}/{k}-{part:08d}.bin") for k in ("names", "flat")]
+                names, out = (store.open_output_stream(f[0]) for f in files)
             ids, _ = encode_documents(b.column(1), path, separator, literal=True)
             out.write(ids.astype("<u2").tobytes())
-            yield pa.record_batch([pa.array(np.full(b.num_rows, part)), pa.array(np.arange(seen, seen + b.num_rows)), b.column(0)], ["file", "ordinal", "doc_id"])
+            own = np.zeros(b.num_rows, NAME)
+            own["doc_id"], own["null"] = b.column(0).fill_null(0).to_numpy(), b.column(0).is_null().to_numpy(zero_copy_only=False)
+            names.write(own.tobytes())
             seen += b.num_rows
         if out is not None:
-            out.close()
-            _publish(store, tmp, final)
+            for sink, f in zip((names, out), files, strict=True):
+                sink.close()
+                _publish(store, *f)
+            yield pa.record_batch([pa.array([part], pa.int64()), pa.array([seen], pa.int64())], ["file", "n_docs"])
 
-    return materialise(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "file long, ordinal long, doc_id long"))
+    return materialise(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "file long, n_docs long"))
 
 
 def scan_separators(spark: SparkSession, uri: str, separator: int = SEPARATOR, block_ids: int = BLOCK_IDS) -> DataFrame:
-    """(file, ordinal, start, n_tokens) of every document in the flat files below uri, without an index.
+    """(doc_id, file, ordinal, start, n_tokens) of every document in the flat files below uri, without an index.
 
     Blocks are scanned apart; a block knows only where its separators lie. A prefix scan over the blocks' counts and last separators
     (one row a block) gives the ordinal and the start of the document that a block begins in.
@@ -261,19 +269,26 @@ def scan_separators(spark: SparkSession, uri: str, separator: int = SEPARATOR, b
     before = Window.partitionBy("file").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
     joined = carry.withColumn("ordinal", F.coalesce(F.sum("n").over(before), F.lit(0))).withColumn("begin", F.coalesce(F.max("last").over(before) + 1, F.lit(0))).where("n > 0")
 
+    def named(file: int, lo: int, n: int) -> pa.Array:
+        store, root = open_store(uri)
+        with store.open_input_file(f"{root}/names-{file:08d}.bin") as f:
+            f.seek(NAME.itemsize * lo)
+            own = np.frombuffer(f.read(NAME.itemsize * n), NAME)
+        return pa.array(own["doc_id"].astype(np.int64), mask=own["null"] > 0)
+
     def rows(batches):
         for b in batches:
             for file, block, ordinal, begin in zip(*(b.column(c).to_pylist() for c in ("file", "block", "ordinal", "begin")), strict=True):
                 ends = found(file, block)
                 start = np.concatenate(([begin], ends[:-1] + 1))
-                yield pa.record_batch([pa.array(np.full(len(ends), file)), pa.array(ordinal + np.arange(len(ends))), pa.array(start), pa.array(ends - start)], ["file", "ordinal", "start", "n_tokens"])
+                yield pa.record_batch([named(file, ordinal, len(ends)), pa.array(np.full(len(ends), file)), pa.array(ordinal + np.arange(len(ends))), pa.array(start), pa.array(ends - start)], ["doc_id", "file", "ordinal", "start", "n_tokens"])
 
-    return joined.select("file", "block", "ordinal", "begin").repartition(min(spread, 4096), "file", "block").mapInArrow(rows, "file long, ordinal long, start long, n_tokens long")
+    return joined.select("file", "block", "ordinal", "begin").repartition(min(spread, 4096), "file", "block").mapInArrow(rows, "doc_id long, file long, ordinal long, start long, n_tokens long")
 
 
 def op3_separator_scan(spark: SparkSession, sf_dir: str, vocab: str | None = None) -> DataFrame:
     """(doc_id, file, ordinal, start, n_tokens) for every document, as scanned from flat files; n_tokens without the separator."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     uri = shared_dir(spark)
-    written = write_flat(docs, vocab or vocabulary(), uri)
-    return written.join(scan_separators(spark, uri), ["file", "ordinal"], "left").select("doc_id", "file", "ordinal", "start", "n_tokens")
+    write_flat(docs, vocab or vocabulary(), uri)
+    return scan_separators(spark, uri)
