@@ -8,7 +8,9 @@ The trigram model is fitted on a bounded sample of rows with a declared language
 everything else covers all rows.
 
 Defined cases: null or empty texts, and texts without letters, have no language, posterior 0, and are rejected; a null declaration, host or
-suffix is no evidence; repeated rows decide alike; extra columns are kept by ``keep_accepted``; an empty table gives no rows.
+suffix is no evidence; repeated rows, and rows that share a doc_id or have none, are decided each by its own text; extra columns of any name are kept by
+``keep_accepted``; an empty table gives no rows. A row's own posterior is one of those that its host's prior and its declaration's likelihood are counted from;
+smoothing keeps a host of one row close to its parents.
 """
 
 from __future__ import annotations
@@ -81,10 +83,21 @@ def fit_text_model(rows: DataFrame, languages=LANGUAGES, sample: int = SAMPLE_RO
     known = rows.where(F.col("declared").isin(*languages) & (F.length("text") > 0)).select("declared", "text", F.xxhash64("text").alias("h"))
     chosen = known.select("h").distinct().orderBy("h").limit(sample)
     drawn = known.join(F.broadcast(chosen), "h", "left_semi").groupBy("h").agg(F.min("declared").alias("declared"), F.min("text").alias("text"))
-    counts = np.full((len(languages), BUCKETS + 1), 0.5)
-    for r in drawn.orderBy("h").toLocalIterator():
-        at, _ = _trigrams([r.text.encode()])
-        counts[languages.index(r.declared)] += np.bincount(at, minlength=BUCKETS + 1)
+    bound_batches(rows.sparkSession)
+
+    def tally(batches):
+        own = np.zeros((len(languages), BUCKETS + 1), np.int64)
+        for b in batches:
+            for said, text in zip(b.column(0).to_pylist(), utf8(b.column(1)), strict=True):
+                own[languages.index(said)] += np.bincount(_trigrams([text])[0], minlength=BUCKETS + 1)
+        at = np.flatnonzero(own.ravel())
+        for lo in range(0, len(at), 1 << 12):
+            yield pa.record_batch([pa.array(at[lo : lo + (1 << 12)]), pa.array(own.ravel()[at[lo : lo + (1 << 12)]])], ["at", "n"])
+
+    counts = np.full(len(languages) * (BUCKETS + 1), 0.5)
+    for r in drawn.select("declared", "text").mapInArrow(tally, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).collect():  # languages x buckets at most
+        counts[r["at"]] += r["n"]
+    counts = counts.reshape(len(languages), BUCKETS + 1)
     p = np.log(counts[:, :BUCKETS] / counts[:, :BUCKETS].sum(1, keepdims=True))
     return TextModel(tuple(languages), np.concatenate((p, np.zeros((len(languages), 1))), 1).astype(np.float32))
 
@@ -130,12 +143,13 @@ def host_priors(soft: DataFrame, k: int, smoothing: float = SMOOTHING) -> DataFr
     return materialise(_level(named, ["suffix", "domain", "host"], domain, ["suffix", "domain"], k, smoothing))
 
 
-def declared_table(soft: DataFrame, column: str, k: int, smoothing: float = DECLARED_SMOOTHING, most: int = 10_000) -> dict[str, list[float]]:
-    """log P(value | language) for each declared value; values beyond the most frequent ``most`` count as no evidence."""
+def declared_likelihoods(soft: DataFrame, k: int, smoothing: float = DECLARED_SMOOTHING) -> DataFrame:
+    """(declared, hint): log P(value | language) of every declared value, however many there are."""
     names = [f"s{i}" for i in range(k)]
-    rows = soft.where(F.col(column).isNotNull()).groupBy(column).agg(F.sum("n").alias("n"), *(F.sum(s).alias(s) for s in names)).orderBy(F.desc("n"), column).limit(most).collect()
-    total = np.array([[r[s] for s in names] for r in rows]).sum(0) if rows else np.zeros(k)
-    return {r[column]: [float(np.log((r[s] + smoothing / len(rows)) / (t + smoothing))) for s, t in zip(names, total, strict=True)] for r in rows}
+    own = soft.where("declared IS NOT NULL").groupBy("declared").agg(*(F.sum(s).alias(s) for s in names))
+    total = own.agg(F.count("*").alias("values"), *(F.sum(s).alias(f"t{i}") for i, s in enumerate(names)))  # one row
+    hint = [F.log((F.col(s) + smoothing / F.col("values")) / (F.col(f"t{i}") + smoothing)) for i, s in enumerate(names)]
+    return materialise(own.crossJoin(F.broadcast(total)).select("declared", F.array(*hint).alias("hint")))
 
 
 def classify(rows: DataFrame, model: TextModel | None = None, keep: list[str] | None = None) -> DataFrame:
@@ -144,10 +158,11 @@ def classify(rows: DataFrame, model: TextModel | None = None, keep: list[str] |
     k, keep = len(model.languages), keep or []
     soft = evidence(rows, model)
     priors = host_priors(soft, k)
-    declared = declared_table(soft, "declared", k)
+    hints = declared_likelihoods(soft, k).withColumnRenamed("declared", "dm_said")
     named = priors.select(F.col("host").alias("dm_host"), F.col("domain").alias("dm_domain"), F.col("suffix").alias("dm_suffix"), F.array(*[F.log(f"p{i}") for i in range(k)]).alias("dm_prior"))
     on = [F.coalesce(F.col(c), F.lit("")) == F.col(f"dm_{c}") for c in ("host", "domain", "suffix")]
-    joined = rows.join(small_or_plain(named, named.count()), on, "left").select(*keep, F.col("text").alias("dm_text"), F.col("declared").alias("dm_declared"), "dm_prior")
+    joined = rows.join(small_or_plain(named), on, "left").join(small_or_plain(hints), F.col("declared") == F.col("dm_said"), "left")
+    joined = joined.select(*keep, F.col("text").alias("dm_text"), F.col("declared").alias("dm_declared"), "dm_prior", F.col("hint").alias("dm_hint"))
     schema = joined.select(*keep, F.lit("").alias("dm_lang"), F.lit(0.0).alias("dm_posterior"), F.lit(True).alias("dm_agrees"), F.lit(True).alias("dm_accepted")).schema
     for f in schema:
         f.nullable = True
@@ -158,8 +173,7 @@ def classify(rows: DataFrame, model: TextModel | None = None, keep: list[str] |
             m = len(keep)
             ll, share = model.likelihoods(utf8(b.column(m)))
             said = b.column(m + 1).to_pylist()
-            prior = np.array([x if x is not None else [0.0] * k for x in b.column(m + 2).to_pylist()]).reshape(-1, k)
-            hint = np.array([declared.get(s, [0.0] * k) for s in said]).reshape(-1, k)
+            prior, hint = (np.array([x if x is not None else [0.0] * k for x in b.column(j).to_pylist()]).reshape(-1, k) for j in (m + 2, m + 3))
             p = _posterior(ll + prior + hint) if len(said) else np.zeros((0, k))
             best, spoken = p.argmax(1) if len(said) else [], share >= LEAST_LETTERS
             lang = [model.languages[i] if s else None for i, s in zip(best, spoken, strict=True)]
