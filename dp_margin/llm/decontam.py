@@ -5,8 +5,9 @@ hit the item is laid along the document, and the document is contaminated if som
 (13 words, or all of a shorter item) agrees with it but for the tolerated substitutions.
 
 Defined cases: words are lower-cased and split at white space; null or empty texts have no words; an item with fewer words
-than the span of the masks is searched by masks of its own length, which leave out as many words as may be substituted; items or documents without words never match; documents that share
-a doc_id share their decision; a null doc_id is never contaminated; extra columns are ignored; empty tables give no hits.
+than the span of the masks is searched by masks of its own length, which leave out as many words as may be substituted; items with fewer words than
+LEAST_WORDS are no passages and never match, nor do documents without words; documents that share a doc_id share their decision; a null doc_id is never
+contaminated; repeated items and rows count once; extra columns are ignored; empty tables give no hits.
 """
 
 from __future__ import annotations
@@ -21,6 +22,8 @@ from .common import materialise, small_or_plain, table
 #: Fixed masks over windows of words: 1 counts, 0 is ignored. By enumeration, any two substituted words of 13 leave a hit, and any one of 9 to 12.
 MASKS = ("101001111", "011110101", "110111010")
 WINDOW, SUBSTITUTIONS = 13, 2
+#: Words of the shortest item that can contaminate a document.
+LEAST_WORDS = 2
 
 
 def words(text: Column) -> Column:
@@ -47,12 +50,12 @@ def _own_masks(k: int, window: int, substitutions: int) -> list[tuple[int, ...]]
     return list(combinations(range(k), k - min(k, window) * substitutions // window))
 
 
-def hits(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS) -> DataFrame:
+def hits(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS, least_words: int = LEAST_WORDS) -> DataFrame:
     """Distinct (doc_id, item_id, shift): the item's word 0 lies at the document's word ``shift``."""
     d = docs.select("doc_id", _hashes(words(F.col("text"))).alias("h"))
-    i = items.select("item_id", _hashes(words(F.col("text"))).alias("h"))
+    i = items.select("item_id", _hashes(words(F.col("text"))).alias("h")).where(F.size("h") >= least_words)
     wanted = materialise(seeds(i, "item_id", masks).select("item_id", F.col("at").alias("offset"), "seed").distinct())
-    found = seeds(d, "doc_id", masks).join(small_or_plain(wanted, wanted.count()), "seed")
+    found = seeds(d, "doc_id", masks).join(small_or_plain(wanted), "seed")
     out = found.select("doc_id", "item_id", (F.col("at") - F.col("offset")).alias("shift"))
     span = len(masks[0])
     short = materialise(i.where((F.size("h") > 0) & (F.size("h") < span)).select("item_id", F.size("h").alias("len"), "h"))
@@ -61,7 +64,7 @@ def hits(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, s
         seed = F.explode(F.array(*[F.xxhash64(F.lit(-1 - n), *[F.element_at("h", F.col("p") + F.lit(j + 1)) for j in places]) for n, places in enumerate(_own_masks(k, window, substitutions))])).alias("seed")
         own = materialise(short.where(F.col("len") == k).withColumn("p", F.lit(0)).select("item_id", seed).distinct())
         at = d.where(F.size("h") >= k).select("doc_id", "h", F.explode(F.sequence(F.lit(0), F.size("h") - k)).alias("p")).select("doc_id", "p", seed)
-        out = out.union(at.join(small_or_plain(own, own.count()), "seed").select("doc_id", "item_id", F.col("p").alias("shift")))
+        out = out.union(at.join(small_or_plain(own), "seed").select("doc_id", "item_id", F.col("p").alias("shift")))
     return out.where("doc_id IS NOT NULL").distinct()
 
 
@@ -74,12 +77,12 @@ def _windows_ok(match: Column, size: Column, window: int, substitutions: int) ->
     return F.exists(starts, lambda s: F.aggregate(F.slice(match, s, w), F.lit(0), lambda a, x: a + x) >= w - slack)
 
 
-def overlaps(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS) -> DataFrame:
+def overlaps(docs: DataFrame, items: DataFrame, masks=MASKS, window: int = WINDOW, substitutions: int = SUBSTITUTIONS, least_words: int = LEAST_WORDS) -> DataFrame:
     """(doc_id, item_id, matched, item_words): confirmed overlaps, with the most equal words along any shift."""
-    h = materialise(hits(docs, items, masks, window, substitutions))
+    h = materialise(hits(docs, items, masks, window, substitutions, least_words))
     near = h.select("doc_id").distinct()
     near = materialise(near)
-    d = docs.join(small_or_plain(near, near.count()), "doc_id", "left_semi").select("doc_id", _hashes(words(F.col("text"))).alias("d"))
+    d = docs.join(small_or_plain(near), "doc_id", "left_semi").select("doc_id", _hashes(words(F.col("text"))).alias("d"))
     i = items.select("item_id", _hashes(words(F.col("text"))).alias("i"))
     laid = h.join(d, "doc_id").join(i, "item_id")
     equal = F.transform("i", lambda x, p: F.coalesce((F.get("d", p + F.col("shift")) == x).cast("int"), F.lit(0)))
@@ -95,11 +98,11 @@ def op8_spaced_seed_decontam(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = table(spark, sf_dir, "benchmark").select("item_id", "text")
     found = overlaps(docs, items).groupBy("doc_id").agg(F.count("*").alias("n_items"), F.min("item_id").alias("first_item"), F.max("matched").alias("most_matched"))
     found = materialise(found)
-    rows = docs.select("doc_id").join(small_or_plain(found, found.count()), "doc_id", "left")
+    rows = docs.select("doc_id").join(small_or_plain(found), "doc_id", "left")
     return rows.select("doc_id", F.col("n_items").isNotNull().alias("contaminated"), F.coalesce("n_items", F.lit(0).cast("long")).alias("n_items"), "first_item", F.coalesce(F.col("most_matched").cast("long"), F.lit(0).cast("long")).alias("most_matched"))
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
     """Pipeline form: contaminated documents go, the others stay as they are."""
     gone = materialise(overlaps(docs.select("doc_id", "text"), items.select("item_id", "text")).select("doc_id").distinct())
-    return docs.join(small_or_plain(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)
+    return docs.join(small_or_plain(gone), "doc_id", "left_anti").select(docs.columns)

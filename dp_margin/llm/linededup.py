@@ -5,8 +5,9 @@ State: ``refs(shard, k1, k2, refs)``, the exact number of documents that hold a
 Documents can be inserted and deleted again; the counts make every step reversible.
 
 Defined cases: null or empty text is one empty line; empty keys are never dropped; each row is a
-document, repeated rows too; a null doc_id is carried; extra columns are ignored by the query and
-kept by ``apply_lines``; an empty table gives an empty result.
+document, repeated rows, rows that share a doc_id and rows without one too; a null doc_id is carried; extra columns are
+ignored by the query and kept by ``apply_lines``, whose own get underscores after them where a name is taken; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, materialise, utf8
+from .common import bound_batches, free_name, materialise, utf8
 from .cuckoo import CuckooFilter
 
 MIN_DOCS, MIN_CHARS = 10, 1
@@ -196,12 +197,18 @@ def _dropper(member: _Member, min_chars: int):
     return drops
 
 
+def added_names(docs: DataFrame) -> list[str]:
+    """Names of the columns that ``apply_lines`` adds to docs."""
+    return [free_name(docs, c) for c in ("dm_n_lines", "dm_n_dropped")]
+
+
 def apply_lines(docs: DataFrame, state: LineState, text: str = "text", limit: int = FILTER_BYTES) -> DataFrame:
     """docs with ``text`` cut, and ``dm_n_lines``, ``dm_n_dropped`` beside their own columns."""
     spark: SparkSession = docs.sparkSession
     bound_batches(spark)
     member = membership(state, limit)
-    schema = docs.withColumn(text, F.col(text).cast("string")).withColumn("dm_n_lines", F.lit(0).cast("long")).withColumn("dm_n_dropped", F.lit(0).cast("long")).schema
+    docs = docs.withColumn(text, F.col(text).cast("string"))
+    schema = docs.withColumns({c: F.lit(0).cast("long") for c in added_names(docs)}).schema
     for f in schema:
         f.nullable = True
     if member is None:
@@ -222,8 +229,11 @@ def apply_lines(docs: DataFrame, state: LineState, text: str = "text", limit: in
 
 def _apply_by_join(docs: DataFrame, state: LineState, text: str) -> DataFrame:
     """The way for filters beyond the broadcast limit: lines meet the exact counts in a shuffled join (skewed keys are split by AQE)."""
-    at = docs.columns.index(text)
-    own = docs.withColumn("dm_key", F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit("")))).withColumn("dm_key2", F.sha1(F.coalesce(F.col(text).cast("string"), F.lit(""))))
+    names, added = docs.columns, added_names(docs)
+    at, said = names.index(text), F.coalesce(F.col(text), F.lit(""))
+    # the documents' own columns travel under numbers, so that none of them clashes with the join's
+    own = docs.select(*[F.col(f"`{c}`").alias(f"own_{i}") for i, c in enumerate(names)], F.xxhash64(said).alias("key"), F.sha1(said).alias("key2"))
+    text = f"own_{at}"
     min_chars = state.min_chars
 
     def lines(batches):
@@ -235,15 +245,15 @@ def _apply_by_join(docs: DataFrame, state: LineState, text: str) -> DataFrame:
                     if len(k.decode()) >= max(1, min_chars):
                         out[0].append(a), out[1].append(c), out[2].append(j), out[3].append(k)
             k = digest(out[3])
-            yield pa.record_batch([pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.int64()), pa.array(k[:, 0]), pa.array(k[:, 1])], ["dm_key", "dm_key2", "at", "k1", "k2"])
-
-    found = own.select(text, "dm_key", "dm_key2").distinct().mapInArrow(lines, "dm_key long, dm_key2 string, at long, k1 long, k2 long")
-    gone = found.join(state.hot().select("k1", "k2"), ["k1", "k2"]).groupBy("dm_key", "dm_key2").agg(F.collect_list("at").alias("dm_gone"))
-    parts = F.split(F.coalesce(F.col(text).cast("string"), F.lit("")), "\n", -1)
-    joined = own.join(gone, ["dm_key", "dm_key2"], "left").withColumn("dm_parts", parts).withColumn("dm_gone", F.coalesce("dm_gone", F.array().cast("array<long>")))
-    kept = F.array_join(F.filter("dm_parts", lambda _, i: ~F.array_contains("dm_gone", i.cast("long"))), "\n")
-    cols = [kept.alias(text) if i == at else F.col(c) for i, c in enumerate(docs.columns)]
-    return joined.select(*cols, F.size("dm_parts").cast("long").alias("dm_n_lines"), F.size("dm_gone").cast("long").alias("dm_n_dropped"))
+            yield pa.record_batch([pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.int64()), pa.array(k[:, 0]), pa.array(k[:, 1])], ["key", "key2", "at", "k1", "k2"])
+
+    found = own.select(text, "key", "key2").distinct().mapInArrow(lines, "key long, key2 string, at long, k1 long, k2 long")
+    gone = found.join(materialise(state.hot().select("k1", "k2")), ["k1", "k2"]).groupBy("key", "key2").agg(F.collect_list("at").alias("gone"))
+    parts = F.split(F.coalesce(F.col(text), F.lit("")), "\n", -1)
+    joined = own.join(gone, ["key", "key2"], "left").withColumn("parts", parts).withColumn("gone", F.coalesce("gone", F.array().cast("array<long>")))
+    kept = F.array_join(F.filter("parts", lambda _, i: ~F.array_contains("gone", i.cast("long"))), "\n")
+    cols = [(kept if i == at else F.col(f"own_{i}")).alias(c) for i, c in enumerate(names)]
+    return joined.select(*cols, F.size("parts").cast("long").alias(added[0]), F.size("gone").cast("long").alias(added[1]))
 
 
 def drop_repeated_lines(docs: DataFrame, min_docs: int = MIN_DOCS, min_chars: int = MIN_CHARS) -> DataFrame:
