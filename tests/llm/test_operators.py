@@ -11,6 +11,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from dp_margin.llm import bpe, cuckoo, decontam, language, linededup, neardup, pieces, secrets, telephony, tokenfiles, words, wrappers
 from dp_margin.llm.common import mix64, shared_dir
@@ -86,19 +87,30 @@ def test_resampling():
     assert len(telephony.resample(np.zeros(0, np.int16))) == 0
 
 
-def test_media_contract(spark, tmp_path):
+@pytest.mark.parametrize("n", [0, 1, 2, 3, 64, 1001])
+def test_stored_pcm_is_lossless(n):
+    x = np.random.default_rng(n).integers(-32768, 32768, n).astype(np.int16)
+    assert telephony.uncode_pcm(telephony.code_pcm(x)).tolist() == x.tolist()
+    y = telephony.resample(x)
+    coded = telephony.code_pcm(y)
+    assert telephony.uncode_pcm(coded).tolist() == y.tolist() and not any(coded[2 * n :])
+
+
+def test_media_contract(spark):
     texts = texts_with_copies()
     d = docs_frame(spark, texts)
     stored = telephony.media_table(d)
-    got = {r.doc_id: r for r in stored.mapInArrow(telephony._digest, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string").collect()}
+    got = {r.doc_id: r for r in stored.mapInArrow(telephony._digest, telephony._DIGEST + ", coded binary").mapInArrow(telephony._seal, telephony._DIGEST).collect()}
     for i, t in enumerate(texts):
         b = (t or "").encode()
         p = b + b"\0" * ((-len(b)) % 64 or (0 if b else 64))
         r = got[i]
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(b), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]))
+        heard = telephony.resample(telephony.MU[np.frombuffer(p, np.uint8)]).astype("<i2").tobytes()
+        assert r.feature.endswith(f"pcm16k={zlib.crc32(heard):08x}")
     assert telephony.features([b"\0" * 64] * 2)[0] == telephony.features([b"\0" * 64])[0]
-    pcm = telephony.pcm_table(stored, f"file://{tmp_path}/pcm")
-    assert pcm.count() == len(texts) and pcm.where("doc_id = 0").first().pcm
+    pcm = {r.doc_id: r for r in telephony.read_pcm(telephony.pcm_table(stored)).collect()}
+    assert len(pcm) == len(texts) and pcm[0].rate == 16000 and len(pcm[0].pcm) == 4 * got[0].payload_bytes
     assert telephony.media_table(empty_frame(spark)).count() == 0
 
 
@@ -125,14 +137,49 @@ def test_viterbi_is_best_and_decodes(piece_model):
         return b[-1]
 
     for text in ("The quick brown fox", "  two  spaces ", "x\ny\tz", "漢字😀é", "Donaudampfschifffahrt" * 9, "a" * 700):
-        (ids,) = m.encode([text])
-        assert m.decode(ids) == text
-        for part in pieces._parts(text):
-            got = m.segment([part])[0]
+        ids, n = m.encode(pa.array([text]))
+        assert m.decode(ids.tolist()) == text and n.tolist() == [len(ids)]
+        for part in (pieces.MARK + p.replace(" ", pieces.MARK) for p in pieces._parts(pa.array([text]))[0].to_pylist()):
+            got = m.segment([part])[0].tolist()
             missing = sum(c not in m.trie.codes for c in part)
             assert sum(m.score[i] for i in got if i not in m.is_byte) + missing * m.unknown == pytest.approx(best(part))
 
 
+def test_long_segments_take_the_same_way(piece_model, monkeypatch):
+    r = random.Random(2)
+    for run in (40, 64, 400):
+        part = pieces.MARK + "".join(r.choice("abcdetheion漢🙂ü") for _ in range(333))
+        want = piece_model._segment([part])
+        monkeypatch.setattr(pieces, "RUN_CHARS", run)
+        assert piece_model.segment([part])[0].tolist() == want[0].tolist()
+
+
+def test_parts_of_texts():
+    texts = ["a  b ", None, "", " ", "x", "  y", "a b", "z   "]
+    parts, n = pieces._parts(pa.array(texts))
+    assert n.tolist() == [3, 0, 0, 1, 1, 1, 2, 2] and parts.to_pylist() == ["a", " b", "", " ", "x", "  y", "a", "b", "z", "  "]
+
+
+def test_tables_start_anew_and_ids_stay(piece_model, monkeypatch):
+    texts = pa.array([t for t in texts_with_copies() if t])
+    want = piece_model.encode(texts)
+    monkeypatch.setattr(piece_model.table, "limit", 1 << 12)
+    monkeypatch.setattr(pieces, "SEGMENTS", 100)
+    got = piece_model.encode(texts)
+    assert got[0].tolist() == want[0].tolist() and got[1].tolist() == want[1].tolist()
+    w = bpe.WordEncoder(bpe.vocabulary())
+    want = w.encode(texts)
+    monkeypatch.setattr(w.table, "limit", 1 << 12)
+    monkeypatch.setattr(bpe, "WORDS", 100)
+    got = w.encode(texts)
+    assert got[0].tolist() == want[0].tolist() and got[1].tolist() == want[1].tolist()
+
+
+def test_bytes_that_are_no_text(piece_model):
+    b = piece_model.byte
+    assert piece_model.decode([int(b[0xE2]), int(b[0x41])]) == b"\xe2A".decode("utf-8", "replace")
+
+
 def test_unigram_against_the_library(piece_model, tmp_path):
     """The library's own unigram segmentation under the same scores."""
     sp = pytest.importorskip("sentencepiece")
@@ -147,7 +194,7 @@ def test_unigram_against_the_library(piece_model, tmp_path):
     (tmp_path / "u.model").write_bytes(proto.SerializeToString())
     lib = sp.SentencePieceProcessor(model_file=str(tmp_path / "u.model"))
     for t in ("The lexer reads every token of the line.", "pour la reanmentaux et les ouenre", "Schön war die Überraschung"):
-        (ids,) = piece_model.encode([t])
+        ids = piece_model.encode(pa.array([t]))[0].tolist()
         assert sum(piece_model.score[i] for i in ids) == pytest.approx(sum(piece_model.score[i] for i in lib.encode(t)), abs=1e-3)
 
 
@@ -198,7 +245,8 @@ def test_separator_scan(spark, block):
     uri = shared_dir(spark)
     written = tokenfiles.write_flat(docs_frame(spark, texts).repartition(3), bpe.vocabulary(), uri) if block > 3 else tokenfiles.write_flat(docs_frame(spark, texts[:8]), bpe.vocabulary(), uri)
     tok = bpe.WordEncoder(bpe.vocabulary(), True).tok
-    found = written.join(tokenfiles.scan_separators(spark, uri, block_ids=block), ["file", "ordinal"], "full").collect()
+    found = tokenfiles.scan_separators(spark, uri, block_ids=block).collect()
+    assert written.groupBy().sum("n_docs").first()[0] == len(found)
     assert len(found) == (len(texts) if block > 3 else 8)
     for r in found:
         assert r.n_tokens == len(tok.encode(texts[r.doc_id] or "", add_special_tokens=False).ids)
@@ -314,6 +362,46 @@ def test_priors_are_smoothed_by_level(spark):
     assert p["h1"].p0 == pytest.approx(0.9, abs=0.02) and 0.7 < p["h2"].p0 < 0.9 and p["h2"].p0 + p["h2"].p1 == pytest.approx(1)
 
 
+def test_posterior_against_a_scalar_version(spark):
+    """Every step again in plain Python: trigram likelihood, soft counts, smoothed levels, declarations, the product."""
+    rows = [(i, " ".join(random.Random(i).choice({"de": "der die das und nicht", "en": "the and of not with", "es": "el los que por una", "fr": "le les des une pas"}[lang].split()) for _ in range(5 + i % 9)), lang if i % 4 else None, f"h{i % 5}" if i % 6 else None) for i, lang in enumerate(["de", "en", "es", "fr", "en", "en"] * 8)]
+    d = spark.createDataFrame([(i, t, c, h, f"d{i % 2}", "org") for i, t, c, h in rows], "id long, text string, declared string, host string, domain string, suffix string")
+    model = language.fit_text_model(d)
+    fit = {(c, t) for _, t, c, _ in rows if c}
+    first = {t: min(c for c, u in fit if u == t) for _, t in fit}
+    for k, lang in enumerate(language.LANGUAGES):
+        seen = collections.Counter(x for t, c in first.items() if c == lang for x in language._trigrams([t.encode()])[0].tolist() if x < language.BUCKETS)
+        total = sum(seen.values()) + 0.5 * language.BUCKETS
+        assert all(model.weights[k][x] == pytest.approx(math.log((n + 0.5) / total), rel=1e-5) for x, n in seen.items())
+
+    def normal(log):
+        e = [math.exp(x - max(log)) for x in log]
+        return [x / sum(e) for x in e]
+
+    ll = {}
+    for i, t, _, _ in rows:
+        at = [x for x in language._trigrams([t.encode()])[0].tolist() if x < language.BUCKETS]
+        ll[i] = [sum(float(model.weights[k][x]) for x in at) * min(1, language.EFFECTIVE / max(1, len(at))) for k in range(4)]
+    soft = {i: normal(x) for i, x in ll.items()}
+
+    def level(ids, parent):
+        if parent is None:
+            return [(sum(soft[i][k] for i in ids) + 1) / (len(ids) + 4) for k in range(4)]
+        return [(sum(soft[i][k] for i in ids) + language.SMOOTHING * parent[k]) / (len(ids) + language.SMOOTHING) for k in range(4)]
+
+    every = [r[0] for r in rows]
+    top = level(every, level(every, None))  # one suffix
+    declared = sorted({c for _, _, c, _ in rows if c})
+    spoken = [sum(soft[i][k] for i, _, c, _ in rows if c) for k in range(4)]
+    got = {r.id: r for r in language.classify(d, model, keep=["id"]).collect()}
+    for i, _, c, h in rows:
+        domain = level([j for j, *_ in rows if j % 2 == i % 2], top)
+        prior = level([j for j, _, _, g in rows if j % 2 == i % 2 and g == h], domain)
+        hint = [math.log((sum(soft[j][k] for j, _, e, _ in rows if e == c) + language.DECLARED_SMOOTHING / len(declared)) / (spoken[k] + language.DECLARED_SMOOTHING)) for k in range(4)] if c else [0.0] * 4
+        p = normal([ll[i][k] + math.log(prior[k]) + hint[k] for k in range(4)])
+        assert got[i].dm_posterior == pytest.approx(max(p), rel=1e-4) and got[i].dm_lang == language.LANGUAGES[p.index(max(p))]
+
+
 def test_language_of_nothing(spark):
     assert language.keep_accepted(empty_frame(spark)).count() == 0
 
@@ -360,6 +448,21 @@ def test_chains_join_into_one_group(spark):
     assert got == brute_groups(range(len(texts)), texts)
 
 
+def test_keep_first_loses_no_text(spark):
+    d = docs_frame(spark, ["a b c d e f g", "some other words that nothing else has", "p q r s t u v"])
+    d = d.union(d.where("doc_id = 0").withColumn("text", F.lit("one more text of the same document"))).union(d.where("doc_id = 2"))
+    kept = sorted((r.doc_id, r.text) for r in neardup.keep_first(d).collect())
+    assert kept == [(0, "a b c d e f g"), (0, "one more text of the same document"), (1, "some other words that nothing else has"), (2, "p q r s t u v")]
+
+
+def test_words_of_long_texts_in_chunks():
+    texts = [b"", b" a ", b"x" * 500, b"one two\tthree " * 40, b"END"]
+    want = words.word_hashes(texts)
+    for chunk in (1, 7, 64, 499):
+        got = words.word_hashes(texts, chunk)
+        assert got[0].tolist() == want[0].tolist() and got[1].tolist() == want[1].tolist() == [0, 1, 1, 120, 1]
+
+
 def test_keep_first(spark):
     texts = ["a b c d e f g", "a b c d e f g", None, ""]
     d = docs_frame(spark, texts).union(docs_frame(spark, texts[:1]))
