@@ -21,7 +21,8 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def cut_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, without the lines that many of them share; n_chars follows the text."""
     cut = linededup.drop_repeated_lines(docs)
-    own = {"n_chars": F.when(F.col("dm_n_dropped") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))} if "n_chars" in docs.columns else {}
+    dropped = linededup.added_names(docs)[1]
+    own = {"n_chars": F.when(F.col(dropped) > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))} if "n_chars" in docs.columns else {}
     return cut.withColumns(own).select(docs.columns)
 
 
