@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from .kernels import UnboundedSpectrum
 
 _num = SimpleNamespace(sqrt=math.sqrt, log=math.log, least=min, greatest=max, exp=math.exp, power=pow, ceil=math.ceil)
-_col = SimpleNamespace(sqrt=lambda x: F.sqrt(_lit(x)), log=lambda x: F.log(_lit(x)), least=lambda *a: F.least(*map(_lit, a)), greatest=lambda *a: F.greatest(*map(_lit, a)), exp=lambda x: F.exp(_lit(x)), power=lambda x, p: F.pow(_lit(x), _lit(p)), ceil=lambda x: F.ceil(_lit(x)))
+_col = SimpleNamespace(sqrt=lambda x: F.sqrt(_lit(x)), log=lambda x: F.log(_lit(x)), least=lambda *a: F.least(*map(_lit, a)), greatest=lambda *a: F.greatest(*map(_lit, a)), exp=lambda x: F.exp(_lit(x)), power=lambda x, p: F.pow(_lit(x), _lit(p)), ceil=lambda x: F.when(_lit(x) < 2.0**53, F.ceil(_lit(x)).cast("double")).otherwise(_lit(x)))
 
 
 def _lit(x):
@@ -139,3 +139,14 @@ def plan_release(beta, eps, delta, C, n, features, kappa=1.0, phi=1.0, L=1.0) ->
     lo, hi = min_noise_finite(beta, n, C, kappa, features, L), max_noise_finite(eps, delta, features, phi)
     need = math.ceil(weight_sensitivity(C, 1, kappa, L, 1, features) / (beta * hi))
     return {"feasible": lo <= hi, "lam": lo if lo <= hi else None, "lam_min": lo, "lam_max": hi, "rows_needed": need}
+
+
+def plan_release_random(beta, eps, delta, C, n, d, sigma_p2, diam, constant="stated") -> dict:
+    """Hinge, random map: the frequencies that usefulness asks for, then the noise that privacy and accuracy leave, or the fewest rows for which they meet.
+
+    Takes numbers or columns and gives the same kind.
+    """
+    o = _of(beta, eps, delta, C, n, d, sigma_p2, diam)
+    m = frequencies_needed(theta_hinge(eps, C, constant), d, delta, sigma_p2, diam)
+    lo, hi = min_noise_random(beta, n, C, m), max_noise_random(eps, delta, m)
+    return {"m": m, "lam_min": lo, "lam_max": hi, "feasible": lo <= hi, "rows_needed": o.ceil(min_noise_random(beta, 1, C, m) / hi)}

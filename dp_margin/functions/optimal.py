@@ -11,7 +11,7 @@ from . import calibrate as cal
 
 
 def upper_random(eps, delta, C, n, m, L=1.0):
-    """What the random-feature mechanism reaches at the largest admissible noise."""
+    """What the random-feature mechanism reaches at the largest admissible noise; a bound only if m frequencies make it useful (``upper_rbf``)."""
     return cal.min_noise_random(cal.max_noise_random(eps, delta, m), n, C, m, L)
 
 
@@ -48,8 +48,25 @@ def is_impossible(eps, delta, beta, C, n, corrected: bool = True):
     return (eps < F.sqrt(C) / (2 * n)) & (delta < limit)
 
 
-def privacy_bracket(sweep: DataFrame, m: int = 64) -> DataFrame:
-    """sweep (eps, delta, C, n, sigma) with ``lower`` and ``upper``."""
-    c = {k: F.col(k) for k in ("eps", "delta", "C", "n", "sigma")}
-    lower = F.greatest(F.coalesce(lower_linear(c["eps"], c["delta"], c["C"], c["n"]), F.lit(0.0)), F.coalesce(lower_rbf(*c.values()), F.lit(0.0)))
-    return sweep.withColumn("lower", lower).withColumn("upper", upper_random(c["eps"], c["delta"], c["C"], c["n"], F.lit(float(m))))
+def is_impossible_rbf(eps, delta, beta, C, n, sigma):
+    """The same for the RBF kernel, by its packing of databases."""
+    return F.coalesce(lower_rbf(eps, delta, C, n, sigma) > beta, F.lit(False))
+
+
+def upper_rbf(eps, delta, C, n, sigma, d, diam=2.0, constant="stated"):
+    """(m, beta): the frequencies that make the random-feature mechanism useful for this width, and the privacy it then reaches."""
+    m = cal.frequencies_needed(cal.theta_hinge(eps, C, constant), d, delta, d / (sigma * sigma), diam)
+    return m, upper_random(eps, delta, C, n, m)
+
+
+def bracket_linear(sweep: DataFrame) -> DataFrame:
+    """sweep (eps, delta, C, n, d) with ``lower`` (null where its conditions fail) and ``upper``, both for the linear kernel on the unit ball."""
+    a = [F.col(k) for k in ("eps", "delta", "C", "n")]
+    return sweep.withColumn("lower", lower_linear(*a)).withColumn("upper", upper_finite(*a, F.col("d")))
+
+
+def bracket_rbf(sweep: DataFrame, diam: float = 2.0) -> DataFrame:
+    """sweep (eps, delta, C, n, sigma, d) with ``lower`` (null where its conditions fail), ``m`` and ``upper``, all for the RBF kernel of that width."""
+    a = [F.col(k) for k in ("eps", "delta", "C", "n", "sigma")]
+    m, upper = upper_rbf(*a, F.col("d"), diam)
+    return sweep.withColumn("lower", lower_rbf(*a)).withColumn("m", m).withColumn("upper", upper)

@@ -2,18 +2,31 @@
 
 from __future__ import annotations
 
+import time
+from contextlib import contextmanager
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 
 def balance(ledger: DataFrame, cap: float) -> DataFrame:
-    """ledger (dataset, stratum, release_id, beta, ts) with the running total of each stratum and whether the cap allows the release.
+    """ledger (dataset, stratum, release_id, beta, ts) with ``granted`` and ``spent``, what the stratum's granted requests add up to so far.
 
-    A refused release spends nothing; whether it fits is decided by what all rows before it asked for.
+    Requests are taken in order of ts; one is granted if it fits in what is left of the cap, and a refused one spends nothing, as in ``spend``.
     """
-    w = Window.partitionBy("dataset", "stratum").orderBy("ts", "release_id").rowsBetween(Window.unboundedPreceding, 0)
-    return ledger.withColumn("asked", F.sum("beta").over(w)).withColumn("granted", F.col("asked") <= cap)
+    schema = ledger.withColumn("spent", F.lit(0.0)).withColumn("granted", F.lit(True)).schema
+
+    def replay(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("ts", "ascending"), ("release_id", "ascending")])
+        spent, out, granted = 0.0, [], []
+        for b in t["beta"].to_pylist():
+            granted.append(spent + b <= cap)
+            spent += b if granted[-1] else 0.0
+            out.append(spent)
+        return t.append_column("spent", pa.array(out, pa.float64())).append_column("granted", pa.array(granted, pa.bool_()))
+
+    return ledger.groupBy("dataset", "stratum").applyInArrow(replay, schema)
 
 
 def sequential(ledger: DataFrame) -> DataFrame:
@@ -32,17 +45,31 @@ def group_privacy(beta, k):
     return beta * k
 
 
-def spend(spark: SparkSession, path: str, dataset: str, release_id: str, beta: float, cap: float, stratum: str = "") -> None:
-    """Appends a debit before the release is computed; refuses beyond the cap."""
+@contextmanager
+def _locked(spark: SparkSession, path: str, patience: float):
+    """Holds the ledger's lock file, which the file system creates for one writer only."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path, "_lock")
+    fs = at.getFileSystem(spark._jsc.hadoopConfiguration())
+    fs.mkdirs(at.getParent())
+    end = time.monotonic() + patience
+    while not fs.createNewFile(at):
+        if time.monotonic() > end:
+            raise TimeoutError(f"{at.toString()} is held by another writer")
+        time.sleep(0.05)
     try:
-        spent = spark.read.parquet(path).where((F.col("dataset") == dataset) & (F.col("stratum") == stratum)).agg(F.sum("beta")).first()[0] or 0.0
-    except Exception as e:  # the ledger's first entry makes its folder
-        if "PATH_NOT_FOUND" not in str(e):
-            raise
-        spent = 0.0
-    if spent + beta > cap:
-        raise PermissionError(f"{dataset}: {spent + beta:g} would pass the cap of {cap:g}")
-    spark.createDataFrame([(dataset, stratum, release_id, float(beta))], "dataset string, stratum string, release_id string, beta double").withColumn("ts", F.current_timestamp()).write.mode("append").parquet(path)
+        yield
+    finally:
+        fs.delete(at, False)
+
+
+def spend(spark: SparkSession, path: str, dataset: str, release_id: str, beta: float, cap: float, stratum: str = "", patience: float = 60.0) -> None:
+    """Appends a debit before the release is computed; refuses beyond the cap. Writers take turns by a lock file beside the ledger."""
+    schema = "dataset string, stratum string, release_id string, beta double, ts timestamp"
+    with _locked(spark, path, patience):
+        spent = spark.read.schema(schema).parquet(path).where((F.col("dataset") == dataset) & (F.col("stratum") == stratum)).agg(F.sum("beta")).first()[0] or 0.0
+        if spent + beta > cap:
+            raise PermissionError(f"{dataset}: {spent + beta:g} would pass the cap of {cap:g}")
+        spark.createDataFrame([(dataset, stratum, release_id, float(beta))], "dataset string, stratum string, release_id string, beta double").withColumn("ts", F.current_timestamp()).write.mode("append").parquet(path)
 
 
 def register(release: DataFrame, path: str, dataset: str) -> None:

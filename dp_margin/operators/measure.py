@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,6 +13,7 @@ from ..functions import rng
 from ..functions import vectors as v
 from ..functions.losses import Hinge, Loss
 from . import solvers
+from .passes import matrix
 
 
 def tagged(df: DataFrame) -> DataFrame:
@@ -53,8 +55,18 @@ def audit_privacy(spark: SparkSession, w1: float, w2: float, lam: float, trials:
 def usefulness(spark: SparkSession, probes: DataFrame, features: int, lam: float, eps: float, trials: int, seed: int) -> DataFrame:
     """(useful): share of noise draws whose classifier stays within eps on all probes (x)."""
     noise = spark.range(trials * features).select(F.floor(F.col("id") / features).alias("trial"), (F.col("id") % features).alias("pos"), rng.laplace(rng.uniform(seed, "use", F.col("id")), lam).alias("mu"))
-    mu = noise.groupBy("trial").agg(F.array_sort(F.collect_list(F.struct("pos", "mu"))).alias("m")).select("trial", F.transform("m", lambda s: s["mu"]).alias("mu"))
-    far = probes.crossJoin(F.broadcast(mu)).groupBy("trial").agg(F.max(F.abs(v.dot(F.col("x"), F.col("mu")))).alias("far"))
+    held = np.zeros((trials, features))
+    for r in noise.collect():  # trials x features numbers
+        held[r.trial, r.pos] = r.mu
+
+    def run(batches):
+        far = np.zeros(trials)
+        for b in batches:
+            if b.num_rows:
+                far = np.maximum(far, np.abs(matrix(b.column(0)) @ held.T).max(axis=0))
+        yield pa.record_batch([pa.array(np.arange(trials)), pa.array(far)], ["trial", "far"])
+
+    far = probes.select("x").mapInArrow(run, "trial long, far double").groupBy("trial").agg(F.max("far").alias("far"))
     return far.agg(F.avg(F.when(F.col("far") <= eps, 1.0).otherwise(0.0)).alias("useful"))
 
 
@@ -117,8 +129,6 @@ def kernel_error_blocks(df: DataFrame, kernel, rhos: list[np.ndarray], rows: int
     met = b.toDF("p", "i", "x").join(b.toDF("q", "j", "z"), F.col("p") <= F.col("q"))
 
     def run(batches):
-        import pyarrow as pa
-
         for batch in batches:
             out = []
             for r in batch.to_pylist():

@@ -11,6 +11,7 @@ from ..functions import vectors as v
 from ..functions.kernels import trig_batch
 from .mechanisms import Release
 from .passes import matrix
+from .solvers import DUAL_ROWS
 
 LITERAL_FEATURES = 128
 
@@ -37,7 +38,10 @@ def classify(df: DataFrame, release: Release) -> DataFrame:
 
 
 def score_dual(test: DataFrame, train: DataFrame, alpha: DataFrame, kernel=None) -> DataFrame:
-    """(test_id, score): the signed kernel expansion over rows with alpha > 0 (at most a driver's worth, so they are broadcast)."""
+    """(test_id, score): the signed kernel expansion over rows with alpha > 0; their number is counted, and more than the dual solves for are refused."""
+    held = alpha.where("alpha > 0").count()
+    if held > DUAL_ROWS:
+        raise ValueError(f"{held} support vectors; at most {DUAL_ROWS} are broadcast")
     sv = train.join(alpha.where("alpha > 0"), "row_id").select(F.col("x").alias("sx"), (F.col("alpha") * F.col("y")).alias("ay"))
     k = (lambda a, b: v.dot(a, b)) if kernel is None else kernel.column
     pairs = test.select(F.col("row_id").alias("test_id"), "x").crossJoin(F.broadcast(sv))

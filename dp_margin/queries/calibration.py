@@ -109,14 +109,35 @@ def release_plan_tables(spark, sf_dir):
     return g.select("tbl", "beta", "eps", "C", "F", _r(lo).alias("lam_min"), _r(hi).alias("lam_max"), (lo <= hi).alias("feasible"), need.cast("long").alias("rows_needed"))
 
 
-_UP = sql_grid(True, eps=E, delta=D, C=C, m=[16, 256])
+def _sql_m(eps: str, delta: str, C: str, d: str, moment: str) -> str:
+    """SQL of the frequencies that usefulness for the hinge loss asks for, on a domain of diameter 2."""
+    th = f"least(1.0::DOUBLE, power({eps}, 4) / (4096 * power({C}, 4)))"
+    return f"greatest(1.0::DOUBLE, ceil(4 * ({d} + 2) / {th} * ln(512 * {moment} * 4 / ({delta} * {th}))))"
 
 
-@query("upper_bound_sweep", f"""SELECT tbl, eps, delta, C, m, round(power(2.0::DOUBLE, 2.5) * C * sqrt(m) / (least(eps / (16 * ln(2::DOUBLE) * sqrt(m)), eps * sqrt(m) / (8 * ln(2 / delta))) * n), 7) AS exact,
-round(sqrt(ln(1 / (delta * eps))) * (ln(1 / eps) + power(ln(1 / (delta * eps)), 2)) / (power(eps, 3) * n), 7) AS published FROM {_UP}""")
+_SQL_CEILING = "least(eps / (16 * ln(2::DOUBLE) * sqrt(m)), eps * sqrt(m) / (8 * ln(2 / delta)))"
+_RP = dict(beta=[0.1, 1, 10], eps=[0.5, 1], C=[0.1, 1], d=[4, 64])
+
+
+@query("release_plan_random", f"""SELECT tbl, beta, eps, C, d, round(log10(m), 9) AS log_m, round(lo, 9) AS lam_min, round(hi * 1e6, 9) AS lam_max_e6, lo <= hi AS feasible, round(log10(ceil(power(2.0::DOUBLE, 2.5) * C * sqrt(m) / (beta * hi))), 9) AS log_rows_needed
+FROM (SELECT *, power(2.0::DOUBLE, 2.5) * C * sqrt(m) / (beta * n) AS lo, {_SQL_CEILING} AS hi FROM (SELECT *, 0.05::DOUBLE AS delta, {_sql_m("eps", "0.05::DOUBLE", "C", "d", "d")} AS m FROM {sql_grid(True, **_RP)}))""")
+def release_plan_random(spark, sf_dir):
+    """RBF of width 1 on a domain of diameter 2: the frequencies are picked, not given."""
+    g = grid(spark, sf_dir, True, **_RP)
+    p = cal.plan_release_random(c("beta"), c("eps"), F.lit(0.05), c("C"), c("n"), c("d"), c("d"), F.lit(2.0))
+    return g.select("tbl", "beta", "eps", "C", "d", _r(F.log10(p["m"])).alias("log_m"), _r(p["lam_min"]).alias("lam_min"), _r(p["lam_max"] * 1e6).alias("lam_max_e6"), p["feasible"].alias("feasible"), _r(F.log10(p["rows_needed"])).alias("log_rows_needed"))
+
+
+_UP = dict(eps=E, delta=D, C=C, sigma=[0.5, 1])
+
+
+@query("upper_bound_sweep", f"""SELECT tbl, eps, delta, C, sigma, round(log10(m), 7) AS log_m, round(log10(power(2.0::DOUBLE, 2.5) * C * sqrt(m) / ({_SQL_CEILING} * n)), 7) AS log_exact,
+round(sqrt(ln(1 / (delta * eps))) * (ln(1 / eps) + power(ln(1 / (delta * eps)), 2)) / (power(eps, 3) * n), 7) AS published FROM (SELECT *, {_sql_m("eps", "delta", "C", "4", "(4 / (sigma * sigma))")} AS m FROM {sql_grid(True, **_UP)})""")
 def upper_bound_sweep(spark, sf_dir):
-    g = grid(spark, sf_dir, True, eps=E, delta=D, C=C, m=[16, 256])
-    return g.select("tbl", "eps", "delta", "C", "m", F.round(optimal.upper_random(c("eps"), c("delta"), c("C"), c("n"), c("m")), 7).alias("exact"), F.round(optimal.published_rate(c("eps"), c("delta"), c("n")), 7).alias("published"))
+    """RBF in four dimensions, diameter 2: what the mechanism reaches with the frequencies that make it useful, beside the stated rate."""
+    g = grid(spark, sf_dir, True, **_UP)
+    m, exact = optimal.upper_rbf(c("eps"), c("delta"), c("C"), c("n"), c("sigma"), F.lit(4.0))
+    return g.select("tbl", "eps", "delta", "C", "sigma", F.round(F.log10(m), 7).alias("log_m"), F.round(F.log10(exact), 7).alias("log_exact"), F.round(optimal.published_rate(c("eps"), c("delta"), c("n")), 7).alias("published"))
 
 
 @query("upper_bound_finite", f"SELECT tbl, eps, delta, C, F, round(8 * C * sqrt(F) * (F * ln(2::DOUBLE) + ln(1 / delta)) / (eps * n), 7) AS beta FROM {sql_grid(True, eps=E, delta=D, C=C, F=[4, 64])}")
@@ -153,15 +174,29 @@ def impossibility_grid(spark, sf_dir):
     return g.select("tbl", "eps", "delta", "beta", "C", optimal.is_impossible(*a).alias("impossible"), optimal.is_impossible(*a, corrected=False).alias("printed"))
 
 
-_BR = sql_grid(True, eps=[1e-7, 1e-5, 1e-3], delta=D, C=[1], sigma=[0.25, 0.5])
+_IMPR = dict(eps=[1e-7, 1e-5, 0.1], delta=[0.001, 0.01, 0.1], beta=[0.5, 2, 5, 10], sigma=[0.25, 0.5, 1])
+
+
+@query("impossibility_rbf", f"SELECT tbl, eps, delta, beta, sigma, n > 1 AND eps < 1 / (4 * n) AND sigma < sqrt(1 / (2 * ln(2::DOUBLE))) AND ln((1 - delta) * ({_N} - 1) / delta) > beta AS impossible FROM {sql_grid(True, **_IMPR)}")
+def impossibility_rbf(spark, sf_dir):
+    g = grid(spark, sf_dir, True, **_IMPR)
+    return g.select("tbl", "eps", "delta", "beta", "sigma", optimal.is_impossible_rbf(c("eps"), c("delta"), c("beta"), F.lit(1.0), c("n"), c("sigma")).alias("impossible"))
+
+
+_BL, _BR = dict(eps=[1e-7, 1e-5, 1e-3, 0.5], delta=D, C=[0.1, 1], d=[4, 64]), dict(eps=[1e-5, 1e-3, 0.5], delta=D, C=[0.1, 1], sigma=[0.25, 0.5, 1], d=[4])
 
 
-@query("privacy_bracket", f"""SELECT tbl, eps, delta, C, sigma, round(greatest(coalesce(CASE WHEN eps < sqrt(C) / (2 * n) THEN ln((1 - delta) / delta) END, 0),
-coalesce(CASE WHEN n > C AND eps < C / (4 * n) THEN ln((1 - delta) * ({_N} - 1) / delta) END, 0)), 6) AS lower,
-round(power(2.0::DOUBLE, 2.5) * C * 8 / (least(eps / (128 * ln(2::DOUBLE)), eps * 8 / (8 * ln(2 / delta))) * n), 3) AS upper FROM {_BR}""")
+@query("privacy_bracket", f"""SELECT 'linear' AS kernel, tbl, eps, delta, C, d, NULL::DOUBLE AS sigma, NULL::DOUBLE AS log_m, round(lower, 6) AS lower, round(log10(upper), 6) AS log_upper, coalesce(lower <= upper, true) AS holds FROM
+(SELECT *, CASE WHEN eps < sqrt(C) / (2 * n) THEN ln((1 - delta) / delta) END AS lower, 8 * C * sqrt(d) * (d * ln(2::DOUBLE) + ln(1 / delta)) / (eps * n) AS upper FROM {sql_grid(True, **_BL)})
+UNION ALL SELECT 'rbf', tbl, eps, delta, C, d, sigma, round(log10(m), 6), round(lower, 6), round(log10(upper), 6), coalesce(lower <= upper, true) FROM
+(SELECT *, CASE WHEN n > C AND eps < C / (4 * n) AND sigma < sqrt(1 / (2 * ln(2::DOUBLE))) THEN ln((1 - delta) * ({_N} - 1) / delta) END AS lower, power(2.0::DOUBLE, 2.5) * C * sqrt(m) / ({_SQL_CEILING} * n) AS upper
+FROM (SELECT *, {_sql_m("eps", "delta", "C", "d", "(d / (sigma * sigma))")} AS m FROM {sql_grid(True, **_BR)}))""")
 def privacy_bracket(spark, sf_dir):
-    g = optimal.privacy_bracket(grid(spark, sf_dir, True, eps=[1e-7, 1e-5, 1e-3], delta=D, C=[1], sigma=[0.25, 0.5]))
-    return g.select("tbl", "eps", "delta", "C", "sigma", F.round("lower", 6).alias("lower"), F.round("upper", 3).alias("upper"))
+    """Lower and upper bound of the best privacy, for one kernel at a time."""
+    a = optimal.bracket_linear(grid(spark, sf_dir, True, **_BL)).withColumns({"kernel": F.lit("linear"), "sigma": F.lit(None).cast("double"), "m": F.lit(None).cast("double")})
+    b = optimal.bracket_rbf(grid(spark, sf_dir, True, **_BR)).withColumn("kernel", F.lit("rbf"))
+    said = ["kernel", "tbl", "eps", "delta", "C", "d", "sigma", F.round(F.log10("m"), 6).alias("log_m"), F.round("lower", 6).alias("lower"), F.round(F.log10("upper"), 6).alias("log_upper"), F.coalesce(F.col("lower") <= F.col("upper"), F.lit(True)).alias("holds")]
+    return a.select(*said).union(b.select(*said))
 
 
 @query("kernel_cost", f"SELECT tbl, d, m, d * n * n AS direct, m * n * n AS random FROM {sql_grid(True, d=[4, 64], m=[16, 256])}")

@@ -8,7 +8,8 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from ..functions import kernels as K
-from ..functions.losses import Hinge, Logistic
+from ..functions import vectors as v
+from ..functions.losses import Hinge, Logistic, Square
 from ..functions.rng import SeededRng
 from ..operators import baselines, mechanisms, scoring, solvers
 from ..sources import examples
@@ -140,17 +141,119 @@ def encode_roundtrip(spark, sf_dir):
     return both.agg((F.max(F.abs(F.col("a") - F.col("b"))) < 1e-12).alias("same_scores")).withColumn("seed_is_shorter", F.lit(row.freq is None))
 
 
-def _logistic_sql():
-    return _steps(SQL_LINEITEM, 10, 4, 3, _LOGI)
+def _logistic_sql(steps: int = 9) -> str:
+    """SQL of the logistic minimiser over two features at C = 10: unrolled Newton steps with the 2 x 2 system solved in place."""
+    ctes = ["s0 AS (SELECT 0.0::DOUBLE AS a, 0.0::DOUBLE AS b)"]
+    for t in range(steps):
+        ctes.append(f"""s{t + 1} AS (SELECT a - (h22 * ga - h12 * gb) / (h11 * h22 - h12 * h12) AS a, b - (h11 * gb - h12 * ga) / (h11 * h22 - h12 * h12) AS b FROM (SELECT any_value(a) AS a, any_value(b) AS b,
+any_value(a) - 10.0::DOUBLE / count(*) * sum(y * x1 / (1 + exp(y * f))) AS ga, any_value(b) - 10.0::DOUBLE / count(*) * sum(y * x2 / (1 + exp(y * f))) AS gb,
+1 + 10.0::DOUBLE / count(*) * sum(h * x1 * x1) AS h11, 10.0::DOUBLE / count(*) * sum(h * x1 * x2) AS h12, 1 + 10.0::DOUBLE / count(*) * sum(h * x2 * x2) AS h22
+FROM (SELECT *, 1 / (1 + exp(-f)) * (1 - 1 / (1 + exp(-f))) AS h FROM (SELECT y, x[1] AS x1, x[2] AS x2, a, b, x[1] * a + x[2] * b AS f FROM {SQL_LINEITEM} AS q, s{t}))))""")
+    return f"WITH {', '.join(ctes)} SELECT 0::BIGINT AS pos, a AS w FROM s{steps} UNION ALL SELECT 1::BIGINT, b FROM s{steps}"
+
 
+_LOGI_SCALE = "(4 * 10.0::DOUBLE * sqrt(2.0::DOUBLE) / (SELECT count(*) FROM lineitem) + 2 * sqrt(2e-18::DOUBLE)) * sqrt(2.0::DOUBLE)"
 
-@query("finite_release_logistic", f"SELECT pos, round(w + {sql_laplace(sql_u(7, 'lap', 'pos'), '4 * 10.0::DOUBLE * 2 * 2 / (SELECT count(*) FROM lineitem)')}, 9) + 0.0 AS w FROM ({_logistic_sql()})")
+
+@query("finite_release_logistic", f"SELECT pos, round(w + {sql_laplace(sql_u(7, 'lap', 'pos'), _LOGI_SCALE)}, 8) + 0.0 AS w FROM ({_logistic_sql()})")
 def finite_release_logistic(spark, sf_dir):
-    """The closest prior learner: logistic loss, noise on the weights; test mode with three steps."""
-    df = examples.lineitem(spark, sf_dir)
-    w = solvers.subgradient_steps(df, 10.0, 4, Logistic, 3)
-    lam = 4 * 10.0 * 2 * 2 / solvers.rows_and_weight(df)
-    return frame(spark, np.array(w) + SeededRng(7).laplace(4, lam))
+    """The closest prior learner: logistic loss, noise on the certified minimiser's weights; two features, C = 10."""
+    r = mechanisms.release_finite(_two(spark, sf_dir), 2, math.sqrt(2), 10.0, Logistic, beta=1.0, rng=SeededRng(7))
+    return frame(spark, r.w, 8)
+
+
+@query("logistic_weights_lineitem", f"SELECT pos, round(w, 8) + 0.0 AS w FROM ({_logistic_sql()})")
+def logistic_weights_lineitem(spark, sf_dir):
+    return frame(spark, solvers.fit(_two(spark, sf_dir), 10.0, 2, math.sqrt(2), Logistic).w, 8)
+
+
+def _two(spark, sf_dir):
+    return examples.lineitem(spark, sf_dir).select("row_id", F.slice("x", 1, 2).alias("x"), "y")
+
+
+# --- a release on every workload: fitted, released, scored ---------------------------------------------------------------
+
+_DOCS = """(SELECT doc_id AS row_id, CASE WHEN quality IS NULL THEN [0.0, 0, 0, 0, 0]::DOUBLE[] ELSE [least(1.0, length(text) / 20000.0::DOUBLE), least(1.0::DOUBLE, length(regexp_replace(text, '[^!#$%&*+/<=>@^_|~-]', '', 'g')) / greatest(length(text), 1)::DOUBLE),
+len(list_distinct(ws)) / greatest(len(ws), 1)::DOUBLE, least(1.0::DOUBLE, length(regexp_replace(text, '[^0-9]', '', 'g')) / greatest(length(text), 1)::DOUBLE), 1.0]::DOUBLE[] END AS x, CASE WHEN quality = 1 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y
+FROM (SELECT doc_id, text, quality, list_filter(regexp_split_to_array(text, '[ \n]'), lambda w: w <> '') AS ws FROM (SELECT doc_id, coalesce(text, '') AS text FROM documents) LEFT JOIN labels USING (doc_id)))"""
+_CLIP = "greatest(0.0::DOUBLE, least(1.0::DOUBLE, {}))".format
+_FULL = f"""(SELECT [{_CLIP("value / 100.0::DOUBLE")}, {_CLIP("json_extract_string(props, '$.k')::DOUBLE / 100")}, cos(extract('hour' FROM ts) * 2 * pi() / 24), sin(extract('hour' FROM ts) * 2 * pi() / 24)] AS x, CASE WHEN event_type = 'purchase' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM events)"""
+_ORDERS = f"""(SELECT [{_CLIP("o_totalprice / 500000.0::DOUBLE")}, {_CLIP("(c_acctbal + 1000) / 11000.0::DOUBLE")}, {", ".join(f"CASE WHEN c_mktsegment = '{g}' THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END" for g in examples.SEGMENTS)}, {", ".join(f"CASE WHEN n_regionkey = {k} THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END" for k in range(5))}] AS x,
+CASE WHEN substr(o_orderpriority, 1, 1) IN ('1', '2') THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM orders LEFT JOIN customer ON o_custkey = c_custkey LEFT JOIN nation ON c_nationkey = n_nationkey)"""
+_PART = f"(SELECT [{_CLIP('p_size / 50.0::DOUBLE')}, {_CLIP('p_retailprice / 2000.0::DOUBLE')}] AS x, CASE WHEN regexp_extract(p_brand, '([0-9]+)', 1)::INT <= 12 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM part)"
+_SUPPLIER = "(SELECT list_transform(range(25), lambda k: CASE WHEN s_nationkey = k THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END) AS x, CASE WHEN s_acctbal > 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM supplier)"
+_TURNS = f"(SELECT [{_CLIP('length(text) / 20000.0::DOUBLE')}, {_CLIP('turn / 20.0::DOUBLE')}, 1.0::DOUBLE] AS x, CASE WHEN role = 'user' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y FROM (SELECT turn, role, coalesce(text, '') AS text FROM conversations))"
+WORKLOADS = {"lineitem": SQL_LINEITEM, "embeddings": SQL_EMBEDDINGS, "documents": _DOCS, "events_full": _FULL, "orders": _ORDERS, "part": _PART, "supplier": _SUPPLIER, "turns": _TURNS}
+
+
+def _released_sql(name: str) -> str:
+    spec = examples.SPECS[name]
+    C, k, n = 1 / spec.kappa**2, spec.features, "(SELECT count(*) FROM q)"
+    lam = f"{4 * C * spec.kappa * math.sqrt(k)!r}::DOUBLE / {n}"
+    return f"""SELECT * FROM (WITH q AS MATERIALIZED (SELECT x, y FROM {WORKLOADS[name]}),
+w AS (SELECT list(v ORDER BY p) AS w FROM (SELECT p, {C!r}::DOUBLE * sum(y * x[p]) / count(*) + any_value({sql_laplace(sql_u(7, 'lap', '(p - 1)'), lam)}) AS v FROM q, range(1, {k + 1}) AS t(p) GROUP BY p))
+SELECT '{name}' AS workload, count(*) AS n, round({lam}, 9) AS lam, round(any_value(list_sum(list_transform(w, lambda v: abs(v)))), 7) AS w_l1, round(max(abs(list_dot_product(x, w))), 7) AS far,
+sum(CASE WHEN (list_dot_product(x, w) >= 0) = (y > 0) THEN 1 ELSE 0 END)::BIGINT AS correct FROM q, w)"""
+
+
+@query("release_workloads", " UNION ALL ".join(map(_released_sql, WORKLOADS)))
+def release_workloads(spark, sf_dir):
+    """Hinge at C = 1 / kappa², exact in one pass, beta = 1: fitted, released, and the released weights scored over the whole table."""
+    out = []
+    for name in WORKLOADS:
+        df, spec = examples.build(spark, sf_dir, name), examples.SPECS[name]
+        r = mechanisms.release_finite(df, spec.features, spec.kappa, 1 / spec.kappa**2, beta=1.0, rng=SeededRng(7))
+        hit = F.sum(F.when((F.col("score") >= 0) == (F.col("y") > 0), 1).otherwise(0))
+        s = scoring.score(df, r).agg(F.max(F.abs("score")).alias("far"), hit.alias("correct")).first()
+        out.append((name, r.n, round(r.lam, 9), round(float(np.abs(r.w).sum()), 7), round(s.far, 7), s.correct))
+    return spark.createDataFrame(out, "workload string, n long, lam double, w_l1 double, far double, correct long")
+
+
+@query("release_workloads_certified")
+def release_workloads_certified(spark, sf_dir):
+    """Beyond saturation, C = 10 and beta = 1: certified minimisers of three losses, their releases, and how far the released scores lie from the minimiser's."""
+    out = []
+    for name in ("documents", "events_full", "orders", "part"):
+        df, spec = examples.build(spark, sf_dir, name), examples.SPECS[name]
+        for loss in (Hinge, Logistic, Square):
+            tol = 1e-4
+            fit = solvers.fit(df, 10.0, spec.features, spec.kappa, loss, tol)
+            r = mechanisms.release_finite(df, spec.features, spec.kappa, 10.0, loss, beta=1.0, rng=SeededRng(7), tol=tol)
+            gap = r.w - fit.w
+            hit = lambda w: F.avg(F.when((v.dot_literal(F.col("x"), w) >= 0) == (F.col("y") > 0), 1.0).otherwise(0.0))
+            seen = df.where(F.get("x", F.lit(4)) == 1) if name == "documents" else df  # labelled documents have an intercept
+            s = seen.agg(F.max(F.abs(v.dot_literal(F.col("x"), gap))).alias("far"), hit(fit.w).alias("exact"), hit(r.w).alias("released")).first()
+            out.append((name, loss.name, r.n, fit.passes, float(r.lam), float(s.far), float(np.abs(gap).sum() * spec.phi), float(s.exact), float(s.released)))
+    return spark.createDataFrame(out, "workload string, loss string, n long, passes int, lam double, sup_distance double, sup_bound double, accuracy_exact double, accuracy_released double")
+
+
+# --- random features of every kernel -----------------------------------------------------------------------------------
+
+_LAWS = {
+    "rbf(0.5)": f"sqrt(-2 * ln({sql_u(SEED, 'fa', 'i')})) * cos(2 * pi() * {sql_u(SEED, 'fb', 'i')}) / 0.5",
+    "rbf(1)": f"sqrt(-2 * ln({sql_u(SEED, 'fa', 'i')})) * cos(2 * pi() * {sql_u(SEED, 'fb', 'i')})",
+    "laplacian": f"tan(pi() * ({sql_u(SEED, 'fa', 'i')} - 0.5))",
+    "cauchy": sql_laplace(sql_u(SEED, "fa", "i"), "1.0"),
+}
+_SWEEP = [("rbf(0.5)", 8), ("rbf(1)", 128), ("rbf(1)", 512), ("laplacian", 8), ("laplacian", 128), ("cauchy", 8), ("cauchy", 128)]
+
+
+def _rff_sql(law: str, m: int) -> str:
+    """The saturated minimiser at C = 1 over m frequencies of a law, with the mechanism's noise."""
+    lam = f"{2**2.5 * math.sqrt(m)!r}::DOUBLE / (SELECT count(*) FROM embeddings)"
+    return f"""SELECT '{law}' AS kernel, {m}::BIGINT AS m, round({lam}, 9) AS lam, round(sum(abs(v)), 6) AS w_l1, round(sum(abs(v - mu)), 6) AS exact_l1 FROM (SELECT s / count + mu AS v, mu FROM (SELECT 2 * f + part AS pos, sum(y * CASE WHEN part = 0 THEN cos(p) ELSE sin(p) END) / sqrt({m}) AS s, count(*) AS count,
+any_value({sql_laplace(sql_u(7, 'lap', '(2 * f + part)'), lam)}) AS mu FROM (SELECT y, f, list_dot_product(x, rho) AS p FROM {SQL_EMBEDDINGS}, (SELECT i // 64 AS f, list({_LAWS[law]} ORDER BY i) AS rho FROM range({m} * 64) AS t(i) GROUP BY 1)), (SELECT unnest([0, 1]) AS part) GROUP BY f, part))"""
+
+
+@query("rff_release_kernels", " UNION ALL ".join(_rff_sql(*x) for x in _SWEEP))
+def rff_release_kernels(spark, sf_dir):
+    """Releases for the three kernels, two widths and up to 512 frequencies: C = 1, beta = 1."""
+    e, made, out = examples.embeddings(spark, sf_dir), {"rbf(0.5)": K.rbf(0.5), "rbf(1)": K.rbf(), "laplacian": K.laplacian(), "cauchy": K.cauchy_kernel()}, []
+    for law, m in _SWEEP:
+        r = mechanisms.release_random_features(e, made[law], 64, m, 1.0, beta=1.0, freq_seed=SEED, rng=SeededRng(7))
+        exact = r.w - SeededRng(7).laplace(2 * m, r.lam)
+        out.append((law, m, round(r.lam, 9), round(float(np.abs(r.w).sum()), 6), round(float(np.abs(exact).sum()), 6)))
+    return spark.createDataFrame(out, "kernel string, m long, lam double, w_l1 double, exact_l1 double")
 
 
 @query("ref_dual_objective", "SELECT C, true AS certified, true AS objective_ok FROM (VALUES (1.0::DOUBLE), (10.0::DOUBLE)) AS t(C)")

@@ -14,7 +14,7 @@ from ..functions.rng import SeededRng
 from ..operators import measure, solvers
 from ..sources import examples
 from ..sources.tables import load
-from .base import SQL_LINEITEM, query, sql_laplace, sql_u
+from .base import SQL_EMBEDDINGS, SQL_LINEITEM, query, sql_laplace, sql_u
 from .kernels import SEED
 
 W = (-0.002, 0.018, 0.005, 0.015)
@@ -32,14 +32,18 @@ def gradient_long(spark, sf_dir):
     return measure.gradient_long(examples.lineitem(spark, sf_dir), W).select("pos", (F.round("g", 9) + 0.0).alias("g"))
 
 
-@query("pair_privacy_loss", "SELECT true AS within")
+_NEAR = f"(SELECT x, y, [0.125::DOUBLE FOR i IN range(64)] AS x2, -1.0::DOUBLE AS y2 FROM {SQL_EMBEDDINGS} WHERE row_id = 0)"
+
+
+@query("pair_privacy_loss", f"SELECT round(sum(abs(y2 * x2[p] - y * x[p])) / 32, 9) AS loss, sum(abs(y2 * x2[p] - y * x[p])) / 32 <= 1 AS within FROM {_NEAR}, range(1, 65) AS t(p)")
 def pair_privacy_loss(spark, sf_dir):
-    """Neighbours of embeddings: the exact loss of the pair stays within beta."""
+    """Neighbours of embeddings: the exact loss of the pair at the noise for beta = 1; the number of rows cancels out."""
     e = examples.embeddings(spark, sf_dir)
     n = e.count()
     w1 = solvers.saturated(e, 1.0, 64).w
     w2 = solvers.saturated(measure.replace_row(e, 0, [0.125] * 64, -1.0), 1.0, 64).w
-    return spark.createDataFrame([(bool(measure.pair_privacy_loss(w1, w2, cal.min_noise_finite(1.0, n, 1.0, 1.0, 64)) <= 1.0),)], "within boolean")
+    loss = measure.pair_privacy_loss(w1, w2, cal.min_noise_finite(1.0, n, 1.0, 1.0, 64))
+    return spark.createDataFrame([(round(loss, 9), loss <= 1.0)], "loss double, within boolean")
 
 
 @query("privacy_audit", "SELECT true AS within, true AS informative")
@@ -55,19 +59,12 @@ def privacy_audit(spark, sf_dir):
 
 LAM, TRIALS = cal.max_noise_finite(0.5, 0.05, 4), 200
 _USE = f"""SELECT round(avg(CASE WHEN far <= 0.5 THEN 1.0 ELSE 0.0 END), 9) AS useful FROM (SELECT trial, max(abs({' + '.join(f'x[{i + 1}] * mu[{i + 1}]' for i in range(4))})) AS far FROM
-(SELECT i // 4 AS trial, list({sql_laplace(sql_u(5, 'use', 'i'), repr(LAM) + '::DOUBLE')} ORDER BY i) AS mu FROM range({TRIALS * 4}) AS t(i) GROUP BY 1), (SELECT x FROM {SQL_LINEITEM} WHERE row_id < 20000) GROUP BY trial)"""
+(SELECT i // 4 AS trial, list({sql_laplace(sql_u(5, 'use', 'i'), repr(LAM) + '::DOUBLE')} ORDER BY i) AS mu FROM range({TRIALS * 4}) AS t(i) GROUP BY 1), (SELECT x FROM {SQL_LINEITEM}) GROUP BY trial)"""
 
 
 @query("usefulness_finite", _USE)
 def usefulness_finite(spark, sf_dir):
-    """At the largest admissible noise, at least 95 % of draws stay within eps (probes: rows with small public ids)."""
-    probes = examples.lineitem(spark, sf_dir).where("row_id < 20000").select("x")
-    return measure.usefulness(spark, probes, 4, LAM, 0.5, TRIALS, 5).select(F.round("useful", 9).alias("useful"))
-
-
-@query("usefulness_finite_all")
-def usefulness_finite_all(spark, sf_dir):
-    """The same draws, with every row of the table as a probe."""
+    """At the largest admissible noise, at least 95 % of draws stay within eps on every row of the table."""
     probes = examples.lineitem(spark, sf_dir).select("x")
     return measure.usefulness(spark, probes, 4, LAM, 0.5, TRIALS, 5).select(F.round("useful", 9).alias("useful"))
 
@@ -89,28 +86,59 @@ def sup_distance(spark, sf_dir):
     return s.select(F.round("data_max", 9).alias("data_max"), F.round("l1_bound", 9).alias("l1_bound"), F.round("box_max", 9).alias("box_max"))
 
 
-@query("risk_gap", "SELECT true AS within")
+_W2 = (0.5, 1.0, -1.0, 0.2)
+_F2 = "(" + " + ".join(f"x[{i + 1}] * {w}::DOUBLE" for i, w in enumerate(_W2)) + ")"
+
+
+@query("risk_gap", f"SELECT round(abs(avg(greatest(0.0::DOUBLE, 1 - y * {_F})) - avg(greatest(0.0::DOUBLE, 1 - y * {_F2}))), 9) AS gap, round(max(abs({_F} - {_F2})), 9) AS bound, abs(avg(greatest(0.0::DOUBLE, 1 - y * {_F})) - avg(greatest(0.0::DOUBLE, 1 - y * {_F2}))) <= max(abs({_F} - {_F2})) AS within FROM {SQL_LINEITEM}")
 def risk_gap(spark, sf_dir):
-    g = measure.risk_gap(examples.lineitem(spark, sf_dir), W, (0.5, 1.0, -1.0, 0.2)).first()
-    return spark.createDataFrame([(bool(g.gap <= g.bound),)], "within boolean")
+    g = measure.risk_gap(examples.lineitem(spark, sf_dir), W, _W2)
+    return g.select(F.round("gap", 9).alias("gap"), F.round("bound", 9).alias("bound"), (F.col("gap") <= F.col("bound")).alias("within"))
 
 
-@query("measured_sensitivity", "SELECT true AS l2_within, true AS l1_within, true AS tight_within")
-def measured_sensitivity(spark, sf_dir):
-    """All neighbours of embeddings that turn one row round: the largest weight change against the bounds."""
-    e = examples.embeddings(spark, sf_dir)
-    n = e.count()
-    other = e.select("row_id", F.transform("x", lambda a: -a).alias("x2"), F.col("y").alias("y2"))
-    r = measure.measured_sensitivity_saturated(e, other, 1.0).first()
-    return spark.createDataFrame([(bool(r.l2 <= 4.0 / n), bool(r.l1 <= 4.0 * 8 / n), bool(r.l2 <= 2.0 / n + 1e-12))], "l2_within boolean, l1_within boolean, tight_within boolean")
+def _sql_sensitivity(table: str, C: float, kappa: float, features: int) -> str:
+    """Every neighbour that turns one row round changes the weights by 2 C x / n."""
+    l2, l1 = f"max(sqrt(list_sum(list_transform(x, lambda v: v * v)))) * {2 * C!r}::DOUBLE", f"max(list_sum(list_transform(x, lambda v: abs(v)))) * {2 * C!r}::DOUBLE"
+    return f"round({l2}, 9) AS l2_n, round({l1}, 9) AS l1_n, {l2} <= {4 * C * kappa!r}::DOUBLE AS l2_within, {l1} <= {4 * C * kappa * math.sqrt(features)!r}::DOUBLE AS l1_within, {l2} <= {2 * C * kappa!r}::DOUBLE + 1e-9 AS tight_within FROM {table}"
 
 
-@query("uniform_stability", "SELECT true AS within")
+@query("measured_sensitivity", f"SELECT 'embeddings' AS workload, {_sql_sensitivity(SQL_EMBEDDINGS, 1.0, 1.0, 64)} UNION ALL SELECT 'lineitem', {_sql_sensitivity(SQL_LINEITEM, 0.25, 2.0, 4)}")
+def measured_sensitivity(spark, sf_dir):
+    """All neighbours that turn one row round: the largest weight change times n, against the bounds."""
+    out = []
+    for name, C in (("embeddings", 1.0), ("lineitem", 0.25)):
+        df, spec = examples.build(spark, sf_dir, name), examples.SPECS[name]
+        n = df.count()
+        other = df.select("row_id", F.transform("x", lambda a: -a).alias("x2"), F.col("y").alias("y2"))
+        r = measure.measured_sensitivity_saturated(df, other, C).first()
+        bound = [cal.weight_sensitivity(C, n, spec.kappa, norm=k, features=spec.features, tight=t) for k, t in ((2, False), (1, False), (2, True))]
+        out.append((name, round(r.l2 * n, 9), round(r.l1 * n, 9), r.l2 <= bound[0], r.l1 <= bound[1], r.l2 <= bound[2] + 1e-9 / n))
+    return spark.createDataFrame(out, "workload string, l2_n double, l1_n double, l2_within boolean, l1_within boolean, tight_within boolean")
+
+
+@query("refit_sensitivity")
+def refit_sensitivity(spark, sf_dir):
+    """lineitem with an intercept at C = 10, beyond the saturated regime: refits after one row is replaced, each with its certificate, against the bound."""
+    df, out = examples.lineitem(spark, sf_dir, intercept=True), []
+    n, tol = df.count(), 1e-6
+    w = solvers.cutting_plane(df, 10.0, 5, tol=tol).w
+    first, last = df.agg(F.min("row_id"), F.max("row_id")).first()
+    for row, x, y in ((first, [1.0, 1.0, 1.0, 1.0, 1.0], -1.0), (last, [0.0, 0.0, 0.0, 0.0, 1.0], 1.0)):
+        again = solvers.cutting_plane(measure.replace_row(df, row, x, y), 10.0, 5, tol=tol).w
+        bound = cal.weight_sensitivity(10.0, n, math.sqrt(5), gap=tol)
+        out.append((int(row), float(np.linalg.norm(again - w)), bound, bool(np.linalg.norm(again - w) <= bound)))
+    return spark.createDataFrame(out, "row_id long, l2 double, bound double, within boolean")
+
+
+_WS = f"SELECT list(sum ORDER BY p) AS w1, list(sum - (y * x[p] + 0.125) / n ORDER BY p) AS w2 FROM (SELECT p, sum(y * x[p]) / count(*) AS sum, count(*) AS n FROM {SQL_EMBEDDINGS}, range(1, 65) AS t(p) GROUP BY p), (SELECT x, y FROM {SQL_EMBEDDINGS} WHERE row_id = 0)"
+
+
+@query("uniform_stability", f"SELECT round(max(abs(greatest(0.0::DOUBLE, 1 - y * list_dot_product(x, w1)) - greatest(0.0::DOUBLE, 1 - y * list_dot_product(x, w2)))) * count(*), 6) AS change_n, max(abs(greatest(0.0::DOUBLE, 1 - y * list_dot_product(x, w1)) - greatest(0.0::DOUBLE, 1 - y * list_dot_product(x, w2)))) * count(*) <= 4 AS within FROM {SQL_EMBEDDINGS}, ({_WS})")
 def uniform_stability(spark, sf_dir):
     e = examples.embeddings(spark, sf_dir)
     n = e.count()
     w1, w2 = solvers.saturated(e, 1.0, 64).w, solvers.saturated(measure.replace_row(e, 0, [0.125] * 64, -1.0), 1.0, 64).w
-    return measure.uniform_stability(e, w1, w2).select((F.col("change") <= 4.0 / n).alias("within"))
+    return measure.uniform_stability(e, w1, w2).select(F.round(F.col("change") * n, 6).alias("change_n"), (F.col("change") <= 4.0 / n).alias("within"))
 
 
 @query("dual_l1", "SELECT true AS within")
@@ -178,6 +206,15 @@ def page_features(spark, sf_dir):
     return p.select("page_id", F.regexp_extract("html", '<html lang="([a-z]+)"', 1).alias("lang"), F.length(F.regexp_replace("html", "<[^>]*>", "")).cast("long").alias("chars"), F.regexp_extract("url", "^[a-z]+://([^/:?#]+)", 1).alias("host"))
 
 
+_RUNS = "SELECT DISTINCT {0}, array_to_string(w[p:p + 7], ' ') AS run FROM (SELECT {0}, w, unnest(range(1, len(w) - 6)) AS p FROM (SELECT {0}, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[ \n\t]'), lambda x: x <> '') AS w FROM {1}))".format
+
+
+@query("passage_overlap", f"SELECT d.doc_id, count(r.run) AS shared FROM documents d LEFT JOIN (SELECT * FROM ({_RUNS('doc_id', 'documents')}) WHERE run IN (SELECT run FROM ({_RUNS('item_id', 'benchmark')}))) r ON d.doc_id = r.doc_id GROUP BY 1")
+def passage_overlap(spark, sf_dir):
+    """Runs of eight words that documents share with benchmark passages: a feature of theirs."""
+    return examples.passage_overlap(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
+
+
 _LINEAR = "(-0.2 - 8 * f1 + f2)"
 
 

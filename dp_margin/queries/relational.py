@@ -74,11 +74,14 @@ def filter_public_stratum(spark, sf_dir):
     return t.groupBy(F.to_date("l_shipdate").alias("day")).agg(F.count("*").alias("n"))
 
 
-@query("pairs_theta", "SELECT a.s_suppkey AS i, b.s_suppkey AS j, round(abs(a.s_acctbal - b.s_acctbal), 2) AS d FROM supplier a JOIN supplier b ON a.s_suppkey < b.s_suppkey WHERE b.s_suppkey <= 60")
+@query("pairs_theta", "SELECT a.s_suppkey AS i, count(*) AS n, round(min(b.s_acctbal - a.s_acctbal), 2) AS least FROM supplier a JOIN supplier b ON b.s_acctbal > a.s_acctbal AND b.s_acctbal - a.s_acctbal <= 500 AND a.s_nationkey <> b.s_nationkey GROUP BY 1")
 def pairs_theta(spark, sf_dir):
-    s = load(spark, sf_dir, "supplier").where("s_suppkey <= 60").select("s_suppkey", "s_acctbal")
-    a, b = s.toDF("i", "ba"), s.toDF("j", "bb")
-    return a.join(F.broadcast(b), F.col("i") < F.col("j")).select("i", "j", F.round(F.abs(F.col("ba") - F.col("bb")), 2).alias("d"))
+    """Suppliers of other nations with up to 500 more on their account: an inequality join, by bands that make it an equality join of neighbours."""
+    s = load(spark, sf_dir, "supplier").select("s_suppkey", F.col("s_acctbal").cast("double").alias("bal"), "s_nationkey").withColumn("band", F.floor(F.col("bal") / 500))
+    a = s.select(F.col("s_suppkey").alias("i"), F.col("bal").alias("ba"), F.col("s_nationkey").alias("na"), F.explode(F.array("band", F.col("band") + 1)).alias("band"))
+    b = s.select(F.col("bal").alias("bb"), F.col("s_nationkey").alias("nb"), "band")
+    near = a.join(b, "band").where((F.col("bb") > F.col("ba")) & (F.col("bb") - F.col("ba") <= 500) & (F.col("na") != F.col("nb")))
+    return near.groupBy("i").agg(F.count("*").alias("n"), F.round(F.min(F.col("bb") - F.col("ba")), 2).alias("least"))
 
 
 #: Releases of the registry for joins over time: (id, first day, last day exclusive), by public day numbers of the event stream.
@@ -192,7 +195,7 @@ def win_ntile(spark, sf_dir):
     return load(spark, sf_dir, "supplier").select("s_nationkey", "s_suppkey", F.ntile(3).over(w).alias("fold"))
 
 
-_LEDGER = [("a", "s1", "r1", 0.5, 1), ("a", "s1", "r2", 0.25, 2), ("a", "s2", "r3", 0.75, 3), ("a", "s1", "r4", 0.5, 4), ("b", "s1", "r5", 1.5, 5)]
+_LEDGER = [("a", "s1", "r1", 0.5, 1), ("a", "s1", "r2", 0.25, 2), ("a", "s2", "r3", 0.75, 3), ("a", "s1", "r4", 0.5, 4), ("a", "s1", "r6", 0.25, 6), ("b", "s1", "r5", 1.5, 5)]
 _LED_SQL = "(VALUES " + ", ".join(f"('{a}', '{b}', '{c}', {d}::DOUBLE, {e})" for a, b, c, d, e in _LEDGER) + ") AS t(dataset, stratum, release_id, beta, ts)"
 
 
@@ -200,7 +203,10 @@ def _ledger(spark) -> DataFrame:
     return spark.createDataFrame(_LEDGER, "dataset string, stratum string, release_id string, beta double, ts int")
 
 
-@query("win_ledger", f"SELECT *, sum(beta) OVER w AS asked, sum(beta) OVER w <= 1.0 AS granted FROM {_LED_SQL} WINDOW w AS (PARTITION BY dataset, stratum ORDER BY ts, release_id)")
+@query("win_ledger", f"""WITH RECURSIVE r AS (SELECT *, row_number() OVER (PARTITION BY dataset, stratum ORDER BY ts, release_id) AS k FROM {_LED_SQL}),
+g AS (SELECT *, CASE WHEN beta <= 1 THEN beta ELSE 0.0::DOUBLE END AS spent, beta <= 1 AS granted FROM r WHERE k = 1
+UNION ALL SELECT r.*, g.spent + CASE WHEN g.spent + r.beta <= 1 THEN r.beta ELSE 0.0::DOUBLE END, g.spent + r.beta <= 1 FROM g JOIN r ON r.dataset = g.dataset AND r.stratum = g.stratum AND r.k = g.k + 1)
+SELECT dataset, stratum, release_id, beta, ts, spent, granted FROM g""")
 def win_ledger(spark, sf_dir):
     return led.balance(_ledger(spark), 1.0)
 
@@ -309,9 +315,8 @@ def udtf_packing(spark, sf_dir):
 # --- streams, each with its batch twin in SQL -------------------------------------------------------------------------
 
 
-def _run(spark, name, stream, mode="append"):
-    spark.sql(f"DROP VIEW IF EXISTS {name}")
-    return streams.run_to_table(stream, name, mode)
+def _run(spark, stream, mode="append"):
+    return streams.run_to_table(stream, scratch(spark), mode)
 
 
 _X = "greatest(0.0::DOUBLE, least(1.0::DOUBLE, value / 100.0::DOUBLE))"
@@ -320,29 +325,29 @@ _X = "greatest(0.0::DOUBLE, least(1.0::DOUBLE, value / 100.0::DOUBLE))"
 @query("stream_score", f"SELECT event_id, round({_X} * 2.0::DOUBLE, 9) AS score FROM events")
 def stream_score(spark, sf_dir):
     s = streams.score_stream(streams.stream_events(spark, sf_dir), [2.0]).select("event_id", F.round("score", 9).alias("score"))
-    return _run(spark, "dpm_stream_score", s)
+    return _run(spark, s)
 
 
-def _windows(name, kind, **options):
+def _windows(kind, **options):
     def run(spark, sf_dir):
         e = streams.score_stream(streams.stream_events(spark, sf_dir), [1.0]).withColumn("score", F.col("score") - 0.5)
         t = streams.windows(e, kind, options.get("size", ""), options.get("slide"), options.get("gap"), watermark=None)
-        return _run(spark, f"dpm_{name}", t.withColumn("start", F.unix_timestamp("start")).withColumn("positives", F.col("positives").cast("long")), "complete")
+        return _run(spark, t.withColumn("start", F.unix_timestamp("start")).withColumn("positives", F.col("positives").cast("long")), "complete")
 
     return run
 
 
 _EV = f"(SELECT user_id, epoch(ts) AS t, CASE WHEN {_X} - 0.5 >= 0 THEN 1 ELSE 0 END AS pos FROM events)"
-query("stream_tumbling", f"SELECT (floor((t - 0) / 604800) * 604800)::BIGINT AS start, count(*) AS n, sum(pos)::BIGINT AS positives FROM {_EV} GROUP BY 1")(_windows("stream_tumbling", "tumbling", size="7 days"))
-query("stream_sliding", f"SELECT (floor(t / 86400) * 86400 - k * 86400)::BIGINT AS start, count(*) AS n, sum(pos)::BIGINT AS positives FROM {_EV}, range(7) AS r(k) GROUP BY 1")(_windows("stream_sliding", "sliding", size="7 days", slide="1 day"))
+query("stream_tumbling", f"SELECT (floor((t - 0) / 604800) * 604800)::BIGINT AS start, count(*) AS n, sum(pos)::BIGINT AS positives FROM {_EV} GROUP BY 1")(_windows("tumbling", size="7 days"))
+query("stream_sliding", f"SELECT (floor(t / 86400) * 86400 - k * 86400)::BIGINT AS start, count(*) AS n, sum(pos)::BIGINT AS positives FROM {_EV}, range(7) AS r(k) GROUP BY 1")(_windows("sliding", size="7 days", slide="1 day"))
 query("stream_session", f"""SELECT user_id, floor(min(t))::BIGINT AS start, count(*) AS n, sum(pos)::BIGINT AS positives FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY t ROWS UNBOUNDED PRECEDING) AS s
-FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY user_id ORDER BY t) < 21600 THEN 0 ELSE 1 END AS fresh FROM {_EV})) GROUP BY user_id, s""")(_windows("stream_session", "session", gap="6 hours"))
+FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY user_id ORDER BY t) < 21600 THEN 0 ELSE 1 END AS fresh FROM {_EV})) GROUP BY user_id, s""")(_windows("session", gap="6 hours"))
 
 
 @query("stream_cap", "SELECT user_id, least(count(*), 3) AS n FROM events GROUP BY 1")
 def stream_cap(spark, sf_dir):
     s = streams.cap_contributions(streams.stream_events(spark, sf_dir), 3)
-    return _run(spark, "dpm_stream_cap", s).groupBy("user_id").agg(F.count("*").alias("n"))
+    return _run(spark, s).groupBy("user_id").agg(F.count("*").alias("n"))
 
 
 @query("stream_late", "SELECT count(*) AS n, sum(CASE WHEN ts < seen - INTERVAL 1 DAY THEN 1 ELSE 0 END)::BIGINT AS late FROM (SELECT ts, max(ts) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM events)")
@@ -351,17 +356,11 @@ def stream_late(spark, sf_dir):
     return streams.late_rows(e).agg(F.count("*").alias("n"), F.sum(F.when(F.col("late"), 1).otherwise(0)).alias("late"))
 
 
-@query("stream_release")
+@query("stream_release", "SELECT start, 0.5::DOUBLE AS beta, 1::BIGINT AS weights, false AS exact FROM (SELECT DISTINCT (floor(epoch(ts) / 604800) * 604800)::BIGINT AS start FROM events) WHERE start + 604800 <= (SELECT max(epoch(ts)) - 86400 FROM events)")
 def stream_release(spark, sf_dir):
-    """One release a closed window; the open last window gets none."""
-    out = []
-
-    def respond(n, w, start):
-        lam = 4 * 1.0 / n
-        out.append((start.isoformat(), int(n), float(w[0]) + rng.SecureRng().laplace(1, lam)[0].item()))
-
-    q = streams.release_per_window(streams.stream_events(spark, sf_dir), "7 days", 1, 1.0, respond, scratch(spark))
-    q.awaitTermination()
-    return spark.createDataFrame(out, "start string, n long, w double")
-
-
+    """One release a closed window, its level debited from a ledger first; the open last window gets none."""
+    out, ledger = scratch(spark), scratch(spark)
+    streams.release_per_window(streams.stream_events(spark, sf_dir), "7 days", 1, 1.0, 0.5, out, ledger, 0.5, scratch(spark)).awaitTermination()
+    r = streams.read_batches(spark, out, streams.RELEASED)
+    debits = spark.read.parquet(ledger).select(F.col("stratum").cast("long").alias("start"), F.col("beta").alias("debit"))
+    return r.join(debits, "start").select("start", F.col("debit").alias("beta"), F.size("w").cast("long").alias("weights"), (F.col("n") == F.floor("n")).alias("exact"))

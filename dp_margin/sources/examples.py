@@ -114,9 +114,33 @@ def supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.select(F.col("s_suppkey").alias("row_id"), F.array(*one_hot(F.col("s_nationkey"), range(25))).alias("x"), pm(F.col("s_acctbal") > 0).alias("y"))
 
 
-BUILD = {"lineitem": lineitem, "embeddings": embeddings, "events": events, "events_full": events_full, "documents": documents, "orders": orders, "part": part, "supplier": supplier}
+def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Turns of conversations: length, place and an intercept; whether the user speaks."""
+    t = load(spark, sf_dir, "conversations")
+    x = F.array(v.clip(F.length(F.coalesce("text", F.lit(""))) / 20000), v.clip(F.col("turn") / 20), F.lit(1.0))
+    return t.select(F.xxhash64("conv_id", "turn").alias("row_id"), x.alias("x"), pm(F.col("role") == "user").alias("y"))
+
+
+def passage_overlap(docs: DataFrame, passages: DataFrame, words: int = 8, limit: int = 1_000_000) -> DataFrame:
+    """(doc_id, shared): how many distinct runs of so many words every document has in common with passages (item_id, text).
+
+    The passages' runs are counted and broadcast only up to a limit; beyond it both sides meet in a shuffled join of distinct runs.
+    """
+
+    def runs(df: DataFrame, key: str) -> DataFrame:
+        w = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), "[ \n\t]"), lambda x: x != "")
+        at = F.when(F.size("w") >= words, F.sequence(F.lit(1), F.size("w") - (words - 1))).otherwise(F.array().cast("array<int>"))
+        return df.select(key, w.alias("w")).select(key, F.explode(F.transform(at, lambda p: F.xxhash64(F.array_join(F.slice("w", p, words), " ")))).alias("run"))
+
+    known = runs(passages, "item_id").select("run").distinct()
+    known = F.broadcast(known) if known.count() <= limit else known
+    shared = runs(docs, "doc_id").join(known, "run", "left_semi").distinct().groupBy("doc_id").agg(F.count("*").alias("shared"))
+    return docs.select("doc_id").join(shared, "doc_id", "left").select("doc_id", F.coalesce("shared", F.lit(0).cast("long")).alias("shared"))
+
+
+BUILD = {"turns": turns, "lineitem": lineitem, "embeddings": embeddings, "events": events, "events_full": events_full, "documents": documents, "orders": orders, "part": part, "supplier": supplier}
 SPECS = {
-    "lineitem": Spec(4, 2.0), "embeddings": Spec(64, 1.0), "events": Spec(1, 1.0), "events_full": Spec(4, 2.0), "documents": Spec(5, math.sqrt(5)), "orders": Spec(12, 2.0), "part": Spec(2, math.sqrt(2)), "supplier": Spec(25, 1.0),
+    "lineitem": Spec(4, 2.0), "embeddings": Spec(64, 1.0), "events": Spec(1, 1.0), "events_full": Spec(4, 2.0), "documents": Spec(5, math.sqrt(5)), "orders": Spec(12, 2.0), "part": Spec(2, math.sqrt(2)), "supplier": Spec(25, 1.0), "turns": Spec(3, math.sqrt(3)),
 }
 
 

@@ -6,9 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..functions import vectors as v
+from ..functions.rng import SecureRng
+from ..operators.ledger import spend
 from ..sources.tables import load
 
 WATERMARK = "1 day"
@@ -57,27 +60,57 @@ def cap_contributions(events: DataFrame, k: int) -> DataFrame:
     return cols.groupBy("user_id").applyInPandasWithState(step, cols.schema, "used long", "append", GroupStateTimeout.NoTimeout)
 
 
-def run_to_table(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs over what there is and returns the result."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    q = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+def read_batches(spark: SparkSession, folder: str, schema: T.StructType) -> DataFrame:
+    """What ``run_to_table`` or ``release_per_window`` wrote; no rows if no batch had any."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    if not at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at):
+        return spark.createDataFrame([], schema)
+    return spark.read.schema(schema).parquet(f"{folder}/batch=*")
 
 
-def release_per_window(events: DataFrame, size: str, features: int, C: float, respond: Callable, checkpoint: str):
+def run_to_table(stream: DataFrame, folder: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
+    """Runs over what there is, writes the result below folder and returns it.
+
+    Every batch overwrites its own folder, so one that is run again after a failure counts once; in complete mode the last batch stands for all.
+    """
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/batch={0 if mode == 'complete' else number}")
+
+    writer = stream.writeStream.foreachBatch(each).outputMode(mode).option("checkpointLocation", checkpoint or f"{folder}-state").trigger(availableNow=True)
+    writer.start().awaitTermination()
+    return read_batches(stream.sparkSession, folder, stream.schema)
+
+
+#: A window's release: its start in epoch seconds, the noisy weights, the noisy number of rows and the level.
+RELEASED = T.StructType([T.StructField("start", T.LongType()), T.StructField("w", T.ArrayType(T.DoubleType())), T.StructField("n", T.DoubleType()), T.StructField("beta", T.DoubleType())])
+
+
+def release_per_window(events: DataFrame, size: str, features: int, C: float, beta: float, folder: str, ledger: str, cap: float, checkpoint: str, dataset: str = "events", rng: Callable | None = None):
     """One private release for every closed window, in the regime where the minimiser is a plain sum (C kappa² <= 1).
 
-    The window's state is its row count and its feature sums, never its rows. ``respond(n, w, start)`` gets the noise-free weights of a closed window
-    inside the trusted service: it debits the ledger, adds noise and writes the release. A closed window is not opened again: later rows are dropped.
+    A replaced row may move to another window, so a window's number of rows is private: half of beta buys noise on it, half noise on the sums of y x
+    (features in [0, 1], so these change by at most ``features`` in L1), and the weights are C times their quotient. Windows are disjoint; as rows can move between
+    them, a person's loss over all is 2 beta (``ledger.parallel`` with movable). A window's debit comes before its noise; a window that the cap refuses is not
+    released. State is a count and sums, never rows. A closed window is not opened again: later rows are dropped.
     """
     y = F.when(F.col("event_type") == "purchase", 1.0).otherwise(-1.0)
     sums = [F.sum(y * F.get("x", F.lit(i))).alias(f"s{i}") for i in range(features)]
     closed = events.withWatermark("ts", WATERMARK).groupBy(F.window("ts", size).alias("win")).agg(F.count("*").alias("n"), *sums)
 
     def each(batch: DataFrame, number: int) -> None:
-        for r in batch.select("win.start", "n", *[f"s{i}" for i in range(features)]).collect():  # a row a window
-            respond(r.n, [C / r.n * r[f"s{i}"] for i in range(features)], r.start)
+        spark, out = batch.sparkSession, []
+        for r in batch.select(F.unix_timestamp("win.start").alias("start"), "n", *[f"s{i}" for i in range(features)]).orderBy("start").collect():  # a row a window
+            try:
+                spend(spark, ledger, dataset, f"{dataset}-{r.start}", beta, cap, str(r.start))
+            except PermissionError:
+                continue
+            noise = rng(r.start) if rng else SecureRng()
+            n = r.n + float(noise.laplace(1, 2 / beta)[0])
+            s = [r[f"s{i}"] + float(e) for i, e in enumerate(noise.laplace(features, 2 * features / beta))]
+            out.append((int(r.start), [C * v_ / max(n, 1.0) for v_ in s], n, float(beta)))
+        if out:
+            spark.createDataFrame(out, RELEASED).write.mode("overwrite").parquet(f"{folder}/batch={number}")
 
     return closed.writeStream.outputMode("append").foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

@@ -5,6 +5,7 @@ import math
 
 import numpy as np
 import pytest
+from pyspark.sql.functions import lit
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
@@ -159,20 +160,112 @@ def test_kernel_error_over_all_pairs_in_blocks(spark, sf):
     got = kernel_error_blocks(e, K.rbf(), [rho], 37).first()
     assert got.pairs == len(err) == len(x) * (len(x) - 1) // 2 > 1770
     assert abs(got.max_error - err.max()) < 1e-9 and abs(got.mean_error - err.mean()) < 1e-9
-    assert {r.m: r.pairs for r in QUERIES["kernel_error_embeddings_all"](spark, sf).collect()} == dict.fromkeys((16, 64, 256), len(err))
+    wide = {r.m: r for r in QUERIES["kernel_error_wide"](spark, sf).collect()}
+    assert {m: r.pairs for m, r in wide.items()} == dict.fromkeys((256, 1024), len(err))
+    rho = K.frequency_matrix(spark, K.rbf(), 64, 256, 7)
+    err = np.abs(np.exp(-(d * d).sum(-1) / 2) - np.cos(d @ rho.T).mean(-1))[np.triu_indices(len(x), 1)]
+    assert abs(wide[256].max_error - err.max()) < 1e-6 and abs(wide[256].mean_error - err.mean()) < 1e-6
 
 
 def test_measures_read_all_rows(spark, sf, monkeypatch):
     from dp_margin.operators import measure
     from dp_margin.queries import QUERIES
 
-    n, seen = examples.embeddings(spark, sf).count(), []
+    n, rows, seen = examples.embeddings(spark, sf).count(), examples.lineitem(spark, sf).count(), []
     sens, use, ref = measure.measured_sensitivity_saturated, measure.usefulness, solvers.reference
     monkeypatch.setattr(measure, "measured_sensitivity_saturated", lambda e, other, C: (seen.append(other.count()), sens(e, other, C))[1])
     monkeypatch.setattr(measure, "usefulness", lambda s, probes, *a: (seen.append(probes.count()), use(s, probes, *a))[1])
     monkeypatch.setattr(solvers, "reference", lambda e, *a, **k: (seen.append(e.count()), ref(e, *a, **k))[1])
-    for name in ("measured_sensitivity", "usefulness_rff", "perturbation_chain", "swap_space_scores"):
+    for name in ("measured_sensitivity", "usefulness_rff", "perturbation_chain", "swap_space_scores", "usefulness_finite"):
         assert all(v for r in QUERIES[name](spark, sf).collect() for v in r)
-    assert n > 200 and seen == [n] * 6
-    monkeypatch.undo()
-    assert QUERIES["usefulness_finite_all"](spark, sf).columns == ["useful"]
+    assert n > 200 and seen == [n, rows, n, n, n, n, n, rows]
+
+
+def test_usefulness_against_direct_products(spark, sf):
+    from dp_margin.functions import rng as R
+    from dp_margin.operators import measure
+    from pyspark.sql import functions as F
+
+    e = examples.embeddings(spark, sf)
+    x = np.array([r.x for r in e.collect()])
+    got = measure.usefulness(spark, e, 64, 0.05, 0.5, 40, 5).first().useful
+    mu = np.array([r[0] for r in spark.range(40 * 64).orderBy("id").select(R.laplace(R.uniform(5, "use", F.col("id")), 0.05)).collect()]).reshape(40, 64)
+    assert got == (np.abs(x @ mu.T).max(axis=0) <= 0.5).mean()
+
+
+def test_ledger_replay_agrees_with_spending(spark):
+    from dp_margin.operators.ledger import balance
+
+    path, asked, granted = scratch(spark), [0.5, 0.25, 0.5, 0.25, 0.125], []
+    for k, b in enumerate(asked):
+        try:
+            spend(spark, path, "d", f"r{k}", b, 1.0)
+            granted.append(True)
+        except PermissionError:
+            granted.append(False)
+    rows = spark.createDataFrame([("d", "", f"r{k}", b, k) for k, b in enumerate(asked)], "dataset string, stratum string, release_id string, beta double, ts int")
+    assert [r.granted for r in balance(rows, 1.0).orderBy("ts").collect()] == granted == [True, True, False, True, False]
+
+
+def test_a_held_ledger_is_waited_for(spark):
+    from pathlib import Path
+
+    path = scratch(spark)
+    spend(spark, path, "d", "r1", 0.5, 1.0)
+    lock = Path(path.removeprefix("file:").replace("///", "/"), "_lock") if "://" in path or path.startswith("file:") else Path(path, "_lock")
+    lock.touch()
+    with pytest.raises(TimeoutError):
+        spend(spark, path, "d", "r2", 0.25, 1.0, patience=0.2)
+    lock.unlink()
+    spend(spark, path, "d", "r2", 0.25, 1.0)
+
+
+def test_window_releases_hide_counts_and_stop_at_the_cap(spark, sf):
+    from dp_margin.streaming import streams
+
+    events = streams.stream_events(spark, sf)
+    out, ledger = scratch(spark), scratch(spark)
+    streams.release_per_window(events, "7 days", 1, 1.0, 0.5, out, ledger, 0.5, scratch(spark)).awaitTermination()
+    r = streams.read_batches(spark, out, streams.RELEASED).collect()
+    assert len(r) >= 1 and all(x.n != int(x.n) for x in r) and spark.read.parquet(ledger).count() == len(r)
+    # a second run over the same windows finds their levels spent
+    streams.release_per_window(events, "7 days", 1, 1.0, 0.5, again := scratch(spark), ledger, 0.5, scratch(spark)).awaitTermination()
+    assert streams.read_batches(spark, again, streams.RELEASED).count() == 0
+
+
+def test_late_rows_are_dropped_by_the_stream(spark, tmp_path):
+    from datetime import datetime, timedelta
+
+    from dp_margin.streaming import streams
+
+    day = datetime(2024, 1, 1)
+    schema = "event_id long, user_id long, event_type string, value double, ts timestamp"
+    for k, days in enumerate(([0, 1, 20], [21], [2, 22], [40])):  # the third file's first row lies behind the watermark of the first; it holds from the batch after next
+        spark.createDataFrame([(k * 10 + i, 1, "view", 50.0, day + timedelta(days=d)) for i, d in enumerate(days)], schema).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    events = streams.prepared(spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(f"{tmp_path}/in")).withColumn("score", lit(1.0))
+    got = streams.run_to_table(streams.windows(events, "tumbling", "7 days"), scratch(spark)).orderBy("start").collect()
+    assert [r.n for r in got] == [2, 3]  # days 0 and 1 without the late 2; days 20 to 22; day 40 is open
+
+
+def test_support_vectors_are_counted_before_they_are_broadcast(spark, sf, monkeypatch):
+    e = examples.embeddings(spark, sf)
+    monkeypatch.setattr(scoring, "DUAL_ROWS", 10)
+    with pytest.raises(ValueError):
+        scoring.score_dual(e, e, e.selectExpr("row_id", "1.0D AS alpha"))
+
+
+def test_bounds_are_for_one_kernel():
+    from dp_margin.functions import calibrate as cal
+
+    # eps = 0.5, C = 1, four dimensions, diameter 2: published sizes of the frequencies
+    p = cal.plan_release_random(1.0, 0.5, 0.05, 1.0, 60_000, 4, 4.0, 2.0)
+    assert p["m"] == pytest.approx(3.63e7, rel=1e-2) and not p["feasible"]
+    n = p["rows_needed"]
+    assert n == pytest.approx(4.56e9, rel=1e-2) and cal.plan_release_random(1.0, 0.5, 0.05, 1.0, n, 4, 4.0, 2.0)["feasible"]
+
+
+def test_bracket_holds(spark, sf):
+    from dp_margin.queries import QUERIES
+
+    rows = QUERIES["privacy_bracket"](spark, sf).collect()
+    assert all(r.holds for r in rows) and {r.kernel for r in rows if r.lower is not None} == {"linear", "rbf"}

@@ -49,7 +49,3 @@ def test_query_equals_sql(spark, sf, duck, name):
 def test_flagship(spark, sf):
     out = flagship(spark, sf)
     assert out.columns == ["pos", "w"] and out.count() == 4
-
-
-def test_stream_release_gives_a_row_for_each_closed_window(spark, sf):
-    assert QUERIES["stream_release"](spark, sf).count() >= 1
