@@ -106,3 +106,18 @@ def drop_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
     """Pipeline form: contaminated documents go, the others stay as they are."""
     gone = materialise(overlaps(docs.select("doc_id", "text"), items.select("item_id", "text")).select("doc_id").distinct())
     return docs.join(small_or_plain(gone), "doc_id", "left_anti").select(docs.columns)
+
+
+_WORDS = "SELECT {0}, list_filter(regexp_split_to_array(trim(translate(lower(coalesce(text, '')), chr(9) || chr(10) || chr(11) || chr(12) || chr(13), '     ')), ' +'), lambda x: x <> '') AS ws FROM {1}".format
+
+#: Every shift of every item along every document that shares a word with it there; no seeds, so that it tells whether the seeds miss anything.
+ORACLE = f"""
+WITH d AS (SELECT doc_id, unnest(ws) AS w, generate_subscripts(ws, 1) AS pos FROM ({_WORDS("doc_id", "documents")})),
+i AS (SELECT item_id, len(ws) AS size, unnest(ws) AS w, generate_subscripts(ws, 1) AS pos FROM ({_WORDS("item_id", "benchmark")}) WHERE len(ws) >= {LEAST_WORDS}),
+laid AS (SELECT doc_id, item_id, any_value(size) AS size, list(i.pos ORDER BY i.pos) AS p, count(*) AS matched FROM d JOIN i ON d.w = i.w GROUP BY doc_id, item_id, d.pos - i.pos
+  HAVING count(*) >= least(any_value(size), {WINDOW}) - least(any_value(size), {WINDOW}) * {SUBSTITUTIONS} // {WINDOW}),
+sized AS (SELECT *, least(size, {WINDOW}) AS wide, least(size, {WINDOW}) - least(size, {WINDOW}) * {SUBSTITUTIONS} // {WINDOW} AS need FROM laid),
+found AS (SELECT doc_id, item_id, max(matched) AS matched FROM sized WHERE len(list_filter(range(1, matched - need + 2), lambda k: p[k + need - 1] - p[k] < wide)) > 0 GROUP BY 1, 2),
+told AS (SELECT doc_id, count(*) AS n_items, min(item_id) AS first_item, max(matched) AS most_matched FROM found GROUP BY 1)
+SELECT documents.doc_id, n_items IS NOT NULL AS contaminated, coalesce(n_items, 0)::BIGINT AS n_items, first_item, coalesce(most_matched, 0)::BIGINT AS most_matched FROM documents LEFT JOIN told ON documents.doc_id = told.doc_id
+"""
