@@ -33,11 +33,11 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/dp-margin-{uuid.uuid4().hex}"
 
 
-def materialise(df: DataFrame, compression: str = "zstd") -> DataFrame:
-    """Cuts the lineage: writes df to shared storage and reads it back."""
+def materialise(df: DataFrame, level: int = 3) -> DataFrame:
+    """Cuts the lineage: writes df to shared storage, compressed at a level of zstd, and reads it back."""
     spark = df.sparkSession
     path = shared_dir(spark)
-    df.write.option("compression", compression).parquet(path)
+    df.write.option("compression", "zstd").option("parquet.compression.codec.zstd.level", str(level)).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

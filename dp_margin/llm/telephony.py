@@ -25,6 +25,8 @@ from .common import bound_batches, materialise, table, utf8
 from .neardup import runs
 
 RATE, RESAMPLED = 8000, 16000
+#: Compression of stored audio, which is kept, so that it may cost more time than passing tables do.
+LEVEL = 6
 #: Payloads are padded to whole ADPCM blocks of so many bytes.
 BLOCK = 64
 #: RIFF format tags (fixed values of the format).
@@ -135,7 +137,7 @@ def media_table(docs: DataFrame, tag: int = MULAW) -> DataFrame:
             texts = utf8(b.column(1))
             yield pa.record_batch([b.column(0), pa.array([len(t) for t in texts], pa.int64()), pa.array([riff(pad(t), tag) for t in texts], pa.binary())], ["doc_id", "n_bytes", "media"])
 
-    return materialise(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_bytes long, media binary"))
+    return materialise(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_bytes long, media binary"), LEVEL)
 
 
 def code_pcm(pcm: np.ndarray) -> bytes:
@@ -172,7 +174,7 @@ def pcm_table(media: DataFrame, rate: int = RESAMPLED) -> DataFrame:
             pcm = [_resampled(x, rate) for x in b.column(1).to_pylist()]
             yield pa.record_batch([b.column(0), pa.array([rate] * b.num_rows, pa.int32()), pa.array([None if x is None else code_pcm(x) for x in pcm], pa.binary())], ["doc_id", "rate", "coded"])
 
-    return materialise(media.select("doc_id", "media").mapInArrow(run, "doc_id long, rate int, coded binary"))
+    return materialise(media.select("doc_id", "media").mapInArrow(run, "doc_id long, rate int, coded binary"), LEVEL)
 
 
 def read_pcm(stored: DataFrame) -> DataFrame:
@@ -237,4 +239,4 @@ def _seal(batches):
 def op1_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Texts are stored as mu-law files, read back, their resampled PCM is stored beside the digests, and read back too."""
     stored = media_table(table(spark, sf_dir, "documents"))
-    return materialise(stored.mapInArrow(_digest, _DIGEST + ", coded binary")).mapInArrow(_seal, _DIGEST)
+    return materialise(stored.mapInArrow(_digest, _DIGEST + ", coded binary"), LEVEL).mapInArrow(_seal, _DIGEST)
