@@ -12,7 +12,7 @@ import pyarrow.compute as pc
 from .common import IdTable, spread
 
 #: Bytes of a worker's table of words; beyond it the table starts anew.
-TABLE_BYTES = 96 << 20
+TABLE_BYTES = 192 << 20
 #: Words looked up at once.
 WORDS = 1 << 18
 #: Words that split for certain into their letters and their marks, whatever stands around them.
