@@ -69,6 +69,26 @@ def small_or_plain(df: DataFrame, limit: int = BROADCAST_LIMIT) -> DataFrame:
     return F.broadcast(df) if estimated_bytes(df) <= limit else df.hint("merge")
 
 
+def hot_join(big: DataFrame, side: DataFrame, key: str, by: str, how: str = "inner", sizes: DataFrame | None = None) -> DataFrame:
+    """big joined with side on key, where one key may hold any share of big's rows; big should be a written table.
+
+    A key with more rows than an average task's share is dealt over several tasks by a hash of the column ``by``, and side's
+    rows of it are repeated as often. Fewer keys than there are shuffle partitions can be so frequent, so their table is
+    broadcast, and all repeats together are below twice the partitions times side's rows a key. ``sizes`` (key, n), if given,
+    holds the number of rows of every key that side has.
+    """
+    parts = int(big.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = (big.count() if sizes is None else sizes.agg(F.sum("n")).first()[0]) or 0
+    share = max(rows // parts, 1)
+    sizes = big.groupBy(key).agg(F.count("*").alias("n")) if sizes is None else sizes.select(key, "n")
+    hot = materialise(sizes.where(F.col(key).isNotNull() & (F.col("n") > share)).select(key, F.ceil(F.col("n") / share).cast("int").alias("dm_deal")))
+    if hot.isEmpty():
+        return big.join(side, key, how)
+    dealt = big.join(F.broadcast(hot), key, "left").withColumn("dm_salt", F.coalesce(F.pmod(F.xxhash64(by), F.col("dm_deal")).cast("int"), F.lit(0)))
+    repeated = side.join(F.broadcast(hot), key, "left").withColumn("dm_salt", F.explode(F.sequence(F.lit(0), F.coalesce("dm_deal", F.lit(1)) - 1)))
+    return dealt.drop("dm_deal").join(repeated.drop("dm_deal"), [key, "dm_salt"], how).drop("dm_salt")
+
+
 def free_name(docs: DataFrame, name: str) -> str:
     """name, with underscores after it while docs has a column of that name (in any case)."""
     taken = {c.lower() for c in docs.columns}

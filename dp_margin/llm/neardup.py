@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, materialise, small_or_plain, table, utf8
+from .common import bound_batches, hot_join, materialise, small_or_plain, table, utf8
 from .words import SHINGLE, band_hashes, shingles, super_minhash, word_hashes
 
 #: 40 bands of 5 rows miss a link of similarity 0.75 with probability 2e-5, one of 0.8 with 1e-7.
@@ -69,10 +69,10 @@ def _may_link(similarity: int):
 
 
 def possible(pairs: DataFrame, marks: DataFrame, similarity: int) -> DataFrame:
-    """Pairs (u, v) that may be links, by marks (doc_id, n, bits)."""
+    """Pairs (u, v) that may be links, by marks (doc_id, n, bits); v may be the centre of many pairs."""
     u = marks.select(F.col("doc_id").alias("u"), F.col("n").alias("nu"), F.col("bits").alias("bu"))
     v = marks.select(F.col("doc_id").alias("v"), F.col("n").alias("nv"), F.col("bits").alias("bv"))
-    return pairs.join(u, "u").join(v, "v").where(_may_link(similarity)).select("u", "v").distinct()
+    return hot_join(pairs, v, "v", "u").join(u, "u").where(_may_link(similarity)).select("u", "v").distinct()
 
 
 def _sketch(bands: int, rows: int):
@@ -121,7 +121,7 @@ def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """(u, v, both, nu, nv) of pairs, from the whole texts (doc_id, text) of their members."""
     left = texts.select(F.col("doc_id").alias("u"), F.col("text").alias("tu"))
     right = texts.select(F.col("doc_id").alias("v"), F.col("text").alias("tv"))
-    both = pairs.join(left, "u").join(right, "v").select("u", "v", "tu", "tv")
+    both = hot_join(materialise(pairs), right, "v", "u").join(left, "u").select("u", "v", "tu", "tv")
     return both.mapInArrow(_similarity, "u long, v long, both long, nu long, nv long")
 
 
@@ -193,8 +193,9 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
     member = materialise(usable.select("doc_id", "n_shingles", "g1", "g2").join(small_or_plain(copies), ["g1", "g2"], "left").select("doc_id", "n_shingles", F.coalesce("rep", "doc_id").alias("rep")))
     reps = member.where("doc_id = rep").select("doc_id", F.col("n_shingles").alias("n")).distinct()
     bucketed = usable.join(reps, "doc_id", "left_semi").select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("bh"))
-    shared = bucketed.groupBy("bh").agg(F.min("rep").alias("c"), F.count("*").alias("k")).where("k >= 2")
-    held = materialise(bucketed.join(shared, "bh"))  # members of shared buckets only
+    shared = materialise(bucketed.groupBy("bh").agg(F.min("rep").alias("c"), F.count("*").alias("k")).where("k >= 2"))
+    # members of shared buckets only
+    held = materialise(hot_join(bucketed, shared, "bh", "rep", sizes=shared.select("bh", F.col("k").alias("n"))))
     stars = held.where("rep <> c").select(F.col("rep").alias("u"), F.col("c").alias("v")).distinct()
     stars = materialise(stars)
     touched = materialise(stars.select("u").union(stars.select("v")).distinct().withColumnRenamed("u", "doc_id"))
@@ -217,16 +218,16 @@ def group(docs: DataFrame, similarity: int = SIMILARITY, bands: int = BANDS, row
             fresh = _left_pairs(mixed, marks, similarity)
         else:
             centre = F.max_by("rep", F.xxhash64("rep", F.lit(step)))
-            other = mixed.groupBy("bh").agg(centre.alias("c2"))
+            other = materialise(mixed.groupBy("bh").agg(centre.alias("c2")))
             near = mixed.join(other, "bh").select("rep", "c2", "comp").join(mixed.select(F.col("rep").alias("c2"), F.col("comp").alias("comp2")).distinct(), "c2").where("comp <> comp2")
-            fresh = possible(near.select(F.greatest("rep", "c2").alias("u"), F.least("rep", "c2").alias("v")).distinct(), marks, similarity)
+            fresh = possible(materialise(near.select(F.greatest("rep", "c2").alias("u"), F.least("rep", "c2").alias("v")).distinct()), marks, similarity)
         fresh = fresh.join(found.select("u", "v"), ["u", "v"], "left_anti")
         more = materialise(verify(fresh, texts))
         found = found.union(more)
         comp = materialise(join_groups(comp, _linked(more, similarity)))
         if last:
             break
-    named = member.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))
+    named = hot_join(member, comp.withColumnRenamed("node", "rep"), "rep", "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("comp", "rep").alias("component_id"))
     alone = s.where("n_shingles = 0 OR doc_id IS NULL").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return named.union(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 

@@ -686,3 +686,19 @@ def test_groups_of_links_match_union_find(spark):
     rows = neardup.join_groups(comp, frame(more)).collect()
     assert {r.node: r.comp for r in rows} == expected(first + more) and len(rows) == len(expected(first + more))
     assert neardup.components(spark.createDataFrame([], "u long, v long")).count() == 0
+
+
+@pytest.mark.parametrize("how", ["inner", "left"])
+def test_hot_join_gives_the_plain_join(spark, how):
+    from dp_margin.llm.common import hot_join
+
+    rows = [(i, 7 if i % 3 else i % 11) for i in range(300)] + [(1000, None), (1001, 7), (1001, 7)]
+    big = spark.createDataFrame(rows, "u long, v long")
+    side = spark.createDataFrame([(k, f"t{k}") for k in (0, 1, 2, 3, 7, 50)] + [(7, "again")], "v long, t string")
+    sizes = big.groupBy("v").count().withColumnRenamed("count", "n")
+    want = sorted(map(str, big.join(side, "v", how).select("u", "v", "t").collect()))
+    for s in (None, sizes):
+        joined = hot_join(big, side, "v", "u", how, s)
+        assert joined.columns == ["v", "u", "t"]
+        assert sorted(map(str, joined.select("u", "v", "t").collect())) == want
+    assert hot_join(big.limit(0), side, "v", "u", how).count() == 0
