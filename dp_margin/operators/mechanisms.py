@@ -11,6 +11,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import calibrate as cal
@@ -89,6 +90,18 @@ def release_random_features(df: DataFrame, kernel: Kernel, d: int, m: int, C: fl
     return Release(w + noise, lam_, beta_, n, C, L, scale, loss.name, "random_features", kernel.name, rho, freq_seed, d, slack)
 
 
-def release_one_vs_rest(frames: dict[str, DataFrame], features: int, kappa: float, C: float, beta: float, loss: Loss = Hinge, rng=None) -> dict[str, Release]:
-    """One release a class; the classes share beta, as each release sees all rows."""
-    return {k: release_finite(f, features, kappa, C, loss, beta=beta / len(frames), rng=rng) for k, f in frames.items()}
+def release_one_vs_rest(df: DataFrame, classes: list, features: int, kappa: float, C: float, beta: float, loss: Loss = Hinge, rng=None, tol: float = 1e-9) -> dict[object, Release]:
+    """One release a class of df (x, label) against the rest; the classes share beta, as each release sees all rows.
+
+    Where the minimiser is a plain sum, all classes and the number of rows come from one pass; elsewhere each class has its own fit.
+    """
+    rng, share, L = rng or SecureRng(), beta / len(classes), loss.lipschitz(C, kappa)
+    if solvers.choose(loss, C, kappa, features) != "saturated":
+        sides = {k: df.withColumn("y", F.when(F.col("label") == F.lit(k), 1.0).otherwise(-1.0)) for k in classes}
+        return {k: release_finite(f, features, kappa, C, loss, beta=share, rng=rng, tol=tol) for k, f in sides.items()}
+    w, n = solvers.saturated_classes(df, classes, C, features)
+    if n < 2:
+        raise ValueError("a database has at least two rows")
+    lam = cal.min_noise_finite(share, n, C, kappa, features, L)
+    noise = rng.laplace(w.size, lam).reshape(w.shape)
+    return {k: Release(w[i] + noise[i], lam, share, n, C, L, kappa, loss.name, "finite") for i, k in enumerate(classes)}

@@ -56,6 +56,18 @@ def saturated(df: DataFrame, C: float, features: int, rho: np.ndarray | None = N
     return Fit(w, 0.0, 1, 0.5 * w @ w + C - w @ w)
 
 
+def saturated_classes(df: DataFrame, classes: list, C: float, features: int) -> tuple[np.ndarray, int]:
+    """(w, n): the saturated minimisers of every class against the rest, a row a class, and the number of rows, in one pass over df (x, label)."""
+    at = F.coalesce(F.array_position(F.array(*map(F.lit, classes)), F.col("label")), F.lit(0)) - 1
+
+    def batch(x, y, k):
+        side = np.where(y[:, None] == np.arange(len(classes)), k[:, None], -k[:, None])
+        return np.append((side.T @ x).ravel(), k.sum())
+
+    s = passes.sum_pass(df.withColumn("y", at.cast("double")), len(classes) * features + 1, batch)
+    return s[:-1].reshape(len(classes), features) * (C / s[-1]) if s[-1] else s[:-1].reshape(len(classes), features), int(s[-1])
+
+
 def ridge(df: DataFrame, C: float, features: int, rho=None, scale: float = 1.0) -> Fit:
     """Square loss by the normal equations: one pass for the Gram matrix of features."""
     n, phi = rows_and_weight(df), _map(rho, scale)
@@ -268,14 +280,22 @@ def hinge_1d_steps(df: DataFrame, ranges: int = RANGES) -> DataFrame:
     return sums.select("b", (F.col("pos_from") + F.col("neg_to") - F.col("neg")).alias("below"), (F.col("pos_from") - F.col("pos") + F.col("neg_to")).alias("above"))
 
 
+def hinge_1d_path(df: DataFrame, Cs: list[float], ranges: int = RANGES) -> DataFrame:
+    """(C, w) for every C: where the falling step function (C/n) T meets the diagonal, at a breakpoint or on the level between two; the steps are made once."""
+    n = rows_and_weight(df)
+    st, made = hinge_1d_steps(df, ranges), []
+    for C in Cs:
+        c = F.lit(C / n if n else 0.0)
+        # the last breakpoint that lies under the function; behind it the level must fall to the diagonal before the next one
+        last, first = F.max_by(F.struct("b", "above"), F.when(c * F.col("below") >= F.col("b"), F.col("b"))), F.min_by("below", "b")
+        w = F.when(last.isNull(), c * first).otherwise(F.greatest(last["b"], c * last["above"]))
+        made.append(F.struct(F.lit(float(C)).alias("C"), w.alias("w")))
+    return st.agg(F.array(*made).alias("path")).select(F.inline("path")).where("w IS NOT NULL")
+
+
 def fit_hinge_1d(df: DataFrame, C: float, ranges: int = RANGES) -> DataFrame:
-    """(w): where the falling step function (C/n) T meets the diagonal: at a breakpoint, or on the level between two of them."""
-    c = F.lit(C / rows_and_weight(df))
-    st = hinge_1d_steps(df, ranges)
-    # the last breakpoint that lies under the function; behind it the level must fall to the diagonal before the next one
-    under = st.agg(F.max_by(F.struct("b", "above"), F.when(c * F.col("below") >= F.col("b"), F.col("b"))).alias("last"), F.min_by("below", "b").alias("first")).where("last IS NOT NULL OR first IS NOT NULL")
-    meet = F.greatest(F.col("last.b"), c * F.col("last.above"))
-    return under.select(F.when(F.col("last").isNull(), c * F.col("first")).otherwise(meet).alias("w"))
+    """(w): the minimiser for one C."""
+    return hinge_1d_path(df, [C], ranges).select("w")
 
 
-__all__ = ["DualModel", "Fit", "Hinge", "NotConverged", "Square", "certificate", "choose", "cutting_plane", "fit", "fit_hinge_1d", "hinge_1d_steps", "newton", "primal_from_dual", "reference", "ridge", "saturated", "subgradient_steps"]
+__all__ = ["DualModel", "Fit", "Hinge", "NotConverged", "Square", "certificate", "choose", "cutting_plane", "fit", "fit_hinge_1d", "hinge_1d_path", "hinge_1d_steps", "newton", "primal_from_dual", "reference", "ridge", "saturated", "saturated_classes", "subgradient_steps"]

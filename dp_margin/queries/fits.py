@@ -322,11 +322,21 @@ def majority_baseline(spark, sf_dir):
     return baselines.majority(examples.lineitem(spark, sf_dir))
 
 
-@query("ovr_release", "SELECT k AS class, 8::BIGINT AS weights, 0.1::DOUBLE AS beta FROM range(10) AS t(k)")
+_OVR_SCALE = "320.0::DOUBLE / (SELECT count(*) FROM embeddings)"
+
+
+@query("ovr_release", f"""WITH q AS MATERIALIZED (SELECT row_id, x, t.label FROM {SQL_EMBEDDINGS} AS e JOIN embeddings AS t ON t.vec_id = e.row_id),
+w AS (SELECT k, list(c ORDER BY p) AS w FROM (SELECT k, p, sum(CASE WHEN label = k THEN x[p] ELSE -x[p] END) / count(*) + any_value({sql_laplace(sql_u(7, "lap", "(k * 64 + p - 1)"), _OVR_SCALE)}) AS c FROM q, range(10) AS a(k), range(1, 65) AS t(p) GROUP BY k, p) GROUP BY k),
+s AS (SELECT row_id, label, arg_max(k, list_dot_product(x, w)) AS best FROM q, w GROUP BY row_id, label)
+SELECT w.k AS class, round({_OVR_SCALE}, 9) AS lam, round(list_sum(list_transform(any_value(w.w), lambda z: abs(z))), 7) AS w_l1, count(s.row_id) AS correct FROM w LEFT JOIN s ON s.label = w.k AND s.best = w.k GROUP BY w.k""")
 def ovr_release(spark, sf_dir):
-    frames = {str(k): examples.embeddings(spark, sf_dir, str(k)).select("row_id", F.slice("x", 1, 8).alias("x"), "y") for k in range(10)}
-    r = mechanisms.release_one_vs_rest(frames, 8, 1.0, 1.0, 1.0)
-    return spark.createDataFrame([(int(k), len(x.w), x.beta) for k, x in r.items()], "class long, weights long, beta double")
+    """All ten classes of embeddings from one pass, beta = 1 shared; correct: rows of a class whose largest released score is its own."""
+    e = examples.embeddings_classes(spark, sf_dir)
+    r = mechanisms.release_one_vs_rest(e, list(range(10)), 64, 1.0, 1.0, 1.0, rng=SeededRng(7))
+    scores = F.array(*[v.dot_literal(F.col("x"), r[k].w) for k in range(10)])
+    best = e.select("label", scores.alias("s")).select("label", (F.array_position("s", F.array_max("s")) - 1).alias("best"))
+    hits = {x["label"]: x["count"] for x in best.where("label = best").groupBy("label").count().collect()}  # one row a class
+    return spark.createDataFrame([(k, round(float(x.lam), 9), round(float(np.abs(x.w).sum()), 7), hits.get(k, 0)) for k, x in r.items()], "class long, lam double, w_l1 double, correct long")
 
 
 @query("secure_release_shape", "SELECT 4::BIGINT AS weights, true AS on_grid")
@@ -360,10 +370,4 @@ FROM (SELECT 1 / s AS b, CASE WHEN s > 0 THEN sum(s) ELSE 0 END AS p, CASE WHEN
 
 @query("hinge_1d_events", " UNION ALL ".join(f"SELECT {C}::DOUBLE AS C, w FROM ({_sql_1d(_1D, C, 'SELECT count(*) FROM events')})" for C in ("1.0", "10.0", "100.0")))
 def hinge_1d_events(spark, sf_dir):
-    df, out = examples.events(spark, sf_dir), None
-    for C in (1.0, 10.0, 100.0):
-        row = solvers.fit_hinge_1d(df, C).select(F.lit(C).alias("C"), F.round("w", 8).alias("w"))
-        out = row if out is None else out.union(row)
-    return out
-
-
+    return solvers.hinge_1d_path(examples.events(spark, sf_dir), [1.0, 10.0, 100.0]).select("C", F.round("w", 8).alias("w"))

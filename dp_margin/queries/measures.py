@@ -15,7 +15,7 @@ from ..operators import measure, solvers
 from ..sources import examples
 from ..sources.tables import load
 from .base import SQL_EMBEDDINGS, SQL_LINEITEM, query, sql_laplace, sql_u
-from .kernels import SEED
+from .kernels import _F64, SEED
 
 W = (-0.002, 0.018, 0.005, 0.015)
 _F = "(" + " + ".join(f"x[{i + 1}] * {w}::DOUBLE" for i, w in enumerate(W)) + ")"
@@ -69,15 +69,23 @@ def usefulness_finite(spark, sf_dir):
     return measure.usefulness(spark, probes, 4, LAM, 0.5, TRIALS, 5).select(F.round("useful", 9).alias("useful"))
 
 
-@query("usefulness_rff", "SELECT m, true AS enough FROM (VALUES (8::BIGINT), (32::BIGINT)) AS t(m)")
+def _use_rff(m: int) -> str:
+    """Share of draws within a quarter on every embedding, in the space of m frequencies."""
+    x = f"(SELECT row_id, flatten(list([cos(p) / sqrt({m}), sin(p) / sqrt({m})] ORDER BY f)) AS x FROM (SELECT row_id, f, list_dot_product(x, rho) AS p FROM {SQL_EMBEDDINGS}, {_F64.format(m=m)}) GROUP BY row_id)"
+    mu = f"(SELECT i // {2 * m} AS trial, list({sql_laplace(sql_u(5, 'use', 'i'), repr(cal.max_noise_random(0.5, 0.05, m)) + '::DOUBLE')} ORDER BY i) AS mu FROM range({TRIALS * 2 * m}) AS t(i) GROUP BY 1)"
+    useful = "avg(CASE WHEN far <= 0.25 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END)"
+    return f"SELECT {m}::BIGINT AS m, round({useful}, 9) AS useful, {useful} >= 0.95 AS enough FROM (SELECT trial, max(abs(list_dot_product(x, mu))) AS far FROM {mu}, {x} GROUP BY trial)"
+
+
+@query("usefulness_rff", " UNION ALL ".join(map(_use_rff, (8, 32))))
 def usefulness_rff(spark, sf_dir):
     e, out = examples.embeddings(spark, sf_dir), []
     for m in (8, 32):
         rho = K.frequency_matrix(spark, K.rbf(), 64, m, SEED)
         probes = e.select(K.trig_map(F.col("x"), rho).alias("x"))
-        u = measure.usefulness(spark, probes, 2 * m, cal.max_noise_random(0.5, 0.05, m), 0.25, 200, 5).first()[0]
-        out.append((m, bool(u >= 0.95)))
-    return spark.createDataFrame(out, "m long, enough boolean")
+        u = measure.usefulness(spark, probes, 2 * m, cal.max_noise_random(0.5, 0.05, m), 0.25, TRIALS, 5).first()[0]
+        out.append((m, round(u, 9), bool(u >= 0.95)))
+    return spark.createDataFrame(out, "m long, useful double, enough boolean")
 
 
 @query("sup_distance", f"SELECT round(max(abs({_F})), 9) AS data_max, {sum(map(abs, W))!r}::DOUBLE AS l1_bound, {round(W[1] + W[2] + W[3], 9)!r}::DOUBLE AS box_max FROM {SQL_LINEITEM}")
@@ -168,11 +176,16 @@ def swap_space_scores(spark, sf_dir):
     return spark.createDataFrame([(bool(np.abs((k - kh) @ (m.alpha * m.y)).max() <= np.abs(k - kh).max() * 1.0 + 1e-12),)], "within boolean")
 
 
-@query("certificate", "SELECT true AS small_at_minimiser, true AS large_elsewhere")
+_CERT = f"""SELECT scale, round(0.5 * sum(g * g), 9) + 0.0 AS bound FROM (SELECT scale, p, scale * any_value(w[p]) + avg(CASE WHEN y * scale * list_dot_product(x, w) < 1 THEN -y * x[p] ELSE 0.0::DOUBLE END) AS g
+FROM {SQL_EMBEDDINGS}, (SELECT list(a ORDER BY p) AS w FROM (SELECT p, avg(y * x[p]) AS a FROM {SQL_EMBEDDINGS}, range(1, 65) AS t(p) GROUP BY p)), (SELECT unnest([1.0, 2.0, 8.0]::DOUBLE[]) AS scale), range(1, 65) AS t(p) GROUP BY scale, p) GROUP BY scale"""
+
+
+@query("certificate", _CERT)
 def certificate(spark, sf_dir):
+    """Embeddings at C = 1: the bound on the gap is zero at the minimiser and grows away from it."""
     e = examples.embeddings(spark, sf_dir)
     w = solvers.saturated(e, 1.0, 64).w
-    return spark.createDataFrame([(bool(solvers.certificate(e, w, 1.0) < 1e-18), bool(solvers.certificate(e, 2 * w, 1.0) > 1e-6))], "small_at_minimiser boolean, large_elsewhere boolean")
+    return spark.createDataFrame([(k, round(solvers.certificate(e, k * w, 1.0), 9) + 0.0) for k in (1.0, 2.0, 8.0)], "scale double, bound double")
 
 
 _NORM = f"SELECT round(avg(s), 6) AS mean, round(var_pop(s), 6) AS var FROM (SELECT i // 64 AS trial, sum(abs({sql_laplace(sql_u(3, 'norm', 'i'), '0.5')})) AS s FROM range({64 * 500}) AS t(i) GROUP BY 1)"

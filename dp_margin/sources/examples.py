@@ -52,6 +52,12 @@ def embeddings(spark: SparkSession, sf_dir: str, label: str = "low") -> DataFram
     return t.select(F.col("vec_id").alias("row_id"), x.alias("x"), y.alias("y"))
 
 
+def embeddings_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(row_id, x, label): all classes, for one-vs-rest."""
+    x = v.clip_ball(F.col("embedding").cast("array<double>"))
+    return load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), x.alias("x"), "label")
+
+
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = load(spark, sf_dir, "events")
     return t.select(F.col("event_id").alias("row_id"), F.array(v.clip(F.col("value") / 100)).alias("x"), pm(F.col("event_type") == "purchase").alias("y"))

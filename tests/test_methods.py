@@ -269,3 +269,26 @@ def test_bracket_holds(spark, sf):
 
     rows = QUERIES["privacy_bracket"](spark, sf).collect()
     assert all(r.holds for r in rows) and {r.kernel for r in rows if r.lower is not None} == {"linear", "rbf"}
+
+
+def test_one_vs_rest_in_one_pass_equals_single_releases(spark):
+    r = np.random.default_rng(3)
+    rows = [(i, (x / max(1.0, np.linalg.norm(x))).tolist(), [0, 1, 2, None, 9][i % 5]) for i, x in enumerate(r.normal(size=(60, 3)))]
+    df = spark.createDataFrame(rows, "row_id long, x array<double>, label int")
+    made = mechanisms.release_one_vs_rest(df, [0, 1, 2], 3, 1.0, 1.0, 3.0, rng=rng.SeededRng(4))
+    noise = rng.SeededRng(4).laplace(9, made[0].lam).reshape(3, 3)
+    for k in (0, 1, 2):
+        one = df.withColumn("y", F.when(F.col("label") == k, 1.0).otherwise(-1.0))
+        assert made[k].w - noise[k] == pytest.approx(solvers.saturated(one, 1.0, 3).w, abs=1e-12)
+        assert (made[k].n, made[k].beta) == (60, 1.0) and made[k].lam == pytest.approx(cal.min_noise_finite(1.0, 60, 1.0, 1.0, 3))
+    fitted = mechanisms.release_one_vs_rest(df, [0, 1], 3, 1.0, 10.0, 2.0, rng=rng.SeededRng(4), tol=1e-6)
+    assert set(fitted) == {0, 1} and all(x.gap_tolerance == 1e-6 for x in fitted.values())
+    with pytest.raises(ValueError):
+        mechanisms.release_one_vs_rest(df.limit(0), [0, 1], 3, 1.0, 1.0, 2.0)
+
+
+def test_one_feature_path_equals_single_solutions(spark, sf):
+    df = examples.events(spark, sf)
+    path = {r.C: r.w for r in solvers.hinge_1d_path(df, [1.0, 10.0, 100.0]).collect()}
+    assert path == {C: pytest.approx(solvers.fit_hinge_1d(df, C).first().w, abs=1e-12) for C in (1.0, 10.0, 100.0)}
+    assert solvers.hinge_1d_path(df.limit(0), [1.0]).count() == 0

@@ -7,7 +7,7 @@ import pytest
 from dp_margin.queries import ORACLES, QUERIES, flagship
 
 #: Their SQL or thresholds speak about larger tables than the smallest ones.
-SLOW = {"ovr_release", "ml_crosscheck", "map_poly2"}
+SLOW = {"ml_crosscheck", "map_poly2"}
 
 
 def rows(frame):
