@@ -1,8 +1,10 @@
 """Secret scans: fixed patterns, and sliding-window Shannon entropy of each character class over candidate strings.
 
-Candidates are maximal runs of token characters. For every class (hex digits, base-64 letters) a window of fixed width slides along a run;
-counts are changed by the character that enters and the one that leaves, and with them the entropy. Windows of one class over
-its limit that touch are one span, unless the run is on the allow-list (placeholders, alphabets, identifiers, file paths, plain words).
+Candidates are maximal runs of token characters. For every class (hex digits, base-64 letters) a window slides along a run, 20 characters
+wide or as wide as a run of 16 to 19; counts are changed by the character that enters and the one that leaves, and with them the entropy.
+Windows of one class over its limit that touch are one span, unless the run is on the allow-list (placeholders, alphabets, identifiers,
+file paths, plain words). A placeholder word that stands by itself between separators is cut out of the run and what lies before and
+after it is scanned; one within a longer word allows the whole run.
 
 Defined cases: a null text is empty; offsets are code points; spans of one kind don't overlap; repeated rows are scanned alike;
 extra columns are ignored; an empty table gives no rows.
@@ -26,13 +28,17 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]+")
 ASSIGN_LEAST, ACCESS_LEAST, HEX_LEAST = 12, 18, 16
 
-WINDOW = 20
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
-#: Entropy limits in bits a character of a window of 20 (at most 4.32) for each class.
+#: Width of a window, and the shortest run that is scored, with a window of its own length.
+WINDOW, LEAST = 20, 16
+CANDIDATE = re.compile(rf"[A-Za-z0-9+/_=-]{{{LEAST},}}")
+_HEX_PIECE = re.compile(rf"[0-9a-fA-F]{{{LEAST},}}")
+#: Entropy limits in bits a character of a window of 20 (at most 4.32) for each class; narrower windows have the same share of their own most.
 LIMITS = {"hex": 3.0, "base64": 3.7}
 # Runs that are no secrets however they look.
+_PLACEHOLDERS = "example|placeholder|changeme|dummy|sample|redacted|xxxx"
+_ALONE = re.compile(rf"(?i)[+/_=-]*(?<![A-Za-z0-9])(?:{_PLACEHOLDERS})(?![A-Za-z0-9])[+/_=-]*")
 ALLOW = re.compile(
-    r"(?i)(?:example|placeholder|changeme|dummy|sample|redacted|xxxx)"
+    rf"(?i)(?:{_PLACEHOLDERS})"
     r"|^[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}$"
     r"|abcdefghij|0123456789|qwertyuiop"
     r"|^[a-z]+(?:[-_/][a-z]+)*$|^[A-Z]?[a-z]+(?:[-_/][A-Z]?[a-z]+)*$|^[A-Z]+(?:[-_/][A-Z]+)*$"
@@ -73,28 +79,42 @@ def window_entropy(run: str, window: int = WINDOW):
             yield i - window + 1, scale - total / window
 
 
+def _parts(run: str):
+    """(start, part) of a run between the placeholder words that stand by themselves in it."""
+    at = 0
+    for m in _ALONE.finditer(run):
+        yield at, run[at : m.start()]
+        at = m.end()
+    yield at, run[at:]
+
+
+def _random_looking(window: str, kind: str) -> bool:
+    """Whether a window's letters fit its class: a digit in it, and letters of both cases where a base-64 run is too short for a whole window."""
+    if not any(c.isdigit() for c in window):
+        return False
+    return kind == "hex" or len(window) == WINDOW or (any(c.isupper() for c in window) and any(c.islower() for c in window))
+
+
 def entropy_spans(text: str) -> list[tuple[str, int, int]]:
     """Spans of windows over their class's limit, joined where they touch, classes together."""
     out = []
     for m in CANDIDATE.finditer(text):
-        run, at = m[0], m.start()
-        if ALLOW.search(run) or not (any(c.isdigit() for c in run) and any(c.isalpha() for c in run)):
-            continue
-        # per class: the pieces of the run inside the class
-        spans: list[list[int]] = []
-        for kind, limit in LIMITS.items():
-            pieces = re.finditer(r"[0-9a-fA-F]{20,}", run) if kind == "hex" else [m]
-            for p in pieces:
-                piece, base = (p[0], p.start()) if kind == "hex" else (run, 0)
-                for s, h in window_entropy(piece):
-                    if h >= limit and any(c.isdigit() for c in piece[s : s + WINDOW]):
-                        spans.append([at + base + s, at + base + s + WINDOW])
-        spans.sort()
-        for lo, hi in spans:
-            if out and lo <= out[-1][2]:
-                out[-1] = ("entropy", out[-1][1], max(hi, out[-1][2]))
-            else:
-                out.append(("entropy", lo, hi))
+        for start, part in _parts(m[0]):
+            if len(part) < LEAST or ALLOW.search(part) or not (any(c.isdigit() for c in part) and any(c.isalpha() for c in part)):
+                continue
+            at = m.start() + start
+            spans: list[tuple[int, int]] = []
+            for kind, limit in LIMITS.items():
+                pieces = [(p.start(), p[0]) for p in _HEX_PIECE.finditer(part)] if kind == "hex" else [(0, part)]
+                for base, piece in pieces:
+                    width = min(len(piece), WINDOW)
+                    least = limit * math.log2(width) / math.log2(WINDOW)
+                    spans += [(at + base + s, at + base + s + width) for s, h in window_entropy(piece, width) if h >= least and _random_looking(piece[s : s + width], kind)]
+            for lo, hi in sorted(spans):
+                if out and lo <= out[-1][2]:
+                    out[-1] = ("entropy", out[-1][1], max(hi, out[-1][2]))
+                else:
+                    out.append(("entropy", lo, hi))
     return out
 
 

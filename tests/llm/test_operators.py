@@ -281,6 +281,20 @@ def test_entropy_spans_and_allow_list():
         assert secrets.entropy_spans(clean) == []
 
 
+def test_entropy_of_short_runs_and_words_that_stand_alone():
+    short, key = "aK9xQ2mZ7wR4tB8c", "zQ8rT2kLm9XwV4pB7nYc1sDf6HgJ3aKe"
+    assert secrets.entropy_spans(f"id {short}.") == [("entropy", 3, 3 + len(short))]
+    assert secrets.entropy_spans(short[:15]) == [] and secrets.entropy_spans("configuration2024") == []  # too short; one case only
+    assert secrets.entropy_spans("0A1B2C3D4E5F6789") == [("entropy", 0, 16)]
+    # a word by itself is cut out and the rest is scanned; within a longer word it allows the run
+    assert secrets.entropy_spans(f"sample/{key}") == [("entropy", 7, 7 + len(key))]
+    assert secrets.entropy_spans(f"{key}_DUMMY_{short}") == [("entropy", 0, len(key)), ("entropy", len(key) + 7, len(key) + 7 + len(short))]
+    assert secrets.entropy_spans("wJalrXUtnFEMI/K7MDENG/bPxRfiCYEXAMPLEKEY") == []
+    assert secrets.entropy_spans("sample") == secrets.entropy_spans("example-dummy-sample-example") == []
+    long = "word " * 200_000 + key
+    assert secrets.entropy_spans(long) == [("entropy", 1_000_000, 1_000_000 + len(key))]
+
+
 def test_scan_and_redact(spark):
     texts = [*texts_with_copies(), "token=abcdefghijklmnop"]
     d = docs_frame(spark, texts)
