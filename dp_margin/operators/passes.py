@@ -6,7 +6,7 @@ rows, not accumulators, so retried and speculative tasks cannot count twice. Not
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -16,6 +16,8 @@ from pyspark.sql import functions as F
 #: Up to this many features, sums stay plain SQL aggregates.
 SQL_FEATURES = 64
 BUCKETS = 64
+#: Sums of more numbers than this travel as blocks of so many, as bytes, and are added by numpy.
+BLOCK = 1 << 13
 
 
 def matrix(column: pa.Array) -> np.ndarray:
@@ -25,7 +27,11 @@ def matrix(column: pa.Array) -> np.ndarray:
 
 
 def sum_pass(df: DataFrame, size: int, batch: Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
-    """Sum over all rows of ``batch(X, y, weight)``, an array of ``size`` numbers for each batch."""
+    """Sum over all rows of ``batch(X, y, weight)``, an array of ``size`` numbers for each batch.
+
+    Many numbers (a Gram matrix) leave a task as one row a block, not as one row a number; tasks of a bucket are added first, then
+    buckets, so a task that adds blocks holds two of them. The driver gets one row a block.
+    """
     weighted = "weight" in df.columns
     cols = df.select("x", "y", *(["weight"] if weighted else []))
 
@@ -37,8 +43,18 @@ def sum_pass(df: DataFrame, size: int, batch: Callable[[np.ndarray, np.ndarray,
                 total += batch(matrix(b.column(0)), y, b.column(2).to_numpy(zero_copy_only=False) if weighted else np.ones(len(y)))
         from pyspark import TaskContext
 
+        if size > BLOCK:
+            for at in range(0, size, BLOCK):
+                yield _blocks([TaskContext.get().partitionId() % BUCKETS], [at], [total[at : at + BLOCK]])
+            return
         yield pa.record_batch([pa.array([TaskContext.get().partitionId() % BUCKETS], pa.int32()), pa.array([total.tolist()], pa.list_(pa.float64()))], ["bucket", "s"])
 
+    if size > BLOCK:
+        rows = _add_blocks(_add_blocks(cols.mapInArrow(run, _BLOCKS), "bucket", "at"), "at").collect()
+        out = np.zeros(size)
+        for r in rows:
+            out[r.at : r.at + BLOCK] = np.frombuffer(r.v, "<f8")
+        return out
     part = cols.mapInArrow(run, "bucket int, s array<double>")
     long = part.select("bucket", F.posexplode("s").alias("pos", "v"))
     rows = long.groupBy("bucket", "pos").agg(F.sum("v").alias("v")).groupBy("pos").agg(F.sum("v").alias("v")).collect()  # one row a feature
@@ -48,6 +64,29 @@ def sum_pass(df: DataFrame, size: int, batch: Callable[[np.ndarray, np.ndarray,
     return out
 
 
+_BLOCKS = "bucket int, at long, v binary"
+
+
+def _blocks(buckets, starts, values) -> pa.RecordBatch:
+    return pa.record_batch([pa.array(buckets, pa.int32()), pa.array(starts, pa.int64()), pa.array([x.astype("<f8").tobytes() for x in values], pa.binary())], ["bucket", "at", "v"])
+
+
+def _add_blocks(df: DataFrame, *keys: str) -> DataFrame:
+    """One row a key, its blocks added in batches."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for b in batches:
+            for x in b.column(2):
+                block = np.frombuffer(x.as_buffer(), "<f8")
+                total = block.copy() if total is None else total + block
+                bucket, at = b.column(0)[0].as_py(), b.column(1)[0].as_py()
+        if total is not None:
+            yield _blocks([bucket], [at], [total])
+
+    return df.groupBy(*keys).applyInArrow(add, _BLOCKS)
+
+
 def sql_sums(df: DataFrame, terms: dict) -> dict:
     """One row of plain aggregates, computed in one stage with partial aggregation."""
     row = df.agg(*[F.sum(c).alias(k) for k, c in terms.items()]).first()

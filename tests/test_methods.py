@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from dp_margin.functions import calibrate as cal
 from dp_margin.functions import kernels, losses, optimal, rng
-from dp_margin.operators import adversarial, mechanisms, scoring, solvers
+from dp_margin.operators import adversarial, mechanisms, passes, scoring, solvers
 from dp_margin.operators.ledger import spend
 from dp_margin.plans import plan
 from dp_margin.sources import examples
@@ -292,3 +292,14 @@ def test_one_feature_path_equals_single_solutions(spark, sf):
     path = {r.C: r.w for r in solvers.hinge_1d_path(df, [1.0, 10.0, 100.0]).collect()}
     assert path == {C: pytest.approx(solvers.fit_hinge_1d(df, C).first().w, abs=1e-12) for C in (1.0, 10.0, 100.0)}
     assert solvers.hinge_1d_path(df.limit(0), [1.0]).count() == 0
+
+
+def test_large_sums_travel_as_blocks(spark):
+    x = np.random.default_rng(5).normal(size=(300, 100))
+    data = spark.createDataFrame([(i % 2 * 2.0 - 1, r.tolist()) for i, r in enumerate(x)], "y double, x array<double>").repartition(7)
+    gram = passes.sum_pass(data, 10_000, lambda a, y, k: (a.T @ a).ravel())
+    assert 10_000 > passes.BLOCK and np.allclose(gram.reshape(100, 100), x.T @ x)
+    assert not passes.sum_pass(data.where("y > 5"), 10_000, lambda a, y, k: (a.T @ a).ravel()).any()
+    fit = solvers.ridge(data, 2.0, 100)
+    y = np.array([i % 2 * 2.0 - 1 for i in range(300)])
+    assert np.allclose(fit.w + 2.0 / 300 * x.T @ losses.Square.slope_np(y, x @ fit.w), 0, atol=1e-8)
