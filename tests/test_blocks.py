@@ -15,6 +15,7 @@ def brute(x, name):
     d = lambda i: x[i] - x
     of = {
         "kernel_rbf_rows": lambda i: np.exp(-(d(i) ** 2).sum(-1) / 2),
+        "kernel_laplacian_rows": lambda i: np.exp(-np.abs(d(i)).sum(-1)),
     }
     return lambda i: of[name](i)
 
@@ -33,7 +34,7 @@ def many(spark, tmp_path_factory):
     return folder, x / np.maximum(1, np.linalg.norm(x, axis=1))[:, None]
 
 
-@pytest.mark.parametrize("name", ["kernel_rbf_rows"])
+@pytest.mark.parametrize("name", ["kernel_rbf_rows", "kernel_laplacian_rows"])
 def test_rows_of_the_kernel_matrix_at_any_size(spark, many, name):
     folder, x = many
     got = {r.i: r for r in QUERIES[name](spark, folder).collect()}
