@@ -17,6 +17,7 @@ def brute(x, name):
         "kernel_rbf_rows": lambda i: np.exp(-(d(i) ** 2).sum(-1) / 2),
         "kernel_laplacian_rows": lambda i: np.exp(-np.abs(d(i)).sum(-1)),
         "kernel_cauchy_rows": lambda i: np.prod(1 / (1 + d(i) ** 2), axis=-1),
+        "kernel_custom": lambda i: np.maximum(0, 1 - np.abs(d(i)).max(-1)),
     }
     return lambda i: of[name](i)
 
@@ -35,7 +36,7 @@ def many(spark, tmp_path_factory):
     return folder, x / np.maximum(1, np.linalg.norm(x, axis=1))[:, None]
 
 
-@pytest.mark.parametrize("name", ["kernel_rbf_rows", "kernel_laplacian_rows", "kernel_cauchy_rows"])
+@pytest.mark.parametrize("name", ["kernel_rbf_rows", "kernel_laplacian_rows", "kernel_cauchy_rows", "kernel_custom"])
 def test_rows_of_the_kernel_matrix_at_any_size(spark, many, name):
     folder, x = many
     got = {r.i: r for r in QUERIES[name](spark, folder).collect()}
