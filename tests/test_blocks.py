@@ -9,7 +9,7 @@ from dp_margin.queries import QUERIES
 MANY = 5_200
 
 
-def brute(x, name):
+def brute(x, name, spark):
     from dp_margin.functions import kernels as K
 
     d = lambda i: x[i] - x
@@ -19,7 +19,9 @@ def brute(x, name):
         "kernel_cauchy_rows": lambda i: np.prod(1 / (1 + d(i) ** 2), axis=-1),
         "kernel_custom": lambda i: np.maximum(0, 1 - np.abs(d(i)).max(-1)),
     }
-    return lambda i: of[name](i)
+    rho = K.frequency_matrix(spark, K.rbf(), 64, 16, 7)
+    of["approx_kernel_rows"] = lambda i: np.cos(d(i) @ rho.T).mean(-1)
+    return of[name]
 
 
 @pytest.fixture(scope="session")
@@ -36,12 +38,12 @@ def many(spark, tmp_path_factory):
     return folder, x / np.maximum(1, np.linalg.norm(x, axis=1))[:, None]
 
 
-@pytest.mark.parametrize("name", ["kernel_rbf_rows", "kernel_laplacian_rows", "kernel_cauchy_rows", "kernel_custom"])
+@pytest.mark.parametrize("name", ["kernel_rbf_rows", "kernel_laplacian_rows", "kernel_cauchy_rows", "kernel_custom", "approx_kernel_rows"])
 def test_rows_of_the_kernel_matrix_at_any_size(spark, many, name):
     folder, x = many
     got = {r.i: r for r in QUERIES[name](spark, folder).collect()}
     assert len(got) == MANY and {r.others for r in got.values()} == {MANY - 1}
-    of = brute(x, name)
+    of = brute(x, name, spark)
     for i in (0, 1, 17, MANY - 1):
         k = np.delete(of(i), i)
         assert (got[i].total, got[i].least, got[i].most) == (pytest.approx(k.sum(), abs=2e-6), pytest.approx(k.min(), abs=2e-9), pytest.approx(k.max(), abs=2e-9))
