@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions import rng
 from ..functions import vectors as v
 from ..functions.losses import Hinge, Loss
-from . import solvers
+from . import blocks, solvers
 from .passes import matrix
 
 
@@ -192,3 +192,23 @@ def perturbation_chain(x: np.ndarray, y: np.ndarray, exact: solvers.DualModel, a
         "hilbert": hilbert, "hilbert_bound": 2 * math.sqrt((C * L + big / 2) * big * err),
         "total": float(np.abs(f - fh).max()), "total_bound": err * big + 2 * math.sqrt((C * L + big / 2) * big * err),
     }
+
+
+def perturbation_chain_table(df: DataFrame, exact: DataFrame, approx: DataFrame, kernel, rho: np.ndarray, C: float, L: float = 1.0) -> dict:
+    """``perturbation_chain`` for any number of rows: df (row_id, x, y) and both machines' (row_id, alpha); all pairs meet in blocks and the driver gets one row."""
+    rows = df.join(exact.toDF("row_id", "a"), "row_id").join(approx.toDF("row_id", "b"), "row_id").withColumns({"a": F.col("a") * F.col("y"), "b": F.col("b") * F.col("y")})
+    terms = {"f": (0, "a"), "moved": (1, "a"), "fh": (1, "b"), "back": (0, "b")}
+    made = blocks.expansions(rows, [lambda x, z: solvers.gram(x, z, kernel), lambda x, z: solvers.gram(x, z, None, rho)], terms, "err")
+    t, c = rows.select("row_id", "y", "a", "b").join(made, "row_id"), F.col
+
+    def reg(g, coefficient):
+        return 0.5 * F.sum(c(coefficient) * c(g)) + C * F.avg(F.greatest(F.lit(0.0), 1 - c("y") * c(g)))
+
+    far = {"shift": F.max(F.abs(c("moved") - c("f"))), "total": F.max(F.abs(c("f") - c("fh"))), "kernel_error": F.max("err"), "diff": F.sum((c("a") - c("b")) * (c("moved") - c("fh")))}
+    s = t.agg(*[v.alias(k) for k, v in far.items()], (reg("moved", "a") - reg("fh", "b")).alias("transfer"), (reg("back", "b") - reg("f", "a")).alias("back")).first()
+    err, big = s.kernel_error, C * L
+    hilbert = 2 * math.sqrt((C * L + big / 2) * big * err)
+    return {
+        "kernel_error": err, "shift": s.shift, "shift_bound": err * big, "transfer": s.transfer, "transfer_bound": 2 * (C * L + big / 2) * big * err, "back": s.back,
+        "hilbert": math.sqrt(max(0.0, s["diff"])), "hilbert_bound": hilbert, "total": s.total, "total_bound": err * big + hilbert,
+    }

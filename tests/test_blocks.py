@@ -65,3 +65,56 @@ def test_row_measures_in_small_blocks_with_nulls_and_shared_ids(spark):
             assert got[i].others == own.sum() * other.sum()
             assert (got[i].total, got[i].least, got[i].most) == (pytest.approx(k.sum()), pytest.approx(k.min()), pytest.approx(k.max()))
     assert blocks.row_measures(spark.createDataFrame(rows[:1], "row_id long, x array<double>"), lambda a, b: a @ b.T).count() == 0
+
+
+@pytest.mark.parametrize("how", ["linear", "rbf", "random"])
+def test_dual_in_a_table_equals_the_driver(spark, how):
+    from dp_margin.functions import kernels as K
+    from dp_margin.operators import solvers
+
+    r = np.random.default_rng(4)
+    x, kind = r.normal(size=(150, 3)), {"linear": {}, "rbf": {"kernel": K.rbf()}, "random": {"rho": r.normal(size=(9, 3))}}[how]
+    y = np.where(x[:, 0] + 0.5 * r.normal(size=150) > 0, 1.0, -1.0)
+    df = spark.createDataFrame([(i, v.tolist(), float(s), 1.0 + i % 2) for i, (v, s) in enumerate(zip(x, y, strict=True))], "row_id long, x array<double>, y double, weight double").repartition(4)
+    small = solvers.reference(df, 20.0, tol=1e-9, **kind)
+    big = solvers.reference_table(df, 20.0, tol=1e-8, working=60, **kind)
+    a = np.array([q.alpha for q in sorted(big.frame(spark).collect(), key=lambda q: q.row_id)])
+    assert 0 <= big.gap <= 1e-8 and abs(big.objective - small.objective) < 2e-8
+    top = 20.0 / 225 * (1 + np.arange(150) % 2)
+    assert (a >= 0).all() and (a <= top + 1e-12).all() and (a < top / 2).sum() > 20
+    f = solvers.gram(x, x, kind.get("kernel"), kind.get("rho")) @ (a * y)
+    assert 0.5 * (a * y) @ f + top @ np.maximum(0, 1 - y * f) == pytest.approx(small.objective, abs=2e-8)
+
+
+def test_perturbation_chain_in_blocks_equals_the_driver(spark, sf):
+    from dp_margin.functions import kernels as K
+    from dp_margin.operators import measure, solvers
+    from dp_margin.sources import examples
+
+    e, rho = examples.embeddings(spark, sf), K.frequency_matrix(spark, K.rbf(), 64, 64, 7)
+    a, b = solvers.reference(e, 100.0, K.rbf(), tol=1e-6), solvers.reference(e, 100.0, rho=rho, tol=1e-6)
+    want, got = measure.perturbation_chain(a.x, a.y, a, b, 100.0), measure.perturbation_chain_table(e, a.frame(spark), b.frame(spark), K.rbf(), rho, 100.0)
+    assert set(want) == set(got) and want["hilbert"] > 0.01
+    assert {k: got[k] for k in want} == {k: pytest.approx(w, abs=1e-7) for k, w in want.items()}
+
+
+BEYOND = [
+    "perturbation_chain",
+]
+
+
+@pytest.mark.parametrize("name", BEYOND)
+def test_duals_beyond_the_driver(spark, many, name):
+    import duckdb
+
+    from dp_margin.queries import ORACLES
+
+    folder, _ = many
+    duck = duckdb.connect()
+    duck.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{folder}/embeddings.parquet')")
+    got, want = QUERIES[name](spark, folder).toPandas(), duck.execute(ORACLES[name]).df()
+    key = want.columns[0]
+    got, want = (d.sort_values(key).reset_index(drop=True)[list(want.columns)] for d in (got, want))
+    assert len(got) == len(want)
+    for c in want.columns:
+        assert all(a == b or a == pytest.approx(b, abs=2e-9) for a, b in zip(got[c], want[c], strict=True))
