@@ -270,8 +270,7 @@ def ref_dual_objective(spark, sf_dir):
 @query("ref_dual_box", "SELECT count(*) AS n, true AS in_box FROM embeddings")
 def ref_dual_box(spark, sf_dir):
     m = solvers.reference(examples.embeddings(spark, sf_dir), 10.0, K.rbf())
-    n = len(m.alpha)
-    return m.frame(spark).agg(F.count("*").alias("n"), (F.min("alpha") >= 0) & (F.max("alpha") <= 10.0 / n + 1e-15)).toDF("n", "in_box")
+    return m.frame(spark).agg(F.count("*").alias("n"), (F.min("alpha") >= 0) & (F.max("alpha") <= 10.0 / F.count("*") + 1e-15)).toDF("n", "in_box")
 
 
 @query("primal_from_dual", _sums(SQL_EMBEDDINGS, 1.0, 64))
