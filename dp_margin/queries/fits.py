@@ -285,7 +285,9 @@ def primal_from_dual(spark, sf_dir):
 def primal_equals_dual(spark, sf_dir):
     e = examples.embeddings(spark, sf_dir)
     m = solvers.reference(e, 10.0, tol=1e-12)
-    w = (m.alpha * m.y) @ m.x
+    w = np.zeros(64)
+    for r in solvers.primal_from_dual(m.frame(spark), e).collect():  # one row a feature
+        w[r.pos] = r.w
     p = solvers.cutting_plane(e, 10.0, 64, tol=1e-11)
     return spark.createDataFrame([(bool(np.abs(w - p.w).max() < 1e-4),)], "equal boolean")
 
