@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import vectors as v
 from ..functions.kernels import trig_batch
+from . import blocks
 from .mechanisms import Release
 from .passes import matrix
 from .solvers import DUAL_ROWS
@@ -46,3 +47,9 @@ def score_dual(test: DataFrame, train: DataFrame, alpha: DataFrame, kernel=None)
     k = (lambda a, b: v.dot(a, b)) if kernel is None else kernel.column
     pairs = test.select(F.col("row_id").alias("test_id"), "x").crossJoin(F.broadcast(sv))
     return pairs.groupBy("test_id").agg(F.sum(F.col("ay") * k(F.col("x"), F.col("sx"))).alias("score"))
+
+
+def score_dual_blocks(test: DataFrame, train: DataFrame, alpha: DataFrame, kernel=None) -> DataFrame:
+    """(test_id, score): the same for any number of rows with alpha > 0, by blocks of test rows that meet blocks of support vectors."""
+    sv = train.join(alpha.where("alpha > 0"), "row_id").select("row_id", "x", (F.col("alpha") * F.col("y")).alias("c"))
+    return blocks.crossed(test, sv, lambda x, z: blocks.gram(x, z, kernel)).select(F.col("row_id").alias("test_id"), F.col("value").alias("score"))

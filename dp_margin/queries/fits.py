@@ -297,7 +297,7 @@ def dual_scores(spark, sf_dir):
     e = examples.embeddings(spark, sf_dir)
     n = e.count()
     alpha = e.select("row_id", F.lit(1.0 / n).alias("alpha"))
-    return scoring.score_dual(e, e, alpha).select("test_id", (F.round("score", 9) + 0.0).alias("score"))
+    return scoring.score_dual_blocks(e, e, alpha).select("test_id", (F.round("score", 9) + 0.0).alias("score"))
 
 
 @query("naive_disclosure", "SELECT count(*) AS exposed, 1.0::DOUBLE AS share FROM embeddings")

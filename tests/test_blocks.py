@@ -100,6 +100,7 @@ def test_perturbation_chain_in_blocks_equals_the_driver(spark, sf):
 
 BEYOND = [
     "perturbation_chain",
+    "dual_scores",
     "primal_equals_dual",
     "ref_dual_box",
     "swap_space_scores",
