@@ -62,15 +62,15 @@ def _noise_scale(beta, lam, least, of_lam):
     return (least(beta), beta) if lam is None else (lam, of_lam(lam))
 
 
-def release_finite(df: DataFrame, features: int, kappa: float, C: float, loss: Loss = Hinge, beta: float | None = None, lam: float | None = None, rng=None, tol: float = 1e-9) -> Release:
-    """Explicit feature maps: the exact minimiser and Laplace noise of the least scale for beta (or of scale lam)."""
+def release_finite(df: DataFrame, features: int, kappa: float, C: float, loss: Loss = Hinge, beta: float | None = None, lam: float | None = None, rng=None, tol: float = 1e-9, fit: solvers.Fit | None = None) -> Release:
+    """Explicit feature maps: the exact minimiser and Laplace noise of the least scale for beta (or of scale lam); ``fit`` is one that ``solvers.fit`` made of the same arguments."""
     n, L = int(solvers.rows_and_weight(df)), loss.lipschitz(C, kappa)
     if n < 2:
         raise ValueError("a database has at least two rows")
     how = solvers.choose(loss, C, kappa, features)
     slack = {"cutting_plane": tol, "newton": 1e-18}.get(how, 0.0)  # public, whatever gap the data gave
     lam_, beta_ = _noise_scale(beta, lam, lambda b: cal.min_noise_finite(b, n, C, kappa, features, L, slack), lambda x: cal.privacy_of(x, n, C, kappa, features, L) + 2 * math.sqrt(2 * slack) * math.sqrt(features) / x)
-    w = solvers.fit(df, C, features, kappa, loss, tol).w
+    w = (fit or solvers.fit(df, C, features, kappa, loss, tol)).w
     noise = (rng or SecureRng()).laplace(features, lam_)
     return Release(w + noise, lam_, beta_, n, C, L, kappa, loss.name, "finite", gap_tolerance=slack)
 
