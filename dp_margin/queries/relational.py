@@ -238,7 +238,7 @@ def topk_weights(spark, sf_dir):
 @query("event_hours", "SELECT event_id, hour(ts)::INTEGER AS h, date_trunc('day', ts)::DATE AS day, epoch(ts)::BIGINT AS secs FROM events")
 def event_hours(spark, sf_dir):
     t = F.col("ts").cast("timestamp")
-    return load(spark, sf_dir, "events").select("event_id", F.hour(t).alias("h"), F.to_date(F.date_trunc("day", t)).alias("day"), F.round(F.unix_micros(t) / 1e6).cast("long").alias("secs"))
+    return load(spark, sf_dir, "events").select("event_id", F.hour(t).alias("h"), F.to_date(F.date_trunc("day", t)).alias("day"), F.rint(F.unix_micros(t) / 1e6).cast("long").alias("secs"))
 
 
 @query("json_props", "SELECT event_id, (props::JSON ->> 'k')::BIGINT AS k FROM events")

@@ -34,3 +34,16 @@ def test_clip_takes_its_value_once(spark):
     df = spark.createDataFrame([(None,), (float("nan"),), (-2.0,), (0.5,), (7.0,), (float("inf"),)], "a double").select(v.clip(F.col("a") * 1.0).alias("c"))
     assert [r.c for r in df.collect()] == [0.0, 0.0, 0.0, 0.5, 1.0, 1.0]
     assert str(v.clip(F.col("zz"))).count("zz") == 1
+
+
+def test_event_seconds_round_halves_to_even_as_sql_does(spark, tmp_path):
+    import duckdb
+
+    from dp_margin.queries import ORACLES
+
+    duck = duckdb.connect()
+    duck.execute("CREATE TABLE events AS SELECT i AS event_id, TIMESTAMP '2024-01-01 00:00:00' + i * INTERVAL 500 MILLISECOND AS ts FROM range(8) AS t(i)")
+    duck.execute(f"COPY events TO '{tmp_path}/events.parquet' (FORMAT parquet)")
+    got = {r.event_id: (r.h, r.secs) for r in QUERIES["event_hours"](spark, str(tmp_path)).collect()}
+    assert got == {a: (b, c) for a, b, c in duck.execute(f"SELECT event_id, h, secs FROM ({ORACLES['event_hours']})").fetchall()}
+    assert len(got) == 8
