@@ -47,3 +47,13 @@ def test_event_seconds_round_halves_to_even_as_sql_does(spark, tmp_path):
     got = {r.event_id: (r.h, r.secs) for r in QUERIES["event_hours"](spark, str(tmp_path)).collect()}
     assert got == {a: (b, c) for a, b, c in duck.execute(f"SELECT event_id, h, secs FROM ({ORACLES['event_hours']})").fetchall()}
     assert len(got) == 8
+
+
+READS = {
+    "hard_pair_linear_rows": "customer",
+}
+
+
+@pytest.mark.parametrize("name", READS)
+def test_query_reads_its_table(spark, sf, name):
+    assert any(f"/{READS[name]}.parquet" in f for f in QUERIES[name](spark, sf).inputFiles())
