@@ -51,6 +51,7 @@ def test_event_seconds_round_halves_to_even_as_sql_does(spark, tmp_path):
 
 READS = {
     "hard_pair_linear_rows": "customer",
+    "freq_cauchy": "lineitem",
     "freq_laplacian": "lineitem",
     "freq_rbf": "lineitem",
     "group_privacy": "events",
